@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontam, linededup, mixing, neardup, ogg, pii, sharding, tokencount, toxicity
+from . import decontam, linededup, maskedlm, mixing, neardup, ogg, pii, sharding, tokencount, toxicity
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -28,6 +28,10 @@ def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents"))
 
 
+def op5_pseudo_likelihood(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return maskedlm.pseudo_likelihood(table(spark, sf_dir, "documents"))
+
+
 def op6_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_duplicates(table(spark, sf_dir, "documents"))
 
@@ -48,7 +52,7 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return linededup.line_dedup_report(table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_sharding, op2_ogg, op3_toxicity, op4_mixing, op6_near_duplicates, op7_decontamination, op8_token_counts, op9_pii, op10_line_dedup)}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_sharding, op2_ogg, op3_toxicity, op4_mixing, op5_pseudo_likelihood, op6_near_duplicates, op7_decontamination, op8_token_counts, op9_pii, op10_line_dedup)}
 
 
 def _sharding_sql() -> str:
