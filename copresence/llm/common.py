@@ -2,34 +2,18 @@
 
 from __future__ import annotations
 
-import tempfile
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-DOC_COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
+from copresence.plans.shared import cut, shared_dir
+
+__all__ = ["components", "cut", "hex_number", "shared_dir", "table", "whole"]
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share (spark.checkpoint.dir); where it is unset (tests) a local one is set."""
-    sc = spark.sparkContext
-    now = sc._jsc.sc().getCheckpointDir()
-    if now.isEmpty():
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
-        now = sc._jsc.sc().getCheckpointDir()
-    return now.get()
-
-
-def cut(df: DataFrame) -> DataFrame:
-    """Write df to the shared folder and go on from there: no lineage, and nothing that dies with an executor."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint()
-
-
 def whole(text: str | Column) -> Column:
     """The text with null read as empty."""
     return F.coalesce(F.col(text) if isinstance(text, str) else text, F.lit(""))

@@ -3,7 +3,9 @@
 A window's SimHash has, for each of 64 bits, the majority among the digests of its word pairs. For every word position
 of a document and every window size in use, the fingerprint is computed exactly: bit counts are kept as bit planes and
 added by doubling (a window of 2n is two of n), so a position costs a few dozen word operations a size, whatever the
-size is. An item is looked for by two windows of the largest size in the ladder that fits it: its head and its tail.
+size is. An item of n shingles that is 0.8 alike to a place has at most n / 9 of them changed, so at most n / 45 changes
+that stand apart inside it. It is looked for by windows of the largest size in the ladder that fits in it once more often
+than that (twice at least), side by side, and by one in its middle: one of them always meets an unchanged run.
 
 The index splits a fingerprint into PARTS blocks and stores every value within RADIUS // PARTS bits of an item's block.
 If two fingerprints differ in at most RADIUS bits, some block differs in at most that many, so every window within
@@ -33,12 +35,12 @@ from pyspark.sql import functions as F
 from copresence.ship import arrow_map
 
 from .common import whole
-from .words import MIX1, SHINGLE, mix, shingles, weighted_similarity, word_hashes, words
+from .words import MIX1, SHINGLE, hash_texts, mix, shingles, text_hashes, weighted_similarity
 
 SIMILARITY = 0.8
-RADIUS = 11
+RADIUS = 8
 PARTS = (22, 21, 21)  # bits of the blocks
-LADDER = (4, 6, 8, 12, 16, 24, 32, 48, 64, 96, 128, 192, 256, 384, 512, 768, 1024)  # word pairs a window
+LADDER = (2, 4, 8, 12, 16, 24, 32, 48, 64, 96, 128, 192, 256, 384, 512, 768, 1024)  # word pairs a window
 MAX_ITEMS = 20_000
 BLOCK = 1 << 15  # positions handled at once
 
@@ -112,13 +114,14 @@ class Index:
         self.items: list[Item] = []
         found: dict[int, list[tuple[int, int, int]]] = {}  # size: (fingerprint, item, offset in words)
         for item_id, text in rows:
-            h = word_hashes(words(text))
+            h = text_hashes(text)
             if len(h) < SHINGLE:
                 continue
             pairs = pair_hashes(h)
-            size = max(n for n in LADDER if n <= len(pairs))
+            parts = max(2, (len(h) - SHINGLE + 1) // 45 + 1)
+            size = max(n for n in LADDER if n <= len(pairs) // parts)
             prints = fingerprints(pairs, [size])[size]
-            for offset in {0, len(pairs) - size}:
+            for offset in sorted({*range(0, size * parts, size), len(pairs) - size, (len(pairs) - size) // 2}):
                 found.setdefault(size, []).append((int(prints[offset]), len(self.items), offset))
             self.items.append(Item(item_id, len(h), shingles(h)))
         self.sizes = sorted(found)
@@ -131,24 +134,29 @@ class Index:
         return ((prints >> np.uint64(sum(PARTS[:k]))) & np.uint64((1 << PARTS[k]) - 1)).astype(np.int64)
 
     def _block(self, prints: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """Which values are near enough to a window's block; a value's number among those; and by that number the
-        windows (first place of each number, windows)."""
+        """The values near enough to a window's block as a bit map, with how many stand before each of its words; and
+        by a value's place among them its windows (first place of each value, windows)."""
         near = self.radius // len(PARTS)
         flips = np.array([sum(1 << b for b in c) for m in range(near + 1) for c in itertools.combinations(range(PARTS[k]), m)], np.int64)
         values = (self._cut(prints, k)[:, None] ^ flips).ravel()
         order = np.argsort(values, kind="stable")
         known, first = np.unique(values[order], return_index=True)
-        seen, number = np.zeros(1 << PARTS[k], bool), np.zeros(1 << PARTS[k], np.int32)
-        seen[known], number[known] = True, np.arange(len(known))
-        return seen, number, np.append(first, len(values)), (order // len(flips)).astype(np.int32)
+        seen = np.zeros(1 << PARTS[k], bool)
+        seen[known] = True
+        bits = np.packbits(seen, bitorder="little").view(np.uint64)
+        before = np.cumsum(np.bitwise_count(bits), dtype=np.int64) - np.bitwise_count(bits)
+        return bits, before, np.append(first, len(values)), (order // len(flips)).astype(np.int32)
 
     def near(self, prints: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
         """Positions and windows whose fingerprints differ in at most radius bits."""
         at, which = [], []
-        for k, (seen, number, first, window) in enumerate(self.blocks[size]):
+        for k, (bits, before, first, window) in enumerate(self.blocks[size]):
             own = self._cut(prints, k)
-            hit = np.flatnonzero(seen[own])
-            low = number[own[hit]]
+            place_in_word = (own & 63).astype(np.uint64)
+            words_of = bits[own >> 6] >> place_in_word
+            hit = np.flatnonzero(words_of & np.uint64(1))
+            below = bits[own[hit] >> 6] & ((np.uint64(1) << place_in_word[hit]) - np.uint64(1))
+            low = before[own[hit] >> 6] + np.bitwise_count(below)
             n = first[low + 1] - first[low]
             place = np.repeat(first[low] - (np.cumsum(n) - n), n) + np.arange(n.sum())
             p, w = np.repeat(hit, n), window[place]
@@ -163,12 +171,11 @@ class Index:
 
     def search(self, texts: list[str | None], least: float = SIMILARITY) -> list[tuple[int, int, float, int]]:
         """(text number, item number, similarity, first word) for each text and item that it holds, the best place."""
-        hashes = [word_hashes(words(t)) for t in texts]
-        ends = np.cumsum([len(h) for h in hashes])
-        if not self.sizes or not len(ends) or not ends[-1]:
+        flat, counts = hash_texts(texts)
+        if not self.sizes or not len(flat):
             return []
-        flat = np.concatenate(hashes)
-        starts = ends - [len(h) for h in hashes]
+        ends = np.cumsum(counts)
+        starts = ends - counts
         pairs, longest = pair_hashes(flat), self.sizes[-1]
         tried: dict[tuple[int, int, int], float] = {}
         for first in range(0, len(pairs), BLOCK):
@@ -213,7 +220,7 @@ def _blocks(benchmark: DataFrame, at_once: int) -> Iterator[list[tuple[int | Non
 
 
 FOUND = "doc_id long, item_id long, similarity double, first_word long, n_words long"
-TEXTS = 2000  # texts searched at once
+TEXTS = 500  # texts searched at once
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, least: float = SIMILARITY, at_once: int = MAX_ITEMS) -> DataFrame:

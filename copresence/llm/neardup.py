@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from copresence.ship import arrow_map
 
 from .common import components, cut, whole
-from .words import SHINGLE, STEP, mix, shingles, weighted_similarity, word_hashes, words
+from .words import STEP, hash_texts, mix, shingles, text_hashes, weighted_similarity
 
 SIMILARITY = 0.8
 BANDS, ROWS = 28, 5
@@ -88,6 +88,13 @@ def sketch_of(sig: np.ndarray) -> np.ndarray:
     return np.packbits(bits).view(np.int64)
 
 
+def _hashes(texts: pa.Array, at_once: int = 500) -> Iterator[np.ndarray]:
+    """Word numbers of each text."""
+    for k in range(0, len(texts), at_once):
+        flat, counts = hash_texts(texts.slice(k, at_once).to_pylist())
+        yield from np.split(flat, np.cumsum(counts)[:-1])
+
+
 SIGNED = "doc_id long, digest string, weight long, bands array<long>, sketch array<long>"
 
 
@@ -97,8 +104,8 @@ def signed(docs: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             weight, bands, sketch = [], [], []
-            for t in b.column(2):
-                s = shingles(word_hashes(words(t.as_py())))
+            for h in _hashes(b.column(2)):
+                s = shingles(h)
                 weight.append(len(s))
                 sig = signature(s) if len(s) else None
                 bands.append([] if sig is None else bands_of(sig))
@@ -119,8 +126,8 @@ def _alike(pairs: DataFrame, texts: DataFrame, least: float) -> DataFrame:
             for x, y in zip(b.column(2), b.column(3), strict=True):
                 x = x.as_py()
                 if x != last[0]:
-                    last = x, shingles(word_hashes(words(x)))
-                keep.append(weighted_similarity(last[1], shingles(word_hashes(words(y.as_py())))) >= least)
+                    last = x, shingles(text_hashes(x))
+                keep.append(weighted_similarity(last[1], shingles(text_hashes(y.as_py()))) >= least)
             keep = pa.array(keep, pa.bool_())
             yield pa.RecordBatch.from_arrays([b.column(0).filter(keep), b.column(1).filter(keep)], names=["a", "b"])
 
