@@ -2,13 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from copresence.plans.oracles import ORACLES
+from copresence.plans.queries import QUERIES, flagship
 
-from pyspark.sql import DataFrame, SparkSession
-
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
-ORACLES: dict[str, str] = {}
-
-
-def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+__all__ = ["ORACLES", "QUERIES", "flagship"]
