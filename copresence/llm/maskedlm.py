@@ -22,13 +22,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from copresence.ship import arrow_map
 
-from .words import words
+from .words import hash_words, text_hashes, words
 
 SIZE, HIDDEN, SIDE = 256, 16, 2
 BUCKETS = 64  # numbers of words that have none of their own; number 0 is the boundary
@@ -39,28 +38,21 @@ SCORED = 8192  # positions scored at once
 Net = dict[str, np.ndarray]
 
 
-def bucket(word: str) -> int:
-    return 1 + xxhash.xxh3_64_intdigest(word[-2:].encode("utf-8", "surrogatepass")) % BUCKETS
-
-
-class Numbers(dict):
-    """Number of each word; those without one of their own are kept for a while."""
+class Numbers:
+    """The number of each word of texts: its own for a common word, else that of its ending's bucket."""
 
     def __init__(self, common: list[str]):
-        super().__init__()
-        self.own = {w: 1 + BUCKETS + k for k, w in enumerate(common)}
-        self.update(self.own)
-
-    def __missing__(self, word: str) -> int:
-        if len(self) > 500_000:
-            self.clear()
-            self.update(self.own)
-        self[word] = n = bucket(word)
-        return n
+        hashes = np.array([text_hashes(w)[0] for w in common], np.uint64)
+        order = np.argsort(hashes)
+        self.hashes, self.own = hashes[order], 1 + BUCKETS + order
 
-    def of(self, text: str | None) -> np.ndarray:
-        listed = words(text)
-        return np.fromiter(map(self.__getitem__, listed), np.int64, len(listed))
+    def of(self, texts: list[str | None]) -> list[np.ndarray]:
+        words_of, counts, tails = hash_words(texts)
+        out = 1 + (tails.astype(np.int64) * 40503 >> 7) % BUCKETS
+        if len(self.hashes):
+            at = np.minimum(np.searchsorted(self.hashes, words_of), len(self.hashes) - 1)
+            out = np.where(self.hashes[at] == words_of, self.own[at], out)
+        return np.split(out, np.cumsum(counts)[:-1])
 
 
 def word_counts(docs: DataFrame) -> DataFrame:
@@ -157,7 +149,7 @@ def _round(docs: DataFrame, common: list[str], net: Net, turn: int) -> Net:
         own, numbers, done = single(net), Numbers(common), 0
         memory = {k: np.full_like(v, 1e-3) for k, v in own.items()}
         for b in batches:
-            flat, at, _ = windows([numbers.of(t.as_py()) for t in b.column(0)])
+            flat, at, _ = windows(numbers.of(b.column(0).to_pylist()))
             at = at[turn * 3 % STRIDE :: STRIDE]
             at = at[np.random.default_rng(len(flat)).permutation(len(at))]
             for k in range(0, len(at), BATCH):
@@ -198,7 +190,7 @@ def pseudo_likelihood(docs: DataFrame, model: tuple[list[str], Net] | None = Non
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own, numbers = single(net), Numbers(common)
         for b in batches:
-            flat, at, text = windows([numbers.of(t.as_py()) for t in b.column(1)])
+            flat, at, text = windows(numbers.of(b.column(1).to_pylist()))
             logs = np.concatenate([log_probabilities(own, flat, at[k : k + SCORED]) for k in range(0, len(at), SCORED)] or [np.zeros(0)])
             total = np.bincount(text, logs, minlength=b.num_rows)
             n = np.bincount(text, minlength=b.num_rows)

@@ -52,7 +52,7 @@ def _raw(text: str | None) -> bytes:
     return t.encode("utf-8", "surrogatepass")
 
 
-def _hash_block(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+def _hash_block(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     data = np.frombuffer(b"\n".join([*raw, b""]), np.uint8)
     space = _SPACE[data]
     edge = np.flatnonzero(space[1:] != space[:-1]) + 1  # the last byte is a space
@@ -65,27 +65,29 @@ def _hash_block(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     hashes = mix((sums[last] - sums[first]) * inverse[first] + (last - first).astype(np.uint64))
     ends = np.cumsum([len(r) + 1 for r in raw])
     upto = np.searchsorted(first, ends)
-    return hashes, np.diff(np.concatenate([[0], upto]))
+    tails = data[last - 1].astype(np.uint16) << 8 | data[np.maximum(last - 2, first)]
+    return hashes, np.diff(np.concatenate([[0], upto])), tails
 
 
-def hash_texts(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
-    """Numbers of all words of all texts in a row, and how many each text has."""
-    hashes, counts, held, size = [], [], [], 0
+def hash_words(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Numbers of all words of all texts in a row, how many each text has, and the last two bytes of each word."""
+    parts, held, size = [], [], 0
     for t in texts:
         held.append(_raw(t))
         size += len(held[-1])
         if size >= BLOCK:
-            h, c = _hash_block(held)
-            hashes.append(h)
-            counts.append(c)
+            parts.append(_hash_block(held))
             held, size = [], 0
     if held:
-        h, c = _hash_block(held)
-        hashes.append(h)
-        counts.append(c)
-    if not hashes:
-        return np.zeros(0, np.uint64), np.zeros(0, np.int64)
-    return np.concatenate(hashes), np.concatenate(counts)
+        parts.append(_hash_block(held))
+    if not parts:
+        return np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.uint16)
+    return tuple(np.concatenate(x) for x in zip(*parts, strict=True))
+
+
+def hash_texts(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+    """Numbers of all words of all texts in a row, and how many each text has."""
+    return hash_words(texts)[:2]
 
 
 def text_hashes(text: str | None) -> np.ndarray:
