@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from copresence.model import Classes, Threshold
+from copresence.plans.shared import cut
 
 from . import clustering, mining, profiles
 from .agreement import ari, distance_spearman, nmi
@@ -74,7 +75,8 @@ VARIANTS = ("rounded", "binary", "absolute", "unnormalised", "cosine_average", "
 
 def compare(profile: DataFrame, method: str, metric: str, primary_labels: DataFrame, primary_dist: DataFrame, k: int) -> DataFrame:
     """features, ari, nmi, spearman of one solution against the primary one."""
-    own = clustering.labels(profile, [k], method).select("grp", F.col("cluster").alias("u"))
+    profile = cut(profile)
+    own = cut(clustering.labels(profile, [k], method).select("grp", F.col("cluster").alias("u")))
     base = primary_labels.select("grp", F.col("cluster").alias("v"))
     features = profile.select("feature").distinct().agg(F.count(F.lit(1)).alias("features"))
     dist = profiles.pairwise(profile, metric)
@@ -83,7 +85,8 @@ def compare(profile: DataFrame, method: str, metric: str, primary_labels: DataFr
 
 def variant_report(name: str, patterns: DataFrame, itemsets: DataFrame, classes: Classes, road_bit: int, k: int, threshold: Threshold | None = None) -> DataFrame:
     primary = profiles.l2(profiles.profiles(itemsets))
-    base, dist = clustering.labels(primary, [k]), profiles.pairwise(primary)
+    primary = cut(primary)
+    base, dist = cut(clustering.labels(primary, [k])), cut(profiles.pairwise(primary))
     profile, method, metric = variant_profile(name, itemsets, classes, road_bit, patterns, threshold)
     return compare(profile, method, metric, base, dist, k).select(F.lit(name).alias("variant"), "features", "ari", "nmi", "spearman")
 
@@ -95,10 +98,10 @@ def sensitivity_table(patterns: DataFrame, itemsets: DataFrame, classes: Classes
 def threshold_sensitivity(patterns: DataFrame, k: int, shares: list[str] | None = None, primary: str = PRIMARY) -> DataFrame:
     """threshold, features, ari, nmi, spearman; one mining at the least threshold serves all."""
     shares = shares or THRESHOLDS
-    every = mining.mine_many(patterns, shares).persist()
+    every = cut(mining.mine_many(patterns, shares))
     pick = lambda s: every.filter(F.col("threshold") == Threshold.relative(s).label)
-    base = profiles.l2(profiles.profiles(pick(primary)))
-    labels, dist = clustering.labels(base, [k]), profiles.pairwise(base)
+    base = cut(profiles.l2(profiles.profiles(pick(primary))))
+    labels, dist = cut(clustering.labels(base, [k])), cut(profiles.pairwise(base))
     rows = []
     for s in shares:
         own = profiles.l2(profiles.profiles(pick(s)))
@@ -109,5 +112,5 @@ def threshold_sensitivity(patterns: DataFrame, k: int, shares: list[str] | None
 def extent_sensitivity(core: DataFrame, full: DataFrame, k: int, threshold: Threshold | None = None) -> DataFrame:
     """PATTERNS of an inner and of the full extent: how much the boundary matters."""
     t = threshold or Threshold.relative(PRIMARY)
-    a, b = (profiles.l2(profiles.profiles(mining.mine(p, t))) for p in (core, full))
-    return compare(a, "ward", "euclidean", clustering.labels(b, [k]), profiles.pairwise(b), k)
+    a, b = (cut(profiles.l2(profiles.profiles(mining.mine(p, t)))) for p in (core, full))
+    return compare(a, "ward", "euclidean", cut(clustering.labels(b, [k])), cut(profiles.pairwise(b)), k)

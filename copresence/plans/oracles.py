@@ -408,8 +408,8 @@ add("semi_groups_with_set", *STRIP_ITEMS, last=f"SELECT grp, n FROM items_n WHER
 add("anti_missing_features", *STRIP_ITEMS, last="SELECT g.grp, f.itemset FROM (SELECT DISTINCT grp FROM items) g, (SELECT DISTINCT itemset FROM items WHERE k = 1) f WHERE NOT EXISTS (SELECT 1 FROM items i WHERE i.grp = g.grp AND i.itemset = f.itemset)")
 add("json_code_source", EVENT_UNITS.replace("AS bit, props", "AS bit0, (props::json->>'$.k')::integer // 5 AS bit, props"), EVENT_TX, PATTERNS, last="SELECT * FROM pat")
 PAGES = """
-pg AS (SELECT regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS grp, page_id, list_distinct(list_transform(regexp_extract_all(html, '<([a-zA-Z][a-zA-Z0-9]*)', 1), lambda t: lower(t))) AS items FROM pages),
-pn AS (SELECT grp, count(*) AS n FROM pg GROUP BY 1), pe AS (SELECT grp, page_id, unnest(items) AS item FROM pg),
+pg AS (SELECT regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS grp, page_id, list_transform(regexp_extract_all(html, '<([a-zA-Z][a-zA-Z0-9]*)', 1), lambda t: lower(t)) AS tags FROM pages),
+pn AS (SELECT grp, count(*) AS n FROM pg GROUP BY 1), pe AS (SELECT grp, page_id, item FROM (SELECT grp, page_id, unnest(tags) AS item FROM pg) GROUP BY 1, 2, 3 HAVING count(*) > 2),
 bk AS (SELECT grp, item, row_number() OVER (PARTITION BY grp ORDER BY item) - 1 AS bit FROM (SELECT grp, item, count(*) AS s FROM pe GROUP BY 1, 2) JOIN pn USING (grp) WHERE s * 10 >= n),
 pt AS (SELECT grp, page_id, bit_or(1::bigint << bit::integer) AS mask FROM pe JOIN bk USING (grp, item) GROUP BY 1, 2),
 pat AS (SELECT pg.grp, coalesce(mask, 0) AS mask, count(*) AS weight FROM pg LEFT JOIN pt ON pg.grp = pt.grp AND pg.page_id = pt.page_id GROUP BY 1, 2)"""

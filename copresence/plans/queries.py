@@ -916,7 +916,7 @@ def q_stream_patterns(s, d):
 def q_sql_mine_udtf(s, d):
     sqlapi.register(s)
     event_patterns(s, d).createOrReplaceTempView("event_patterns")
-    return s.sql("SELECT grp, itemset, sup, n FROM mine_itemsets(TABLE(SELECT grp, mask, weight FROM event_patterns) PARTITION BY grp, '10%')")
+    return s.sql("SELECT grp, itemset, sup, n FROM mine_itemsets(TABLE(SELECT grp, mask, weight FROM event_patterns) PARTITION BY (grp), '10%')")
 
 
 @query

@@ -112,10 +112,12 @@ def village(spark: SparkSession) -> tuple[DataFrame, DataFrame]:
     return units, pairs
 
 
-def page_transactions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Pages: the set of tag names (general alphabet), group by host."""
-    tags = F.array_sort(F.array_distinct(F.transform(F.regexp_extract_all("html", F.lit("<([a-zA-Z][a-zA-Z0-9]*)"), F.lit(1)), lambda t: F.lower(t))))
-    return read(spark, sf_dir, "pages").select(F.regexp_extract("url", "^[a-z]+://([^/]+)", 1).alias("grp"), F.col("page_id").alias("unit_id"), tags.alias("items"))
+def page_transactions(spark: SparkSession, sf_dir: str, over: int = 2) -> DataFrame:
+    """Pages: the set of tag names that a page uses more than `over` times (general alphabet), group by host."""
+    tags = F.transform(F.regexp_extract_all("html", F.lit("<([a-zA-Z][a-zA-Z0-9]*)"), F.lit(1)), lambda t: F.lower(t))
+    often = lambda t: F.size(F.filter("tags", lambda x: x == t)) > over
+    pages = read(spark, sf_dir, "pages").select(F.regexp_extract("url", "^[a-z]+://([^/]+)", 1).alias("grp"), F.col("page_id").alias("unit_id"), tags.alias("tags"))
+    return pages.select("grp", "unit_id", F.array_sort(F.filter(F.array_distinct("tags"), often)).alias("items"))
 
 
 def conversation_transactions(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -24,7 +24,7 @@ class Submasks:
 
 
 class MineItemsets:
-    """mine_itemsets(TABLE(patterns) PARTITION BY grp, '10%'): grp, itemset, sup, n of each group."""
+    """mine_itemsets(TABLE(patterns) PARTITION BY (grp), '10%'): grp, itemset, sup, n of each group."""
 
     def __init__(self):
         self.grp, self.share, self.masks, self.weights = None, None, [], []
