@@ -1,7 +1,8 @@
 """Line dedup by content-defined chunks of lines, with DataFrame functions only.
 
 Each line has a number from its digest; a polynomial rolling hash over the last WINDOW lines ends a chunk where it is 0
-modulo DIVISOR, so boundaries move with the content and an insertion shifts none behind it. Chunks of two or more lines
+modulo DIVISOR and was not a line before (so that a chunk has two lines at least, but at a text's end). Boundaries move
+with the content and an insertion shifts none behind it. Chunks of two or more lines
 that occur more than once in the table are removed but for the first occurrence (least doc_id, then first line).
 Chunks are grouped by digest and by their bytes, so two texts with one digest are never taken for each other.
 
@@ -46,7 +47,8 @@ def chunks(docs: DataFrame, window: int = WINDOW, divisor: int = DIVISOR) -> Dat
     d = docs.select("doc_id", F.split(whole("text"), "\n", -1).alias("lines")).filter(F.size("lines") > 1)
     d = d.withColumn("h", line_numbers(F.col("lines"))).withColumn("r", rolling(F.col("h"), window))
     last = F.size("lines") - 1
-    d = d.withColumn("ends", F.filter(F.sequence(F.lit(0), last), lambda i: (F.get("r", i) % divisor == 0) | (i == last)))
+    falls = lambda i: F.get("r", i) % divisor == 0
+    d = d.withColumn("ends", F.filter(F.sequence(F.lit(0), last), lambda i: ((i > 0) & falls(i) & ~falls(i - 1)) | (i == last)))
     d = d.withColumn("piece", F.explode(F.transform("ends", lambda e, j: F.struct(F.when(j > 0, F.get("ends", j - 1) + 1).otherwise(0).alias("start"), e.alias("end")))))
     d = d.filter("piece.end > piece.start")
     return d.select("doc_id", F.col("piece.start").cast("long").alias("start"), (F.col("piece.end") - F.col("piece.start") + 1).cast("long").alias("n_lines"), F.array_join(F.slice("lines", F.col("piece.start") + 1, F.col("piece.end") - F.col("piece.start") + 1), "\n").alias("chunk"))

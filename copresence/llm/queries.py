@@ -84,7 +84,8 @@ SELECT doc_id, source, size, total AS source_size, target, epochs::bigint AS epo
 _LINE_SQL = f"""
 WITH d AS (SELECT doc_id, text, CASE WHEN coalesce(text, '') = '' THEN [] ELSE string_split(text, chr(10)) END AS lines FROM documents),
 n AS (SELECT *, list_transform(lines, lambda x: ('0x' || substr(md5(x), 1, 6))::bigint) AS h FROM d),
-b AS (SELECT *, list_filter(range(1, len(lines) + 1), lambda i: i = len(lines) OR (CASE WHEN i > 1 THEN h[i - 1] * {linededup.BASE} ELSE 0 END + h[i]) % {linededup.PRIME} % {linededup.DIVISOR} = 0) AS ends FROM n),
+q AS (SELECT *, list_transform(range(1, len(lines) + 1), lambda i: (CASE WHEN i > 1 THEN h[i - 1] * {linededup.BASE} ELSE 0 END + h[i]) % {linededup.PRIME} % {linededup.DIVISOR}) AS r FROM n),
+b AS (SELECT *, list_filter(range(1, len(lines) + 1), lambda i: i = len(lines) OR (i > 1 AND r[i] = 0 AND r[i - 1] <> 0)) AS ends FROM q),
 c AS (SELECT doc_id, j, ends, lines, unnest(range(1, len(ends) + 1)) AS j1 FROM (SELECT *, 0 AS j FROM b)),
 e AS (SELECT doc_id, CASE WHEN j1 > 1 THEN ends[j1 - 1] + 1 ELSE 1 END AS s, ends[j1] AS t, lines FROM c),
 k AS (SELECT doc_id, s - 1 AS start, t - s + 1 AS n, array_to_string(lines[s:t], chr(10)) AS chunk FROM e WHERE t > s),
