@@ -30,16 +30,17 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     Each round takes the least root among a node's neighbours and then jumps to that root's root, so chains halve.
     State is written to the shared folder each round; only one changed-row count comes to the driver.
     """
-    both = cut(edges.select("a", "b").filter("a <> b").distinct())
-    both = both.unionByName(both.select(F.col("b").alias("a"), F.col("a").alias("b")))
+    once = cut(edges.select("a", "b").filter("a <> b").distinct())
+    both = once.unionByName(once.select(F.col("b").alias("a"), F.col("a").alias("b")))
     state = cut(both.groupBy(F.col("a").alias("id")).agg(F.min("b").alias("m")).select("id", F.least("id", "m").alias("root")))
     for _ in range(max_rounds):
-        near = both.join(state.select(F.col("id").alias("b"), "root"), "b").groupBy(F.col("a").alias("id")).agg(F.min("root").alias("near"))
-        step = state.join(near, "id", "left").select("id", F.col("root").alias("was"), F.least("root", F.coalesce("near", "root")).alias("root"))
-        jump = step.select(F.col("id").alias("root"), F.col("root").alias("up"))
-        state = cut(step.join(jump, "root", "left").select("id", "was", F.least("root", F.coalesce("up", "root")).alias("root")))
-        changed = state.filter("was <> root").limit(1).count()
+        near = both.join(state.select(F.col("id").alias("b"), "root"), "b").select(F.col("a").alias("id"), "root").unionByName(state)
+        step = near.groupBy("id").agg(F.min("root").alias("root"), F.max("root").alias("most"))
+        up = state.select(F.col("id").alias("root"), F.col("root").alias("up"))
+        # settled: every node and its neighbours had one root already, and that root is its own root
+        state = cut(step.join(up, "root", "left").select("id", F.coalesce("up", "root").alias("root"), ((F.col("most") != F.col("root")) | (F.coalesce("up", "root") != F.col("root"))).alias("moved")))
+        moved = state.filter("moved").limit(1).count()
         state = state.select("id", "root")
-        if not changed:
+        if not moved:
             return state
     raise RuntimeError(f"components did not settle in {max_rounds} rounds")

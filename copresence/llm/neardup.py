@@ -7,11 +7,15 @@ equal to their weighted Jaccard similarity. Ranks are thrown a level at a time u
 K ln K darts for short and long documents alike.
 
 Steps. (1) One scan gives each document a content digest, its bands and a bit sketch of its signature; no text is
-moved. (2) Equal texts are one node. (3) In every band bucket each member is compared with one centre, for a few rounds
-with another centre, always by exact similarity of the shingles; members already in the centre's component are left
-out. (4) Whatever is still apart in a bucket is compared with all members of other components, first by length and
-sketch (both only drop pairs that can't be 0.8 alike, the sketch with a margin of over six standard deviations), then
-exactly. (5) Components of the links are the classes. A bucket of thousands of copies costs its size times the rounds.
+moved. (2) Equal texts are one node. (3) Each band bucket has a centre, its member that meets most others in all its
+buckets; every member is compared with it exactly. Those that aren't alike to it are compared with a second centre among
+them and with their kin: the member that has a change against the centre in common with them and fewest changes in all.
+(4) Around a centre whose members still lie in several components, members at least half like the centre are known by
+their changes against it (shingles that came or went), and the similarity of any two follows exactly from the changes
+they share; this is worked in blocks of bounded size, those apart from the centre against all, and one link a component
+is kept. Members less than half like the centre are paired by bucket, sketch, length and the triangle inequality of the
+distance, then compared exactly. Only the sketch could drop a true pair, with a margin of over five standard deviations.
+(5) Components of the links are the classes. No step makes a row for each pair of a group.
 
 Defined cases: null and empty texts (no words) are copies of each other if their bytes are the same and have no other
 links; null counts as empty; repeated rows are copies; null ids are documents of the same table and join by digest;
@@ -25,51 +29,67 @@ import math
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from copresence.ship import arrow_map
+from copresence.ship import arrow_map, pandas_groups
 
 from .common import components, cut, whole
-from .words import STEP, hash_texts, mix, shingles, text_hashes, weighted_similarity
+from .words import MIX1, STEP, hash_texts, mix, shingles, text_hashes
 
 SIMILARITY = 0.8
+HALF = 0.5  # from this similarity to a centre on, changes against the centre are listed
+MEMBERS = 256  # about so many members of a centre are worked at once
 BANDS, ROWS = 28, 5
 K = BANDS * ROWS
-ROUNDS = 2  # centres that a bucket's members are compared with before all are
 SKETCH_WORDS = (K + 63) // 64
-SKETCH_SLACK = 36  # differing bits: 0.8 alike gives 14 of 140 (deviation 3.5)
-_POISSON = np.cumsum([math.exp(-1) / math.factorial(i) for i in range(16)])
-
-
-def _darts(cells: np.ndarray, level: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Darts that fall into unit cells between the ranks level and level + 1: rank above level (a 64-bit fraction),
-    coordinate, name."""
-    seed = mix(cells + np.uint64((level + 1) * int(STEP) % (1 << 64)))
-    count = np.searchsorted(_POISSON, (seed >> np.uint64(11)).astype(np.float64) * 2.0**-53)
-    owner = np.repeat(seed, count)
-    turn = np.arange(1, len(owner) + 1) - np.repeat(np.cumsum(count) - count, count)
-    rank = mix(owner + turn.astype(np.uint64) * STEP)
-    name = mix(rank)
-    return rank, ((name >> np.uint64(32)) * np.uint64(K) >> np.uint64(32)).astype(np.int64), name
+SKETCH_SLACK = 32  # differing bits: texts 0.8 alike have 14 of 140 (deviation 3.5)
+_FIRST = mix(np.zeros(1, np.uint64))
+#: Darts in a unit cell, by the leading 16 bits of its number: Poisson with mean 1.
+_DARTS = np.searchsorted(np.cumsum([math.exp(-1) / math.factorial(i) for i in range(12)]), (np.arange(1 << 16) + 0.5) / (1 << 16)).astype(np.int8)
+
+
+def _darts(cells: np.ndarray, low: int, high: int) -> np.ndarray:
+    """Darts that fall into unit cells between the ranks low and high, each as a number: coordinate in the leading 8
+    bits, level in 12, rank above the level in 44."""
+    levels = np.arange(low, high, dtype=np.uint64)
+    seed = mix((cells[:, None] + (levels + np.uint64(1)) * STEP).ravel())
+    count = _DARTS[seed >> np.uint64(48)]
+    thrown = np.flatnonzero(count)
+    again = count[thrown]
+    owner = np.repeat(thrown, again)
+    turn = np.ones(len(owner), np.uint64)
+    for k in range(2, int(again.max(initial=0)) + 1):  # the k-th dart of a cell follows its (k-1)-th
+        turn[1:][(owner[1:] == owner[:-1]) & (turn[:-1] == k - 1)] = k
+    rank = mix(seed[owner] + turn * STEP)
+    at = ((rank * MIX1) >> np.uint64(32)) * np.uint64(K) >> np.uint64(32)
+    level = levels[owner % len(levels)] if high - low > 1 else levels
+    return at << np.uint64(56) | level << np.uint64(44) | rank >> np.uint64(20)
 
 
 def signature(elements: np.ndarray) -> np.ndarray:
     """K coordinates (uint64) of a multiset of element numbers; elements must not be empty."""
     elements = np.sort(elements)
-    first = np.flatnonzero(np.concatenate([[True], elements[1:] != elements[:-1]]))
-    copy = np.arange(len(elements)) - np.repeat(first, np.diff(np.append(first, len(elements))))
-    cells = mix(elements ^ mix(copy.astype(np.uint64) * STEP))
-    out, filled, level = np.zeros(K, np.uint64), np.zeros(K, bool), 0
+    same = elements[1:] == elements[:-1]
+    cells = elements ^ _FIRST
+    if same.any():
+        first = np.flatnonzero(np.concatenate([[True], ~same]))
+        copy = np.arange(len(elements)) - np.repeat(first, np.diff(np.append(first, len(elements))))
+        cells = elements ^ mix(copy.astype(np.uint64) * STEP)
+    cells = mix(cells)
+    out, filled, low = np.zeros(K, np.uint64), np.zeros(K, bool), 0
+    levels = math.ceil(K * (math.log(K) + 0.6) / len(cells))
     while not filled.all():  # a dart of an earlier level has the lesser rank
-        rank, at, name = _darts(cells, level)
-        order = np.argsort(rank)[::-1]  # of several writes to a coordinate the last, of least rank, stays
-        now, hit = out.copy(), np.zeros(K, bool)
-        now[at[order]], hit[at] = name[order], True
-        out = np.where(filled, out, now)
-        filled |= hit
-        level += 1
+        dart = np.sort(_darts(cells, low, low + levels))
+        at = (dart >> np.uint64(56)).astype(np.int64)
+        first = np.flatnonzero(np.diff(at, prepend=-1))
+        new = first[~filled[at[first]]]
+        out[at[new]] = dart[new]
+        filled[at[new]] = True
+        low, levels = low + levels, max(1, levels // 3)
     return out
 
 
@@ -115,75 +135,172 @@ def signed(docs: DataFrame) -> DataFrame:
     return arrow_map(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.md5(whole("text")).alias("digest"), whole("text").alias("text")), run, SIGNED)
 
 
-def _alike(pairs: DataFrame, texts: DataFrame, least: float) -> DataFrame:
-    """pairs(a, b) whose shingles are at least `least` alike, exactly. A text is sent once a pair and side."""
+COMPARED = "a long, b long, wa long, wb long, common long, changes array<long>"
+
+
+def _copies(values: np.ndarray, times: np.ndarray, sign: int) -> np.ndarray:
+    """A number for each value and each of its copies."""
+    values, times = values[times > 0], times[times > 0]
+    if not len(times):
+        return values
+    copy = np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times)
+    return mix(np.repeat(values, times) ^ mix((2 * copy + sign + 1).astype(np.uint64) * STEP))
+
+
+def _compared(pairs: DataFrame, texts: DataFrame, listed: bool = False) -> DataFrame:
+    """pairs(a, b) -> their numbers of shingles, how many they share, and (listed, from HALF on) the changes from a to b:
+    a number for each shingle, copies told apart, that came or went. Exact; a text is sent once a pair and side."""
     both = pairs.join(texts.select(F.col("node").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("node").alias("b"), F.col("text").alias("tb")), "b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last: tuple[str | None, np.ndarray] = None, np.zeros(0, np.uint64)
-        for b in batches:
-            keep = []
-            for x, y in zip(b.column(2), b.column(3), strict=True):
+        last: tuple[str | None, np.ndarray, np.ndarray] = None, np.zeros(0, np.uint64), np.zeros(0)
+        for batch in batches:
+            rows = []
+            for x, y in zip(batch.column(2), batch.column(3), strict=True):
                 x = x.as_py()
                 if x != last[0]:
-                    last = x, shingles(text_hashes(x))
-                keep.append(weighted_similarity(last[1], shingles(text_hashes(y.as_py()))) >= least)
-            keep = pa.array(keep, pa.bool_())
-            yield pa.RecordBatch.from_arrays([b.column(0).filter(keep), b.column(1).filter(keep)], names=["a", "b"])
-
-    return arrow_map(both.select("a", "b", "ta", "tb"), run, "a long, b long")
+                    last = x, *np.unique(shingles(text_hashes(x)), return_counts=True)
+                _, u, k = last
+                v, n = np.unique(shingles(text_hashes(y.as_py())), return_counts=True)
+                at = np.minimum(np.searchsorted(u, v), len(u) - 1)
+                same = u[at] == v
+                held = np.where(same, k[at], 0)
+                wa, wb, common = int(k.sum()), int(n.sum()), int(np.minimum(n, held).sum())
+                changes = None
+                if listed and common >= HALF * (wa + wb - common):
+                    gone = k.copy()
+                    gone[at[same]] -= np.minimum(n, held)[same]
+                    changes = np.concatenate([_copies(v, n - np.minimum(n, held), 0), _copies(u, gone, 1)]).view(np.int64)
+                rows.append((wa, wb, common, changes))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *[pa.array([r[i] for r in rows], pa.int64()) for i in range(3)], pa.array([r[3] for r in rows], pa.list_(pa.int64()))], names=["a", "b", "wa", "wb", "common", "changes"])
+
+    return arrow_map(both.select("a", "b", "ta", "tb"), run, COMPARED)
+
+
+def _is_alike(least: float) -> Column:
+    return F.col("common") >= F.lit(least) * (F.col("wa") + F.col("wb") - F.col("common"))
+
+
+def _nodes(every: DataFrame) -> DataFrame:
+    """One row a text: digest, node (its least id, or a number from the digest where that id stands for two texts or is
+    null), least_id, copies, weight, bands, sketch."""
+    low = F.lit(-(1 << 62))
+    nodes = every.groupBy("digest").agg(F.min(F.coalesce("doc_id", low)).alias("node"), F.count(F.lit(1)).alias("copies"), F.first("weight").alias("weight"), F.first("bands").alias("bands"), F.first("sketch").alias("sketch"))
+    clash = (F.col("node") == low) | (F.count(F.lit(1)).over(W.partitionBy("node")) > 1)
+    named = nodes.withColumn("clash", clash).withColumn("least_id", F.when(F.col("node") != low, F.col("node")))
+    return named.withColumn("node", F.when(F.col("clash"), -F.abs(F.xxhash64("digest") % F.lit(1 << 61)) - 2).otherwise(F.col("node"))).drop("clash")
+
+
+def _links(docs: DataFrame, nodes: DataFrame, least: float) -> tuple[DataFrame, DataFrame]:
+    """Links between nodes, a row (a, b) each, that connect every class; and the components (id, root)."""
+    buckets = nodes.filter("weight > 0").select("node", F.explode("bands").alias("bucket"))
+    shared = buckets.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+    met = cut(buckets.join(shared, "bucket"))
+    popular = met.groupBy("node").agg(F.sum("n").alias("met"))
+    texts = _texts(docs, nodes, popular)
+    center = lambda rows: rows.groupBy("bucket").agg(F.max(F.struct("met", (-F.col("node")).alias("minus"))).alias("m")).select("bucket", (-F.col("m.minus")).alias("center"))
+    met = met.select("bucket", "node").join(popular, "node")
+    members = cut(met.join(center(met), "bucket").select("bucket", "node", "met", "center"))
+    star = cut(_compared(members.filter("node <> center").select(F.col("center").alias("a"), F.col("node").alias("b")).distinct(), texts, listed=True))
+
+    # those that aren't alike to their centre: with a second centre among them, and with their kin
+    far = members.join(star.filter(~_is_alike(least)).select(F.col("a").alias("center"), F.col("b").alias("node")), ["center", "node"])
+    second = far.join(center(far).withColumnRenamed("center", "next"), "bucket").filter("node <> next").select(F.col("next").alias("a"), F.col("node").alias("b"))
+    tried = second.unionByName(_kin(star.withColumn("out", ~_is_alike(least)))).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    tried = cut(_compared(tried, texts))
+    links = star.filter(_is_alike(least)).select("a", "b").unionByName(tried.filter(_is_alike(least)).select("a", "b"))
+    roots = components(links)
+
+    rows = _around_centers(star, roots)
+    far = cut(_compared(_far_pairs(nodes, members, rows, least).join(tried.select("a", "b"), ["a", "b"], "left_anti"), texts).filter(_is_alike(least)).select("a", "b"))
+    last = cut(far.unionByName(_near_links(rows, least)).distinct())
+    if last.limit(1).count():
+        links = links.unionByName(last)
+        roots = components(links)
+    return links, roots
+
+
+def _kin(star: DataFrame) -> DataFrame:
+    """Pairs of a text that isn't alike to its centre and, for each of its changes that other members have too, the one
+    of these with fewest changes: a copy's source has what the copy has but the copy's last changes."""
+    each = star.filter(F.col("changes").isNotNull()).select(F.col("a").alias("center"), F.col("b").alias("node"), "out", F.size("changes").alias("n"), F.explode("changes").alias("e"))
+    plain = each.groupBy("center", "e").agg(F.min(F.struct("n", "node")).alias("p"), F.count(F.lit(1)).alias("c")).filter("c > 1")
+    hit = each.filter("out").join(plain, ["center", "e"]).filter(F.col("node") != F.col("p.node"))
+    return hit.select(F.col("p.node").alias("a"), F.col("node").alias("b")).distinct()
+
+
+def _around_centers(star: DataFrame, roots: DataFrame) -> DataFrame:
+    """Members of the centres that don't hold all their members in one component."""
+    to = star.select(F.col("a").alias("center"), F.col("b").alias("node"), F.col("wa").alias("wc"), F.col("wb").alias("w"), "common", "changes", (F.col("common") / (F.col("wa") + F.col("wb") - F.col("common"))).alias("sim"))
+    rows = _rooted(to, roots).withColumn("out", F.col("root") != F.col("center_root"))
+    return cut(rows.join(rows.filter("out").select("center").distinct(), "center"))
+
+
+def _near_links(rows: DataFrame, least: float) -> DataFrame:
+    """Links between members at least half like their centre, from their changes: with i in common with the centre c,
+    two members x, y share i_x + i_y - |c| + (changes in common) shingles. For each x apart from the centre's component
+    and each other component, one link."""
+    near = rows.filter(F.col("changes").isNotNull())
+    size = near.groupBy("center").agg(F.ceil(F.count(F.lit(1)) / MEMBERS).cast("int").alias("blocks"))
+    near = near.join(size, "center").withColumn("y", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    pack = lambda df, name: df.groupBy("center", "blocks", "wc", "y").agg(F.collect_list(F.struct("node", "root", "w", "common", "changes")).alias(name))
+    own = pack(near.filter("out"), "px").withColumnRenamed("y", "x").withColumn("y", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    both = own.join(pack(near, "py").select("center", "y", "py"), ["center", "y"])
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        found = []
+        for wc, px, py in zip(pdf["wc"], pdf["px"], pdf["py"], strict=True):
+            flat_x, flat_y = (np.concatenate([np.asarray(r["changes"], np.int64) for r in p]) for p in (px, py))
+            both_have = np.intersect1d(flat_x, flat_y)
+            grids = []
+            for p, flat in ((px, flat_x), (py, flat_y)):
+                owner = np.repeat(np.arange(len(p)), [len(r["changes"]) for r in p])
+                at = np.minimum(np.searchsorted(both_have, flat), max(len(both_have) - 1, 0))
+                hit = both_have[at] == flat if len(both_have) else np.zeros(len(flat), bool)
+                grid = np.zeros((len(p), len(both_have)), np.float32)
+                grid[owner[hit], at[hit]] = 1
+                grids.append(grid)
+            w, common, root = (([np.array([r[c] for r in p], np.int64) for p in (px, py)]) for c in ("w", "common", "root"))
+            shared = common[0][:, None] + common[1][None] - wc + np.rint(grids[0] @ grids[1].T).astype(np.int64)
+            ok = (shared >= least * (w[0][:, None] + w[1][None] - shared)) & (root[0][:, None] != root[1][None])
+            for i in np.flatnonzero(ok.any(1)):
+                other = np.flatnonzero(ok[i])
+                _, first = np.unique(root[1][other], return_index=True)
+                found += [(px[i]["node"], py[k]["node"]) for k in other[first]]
+        return pd.DataFrame(found, columns=["a", "b"]).astype("int64")
+
+    return pandas_groups(both, ["center", "x", "y"], run, "a long, b long").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+
+
+def _far_pairs(nodes: DataFrame, members: DataFrame, rows: DataFrame, least: float) -> DataFrame:
+    """Pairs (a < b) of different components, one of them less than half like their bucket's centre, that length,
+    sketch and the triangle inequality allow to be alike."""
+    facts = nodes.select("node", "weight", *[F.get("sketch", F.lit(i)).alias(f"s{i}") for i in range(SKETCH_WORDS)])
+    placed = members.join(rows.filter(F.col("sim") < HALF + 1 - least + 1e-9).select("center", "node", "sim", "root"), ["center", "node"]).join(facts, "node")
+    u, v = placed.filter(F.col("sim") < HALF).alias("u"), placed.alias("v")
+    bits = " + ".join(f"bit_count(u.s{i} ^ v.s{i})" for i in range(SKETCH_WORDS))
+    alike = F.expr(f"u.bucket = v.bucket AND u.root <> v.root AND abs(u.sim - v.sim) <= {1 - least + 1e-9} AND least(u.weight, v.weight) >= {least} * greatest(u.weight, v.weight) AND {bits} <= {SKETCH_SLACK}")
+    return u.join(v, alike).select(F.least("u.node", "v.node").alias("a"), F.greatest("u.node", "v.node").alias("b")).distinct()
+
+
+def _texts(docs: DataFrame, nodes: DataFrame, wanted: DataFrame) -> DataFrame:
+    """node, text of the wanted nodes. They are a share of all texts, so the join is by shuffle at any size."""
+    wanted = wanted.select("node").join(nodes.select("node", "digest"), "node").hint("merge")
+    return cut(docs.select(F.md5(whole("text")).alias("digest"), whole("text").alias("text")).join(wanted, "digest").groupBy("node").agg(F.first("text").alias("text")))
 
 
-def _close(least: float) -> str:
-    """SQL: whether lengths and sketches of x and y allow the similarity."""
-    bits = " + ".join(f"bit_count(x.s{i} ^ y.s{i})" for i in range(SKETCH_WORDS))
-    return f"least(x.weight, y.weight) >= {least} * greatest(x.weight, y.weight) AND {bits} <= {SKETCH_SLACK}"
+def _rooted(rows: DataFrame, roots: DataFrame) -> DataFrame:
+    """rows(node, center) with the components of both."""
+    m = rows.join(roots.select(F.col("id").alias("node"), "root"), "node", "left").join(roots.select(F.col("id").alias("center"), F.col("root").alias("center_root")), "center", "left")
+    return m.withColumn("root", F.coalesce("root", "node")).withColumn("center_root", F.coalesce("center_root", "center"))
 
 
 def classes(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
-    """One row per document: doc_id, class_id (least doc_id of its class), copies (documents with its very text), and
-    links (texts found alike to its text; every class is connected by the links)."""
+    """One row per document: doc_id, digest, class_id (least doc_id of its class), class_digest, copies (documents with
+    its very text), links (other texts that were found alike to its text; the links connect every class)."""
     every = cut(signed(docs))
-    low = F.lit(-(1 << 62))
-    nodes = every.groupBy("digest").agg(F.min(F.coalesce("doc_id", low)).alias("node"), F.count(F.lit(1)).alias("copies"), F.first("weight").alias("weight"), F.first("bands").alias("bands"), F.first("sketch").alias("sketch"))
-    # an id that stands for two texts (clashing or null ids) can't name a node; such texts are named by digest
-    nodes = nodes.withColumn("twice", F.col("node") == low)
-    clash = nodes.groupBy("node").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("node", F.lit(True).alias("clash"))
-    nodes = cut(nodes.join(clash, "node", "left").withColumn("least_id", F.when(~F.col("twice"), F.col("node"))).withColumn("node", F.when(F.col("clash") | F.col("twice"), -F.abs(F.xxhash64("digest") % F.lit(1 << 61)) - 2).otherwise(F.col("node"))).select("digest", "node", "least_id", "copies", "weight", "bands", *[F.get("sketch", F.lit(i)).alias(f"s{i}") for i in range(SKETCH_WORDS)]))
-    facts = ["weight", *[f"s{i}" for i in range(SKETCH_WORDS)]]
-    buckets = cut(nodes.filter("weight > 0").select("node", F.posexplode("bands").alias("band", "bucket"), *facts))
-    shared = cut(buckets.groupBy("band", "bucket").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("center")).filter("n > 1"))
-    members = cut(buckets.join(shared.drop("n"), ["band", "bucket"]))
-    texts = _texts(docs, nodes, members)
-    links = None
-    roots = None
-    tried = None
-    for turn in range(ROUNDS):
-        if turn == 0:
-            pairs = members.filter("node <> center").select(F.col("center").alias("a"), F.col("node").alias("b")).distinct()
-        else:
-            apart = _apart(members, roots)
-            if apart is None:
-                break
-            # the next centre of a bucket: its least member outside the last centre's component
-            centers = apart.filter("root <> center_root").groupBy("band", "bucket").agg(F.min("node").alias("next"))
-            moved = apart.drop("center", "center_root").join(centers, ["band", "bucket"]).withColumnRenamed("next", "center")
-            members = cut(_with_center_root(moved.drop("root"), roots).filter("root <> center_root OR node = center").drop("root", "center_root"))
-            pairs = _with_center_root(members, roots).filter("root <> center_root").select(F.least("center", "node").alias("a"), F.greatest("center", "node").alias("b")).distinct().join(tried, ["a", "b"], "left_anti")
-        pairs = cut(pairs)
-        tried = pairs if tried is None else tried.unionByName(pairs)
-        found = cut(_alike(pairs, texts, least))
-        links = found if links is None else links.unionByName(found)
-        roots = components(links)
-    members = buckets.join(shared.drop("n"), ["band", "bucket"])
-    apart = _apart(cut(members), roots)
-    if apart is not None:
-        apart = cut(apart)
-        x, y = apart.filter("root <> center_root").alias("x"), apart.alias("y")  # one of a pair is outside the centre's component
-        meet = F.expr(f"x.band = y.band AND x.bucket = y.bucket AND x.root <> y.root AND {_close(least)}")
-        pairs = cut(x.join(y, meet).select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct().join(tried, ["a", "b"], "left_anti"))
-        links = links.unionByName(cut(_alike(pairs, texts, least)))
-        roots = components(links)
+    nodes = cut(_nodes(every))
+    links, roots = _links(docs, nodes, least)
     degree = links.unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).groupBy(F.col("a").alias("node")).agg(F.count(F.lit(1)).alias("links"))
     placed = nodes.select("digest", "node", "least_id", "copies").join(roots.withColumnRenamed("id", "node"), "node", "left").join(degree, "node", "left").withColumn("root", F.coalesce("root", "node"))
     named = placed.groupBy("root").agg(F.min("least_id").alias("class_id"), F.min("digest").alias("class_digest"))
@@ -191,26 +308,6 @@ def classes(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
     return every.select("doc_id", "digest").join(placed, "digest")
 
 
-def _texts(docs: DataFrame, nodes: DataFrame, members: DataFrame) -> DataFrame:
-    """node, text of the nodes that share a bucket with another."""
-    wanted = members.select("node").distinct().join(nodes.select("node", "digest"), "node")
-    return cut(docs.select(F.md5(whole("text")).alias("digest"), whole("text").alias("text")).join(wanted, "digest").groupBy("node").agg(F.first("text").alias("text")))
-
-
-def _with_center_root(members: DataFrame, roots: DataFrame) -> DataFrame:
-    m = members.join(roots.select(F.col("id").alias("node"), "root"), "node", "left").join(roots.select(F.col("id").alias("center"), F.col("root").alias("center_root")), "center", "left")
-    return m.withColumn("root", F.coalesce("root", "node")).withColumn("center_root", F.coalesce("center_root", "center"))
-
-
-def _apart(members: DataFrame, roots: DataFrame) -> DataFrame | None:
-    """Members (with root and center_root) of the buckets that hold more than one component; None if there are none."""
-    m = _with_center_root(members, roots)
-    split = cut(m.filter("root <> center_root").select("band", "bucket").distinct())
-    if not split.limit(1).count():
-        return None
-    return m.join(split, ["band", "bucket"])
-
-
 def near_duplicates(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
     """doc_id, class_id, copies, links."""
     return classes(docs, least).select("doc_id", "class_id", F.col("copies").cast("long").alias("copies"), F.col("links").cast("long").alias("links"))
@@ -219,12 +316,12 @@ def near_duplicates(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
 def keep_one(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
     """docs with one row of each class: that of the least doc_id (nulls last), then digest, then any of equal rows."""
     c = classes(docs, least).select("doc_id", "digest", "class_id", "class_digest")
-    c = c.withColumn("best", F.col("doc_id").eqNullSafe(F.col("class_id")))
-    chosen = cut(c.filter("best").groupBy("class_id", "class_digest", "doc_id").agg(F.min("digest").alias("digest"), F.count(F.lit(1)).alias("n")).select("doc_id", "digest", "n"))
+    best = c.filter(F.col("doc_id").eqNullSafe(F.col("class_id")))
+    chosen = cut(best.groupBy("class_id", "class_digest", "doc_id").agg(F.min("digest").alias("d"), F.count(F.lit(1)).alias("n")).select(F.col("doc_id").alias("__id"), F.col("d").alias("__d"), F.col("n").alias("__n")))
     keyed = docs.withColumn("__digest", F.md5(whole("text")))
-    on = keyed["doc_id"].eqNullSafe(chosen["doc_id"]) & (F.col("__digest") == F.col("digest"))
-    once = keyed.join(chosen.filter("n = 1"), on, "left_semi")
-    if chosen.filter("n > 1").limit(1).count():  # the same row more than once
-        more = keyed.join(chosen.filter("n > 1"), on, "left_semi")
+    on = F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("__digest") == F.col("__d"))
+    once = keyed.join(chosen.filter("__n = 1"), on, "left_semi")
+    if chosen.filter("__n > 1").limit(1).count():  # the same row more than once
+        more = keyed.join(chosen.filter("__n > 1"), on, "left_semi")
         once = once.unionByName(more.dropDuplicates(["doc_id", "__digest"]))
     return once.drop("__digest")
