@@ -33,23 +33,24 @@ def matrix(pdf: pd.DataFrame) -> tuple[list[str], np.ndarray, np.ndarray]:
     return grp, feature, x
 
 
-def _costs(x: np.ndarray, method: str) -> np.ndarray:
+def _costs(x: np.ndarray, method: str, size: np.ndarray) -> np.ndarray:
     """Cost of joining each pair of rows."""
     if method == "ward":
         sq = (x * x).sum(1)
-        return np.maximum(sq[:, None] + sq[None] - 2 * x @ x.T, 0) / 2
+        return np.maximum(sq[:, None] + sq[None] - 2 * x @ x.T, 0) * (size[:, None] * size[None] / (size[:, None] + size[None]))
     norm = np.sqrt((x * x).sum(1))
     u = np.divide(x, norm[:, None], out=np.zeros_like(x), where=norm[:, None] > 0)
     return 1 - u @ u.T
 
 
-def linkage(x: np.ndarray, method: str = "ward") -> np.ndarray:
+def linkage(x: np.ndarray, method: str = "ward", sizes: np.ndarray | None = None) -> np.ndarray:
     """Merges (left, right, height, size) of the rows of x; leaf ids 0..G-1, merge t makes G + t. method: ward, or
-    average (mean cosine distance)."""
+    average (mean cosine distance). sizes: the rows are centroids of so many points each (ward)."""
     n = len(x)
-    cost = _costs(x, method)
+    size = np.ones(n) if sizes is None else np.array(sizes, float)
+    cost = _costs(x, method, size)
     np.fill_diagonal(cost, np.inf)
-    size, name, alive = np.ones(n), list(range(n)), np.ones(n, bool)
+    name, alive = list(range(n)), np.ones(n, bool)
     upper = np.triu(np.ones((n, n), bool), 1)
     out = np.zeros((max(n - 1, 0), 4))
     work = np.where(upper, np.round(cost, PLACES), np.inf)
@@ -175,35 +176,47 @@ def heatmap(dist: DataFrame, order: DataFrame) -> DataFrame:
 # ---- beyond one task
 
 
-def ward_rounds(profile: DataFrame, max_rounds: int = 200) -> DataFrame:
+def ward_rounds(profile: DataFrame, gather_below: int = GATHER, max_rounds: int = 200) -> DataFrame:
     """Ward's tree by rounds over (cluster, feature, sum) rows: every cluster finds its nearest, pairs that chose each
-    other merge, sums add up. Returns left, right (least group names), height, size; sorted by height it is the tree.
+    other merge, sums add up; when gather_below clusters or fewer are left, one task finishes on their centroids.
+    Returns left, right (least group names), height, size; sorted by height it is the tree.
 
     State is one row per cluster and feature, written to the shared folder each round; distances are never stored."""
-    state = write(profile.select(F.col("grp").alias("c"), "feature", F.col("value").alias("s")))
-    sizes = write(profile.select(F.col("grp").alias("c")).distinct().withColumn("n", F.lit(1).cast("long")))
+    state = write(profile.select(F.col("grp").alias("c"), F.lit(1).cast("long").alias("n"), "feature", F.col("value").alias("s")))
     done: DataFrame | None = None
     for _ in range(max_rounds):
-        if sizes.limit(2).count() < 2:
+        if state.select("c").distinct().limit(gather_below + 1).count() <= gather_below:
             break
-        mean = state.join(sizes, "c").select("c", "feature", (F.col("s") / F.col("n")).alias("v"))
-        sq = sizes.join(mean.groupBy("c").agg(F.sum(F.col("v") * F.col("v")).alias("q")), "c", "left").select("c", "n", F.coalesce("q", F.lit(0.0)).alias("q"))
+        mean = state.select("c", "n", "feature", (F.col("s") / F.col("n")).alias("v"))
+        sq = mean.groupBy("c", "n").agg(F.sum(F.col("v") * F.col("v")).alias("q"))
         x, y = mean.select(F.col("c").alias("a"), "feature", F.col("v").alias("va")), mean.select(F.col("c").alias("b"), "feature", F.col("v").alias("vb"))
         dots = x.join(y, "feature").filter("a < b").groupBy("a", "b").agg(F.sum(F.col("va") * F.col("vb")).alias("dot"))
         pairs = sq.select(F.col("c").alias("a"), F.col("n").alias("na"), F.col("q").alias("qa")).join(sq.select(F.col("c").alias("b"), F.col("n").alias("nb"), F.col("q").alias("qb")), F.col("a") < F.col("b")).join(dots, ["a", "b"], "left")
         inc = F.round(F.greatest(F.lit(0.0), F.col("qa") + F.col("qb") - 2 * F.coalesce("dot", F.lit(0.0))) * F.col("na") * F.col("nb") / (F.col("na") + F.col("nb")), PLACES)
         # a pair's cost is computed once and counts for both its ends
-        each = pairs.select(F.struct(inc.alias("inc"), F.col("a").alias("lo"), F.col("b").alias("hi")).alias("m"))
-        near = each.select(F.explode(F.array("m.lo", "m.hi")).alias("c"), "m").groupBy("c").agg(F.min("m").alias("m"))
-        chosen = write(near.groupBy("m").agg(F.count(F.lit(1)).alias("votes")).filter("votes = 2").select("m.lo", "m.hi", "m.inc"))
-        both = chosen.join(sizes.select(F.col("c").alias("lo"), F.col("n").alias("n1")), "lo").join(sizes.select(F.col("c").alias("hi"), F.col("n").alias("n2")), "hi")
-        rows = write(both.select(F.col("lo").alias("left"), F.col("hi").alias("right"), F.sqrt(2 * F.col("inc")).alias("height"), (F.col("n1") + F.col("n2")).cast("int").alias("size")))
+        each = pairs.select(F.struct(inc.alias("inc"), F.col("a").alias("lo"), F.col("b").alias("hi")).alias("m"), (F.col("na") + F.col("nb")).alias("n"))
+        near = each.select(F.explode(F.array("m.lo", "m.hi")).alias("c"), "m", "n").groupBy("c").agg(F.min(F.struct("m", "n")).alias("p"))
+        rows = write(near.groupBy("p").agg(F.count(F.lit(1)).alias("votes")).filter("votes = 2").select(F.col("p.m.lo").alias("left"), F.col("p.m.hi").alias("right"), F.sqrt(2 * F.col("p.m.inc")).alias("height"), F.col("p.n").cast("int").alias("size")))
         done = rows if done is None else done.unionByName(rows)
-        to = chosen.select(F.col("hi").alias("c"), F.col("lo").alias("into"))
-        move = lambda df: df.join(to, "c", "left").withColumn("c", F.coalesce("into", "c")).drop("into")
-        state = write(move(state).groupBy("c", "feature").agg(F.sum("s").alias("s")))
-        sizes = write(move(sizes).groupBy("c").agg(F.sum("n").alias("n")))
-    return done
+        to = rows.select(F.explode(F.array("left", "right")).alias("c"), F.col("left").alias("into"), F.col("size").cast("long").alias("total"))
+        moved = state.join(to, "c", "left").select(F.coalesce("into", "c").alias("c"), F.coalesce("total", "n").alias("n"), "feature", "s")
+        state = write(moved.groupBy("c", "n", "feature").agg(F.sum("s").alias("s")))
+
+    def finish(pdf: pd.DataFrame) -> pd.DataFrame:
+        sizes = pdf.groupby("c")["n"].first()
+        grp, _, x = matrix(pdf.rename(columns={"c": "grp", "s": "value"}))
+        n = sizes.loc[grp].to_numpy(float)
+        m = linkage(x / n[:, None], sizes=n)
+        least = list(range(len(grp)))
+        for a, b, *_ in m:
+            least.append(min(least[int(a)], least[int(b)]))
+        names = [pd.Series([str(grp[least[int(r[side])]]) for r in m], dtype=object) for side in (0, 1)]
+        return pd.DataFrame({"left": names[0], "right": names[1], "height": m[:, 2], "size": m[:, 3].astype("int32")})
+
+    if done is not None and not state.select("c").distinct().limit(2).count() > 1:
+        return done
+    rest = pandas_groups(state.withColumn("one", F.lit(0)), ["one"], finish, "left string, right string, height double, size int")
+    return rest if done is None else done.unionByName(rest)
 
 
 def cluster_sizes(labelled: DataFrame) -> DataFrame:

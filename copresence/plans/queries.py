@@ -497,8 +497,8 @@ def q_cophenetic(s, d):
 
 @query
 def q_ward_rounds(s, d):
-    """The tree by rounds of reciprocal nearest pairs: heights and sizes are those of the one-task tree."""
-    t = clustering.ward_rounds(strip_unit_profile(s, d))
+    """The tree by rounds of reciprocal nearest pairs, finished in one task: heights and sizes of the one-task tree."""
+    t = clustering.ward_rounds(strip_unit_profile(s, d), gather_below=30)
     step = F.row_number().over(W.orderBy("height", "left", "right"))
     return t.select(step.cast("long").alias("step"), r6("height").alias("height"), F.col("size").cast("long").alias("size"))
 

@@ -39,9 +39,10 @@ def test_ties_duplicates_and_small_inputs():
 
 def test_rounds_give_the_same_tree(spark, points):
     p = frame(spark, points)
-    got = clustering.ward_rounds(p).orderBy("height").collect()
     want = clustering.linkage(points)
-    assert np.allclose([r["height"] for r in got], want[:, 2]) and [r["size"] for r in got] == [int(s) for s in want[:, 3]]
+    for below in (1, 9, 100):
+        got = clustering.ward_rounds(p, below).orderBy("height").collect()
+        assert np.allclose([r["height"] for r in got], want[:, 2]) and [r["size"] for r in got] == [int(s) for s in want[:, 3]]
 
 
 def test_indices_against_plain_versions(spark, points):
