@@ -35,6 +35,7 @@ MAX_TRAIN = 12000
 MAX_ENTRIES = 5000
 HEADS = (4, 5, 6)  # lengths of word heads that may be entries
 LEAST = 3  # (document, word) pairs under toxic labels that an entry needs
+COUNTED = 120_000  # entries that a task holds before it hands their counts on
 LEAST_Z = 3.2  # log-odds over their standard error
 #: Phrases in which a word of the lexicon is meant otherwise.
 EXCEPTIONS = ("clown fish", "clownfish", "trash can", "trash bin", "idiot proof", "idiot light", "pathetic fallacy", "oxymoron", "sore loser rule")
@@ -127,12 +128,12 @@ def _pairs(sample: DataFrame) -> DataFrame:
             return out
 
         for b in batches:
-            for text, toxic, half in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                words = set(_WORD.findall(fold(text or "")))
+            for text, toxic, half in zip(b.column(0), b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
+                words = set(_WORD.findall(fold(text.as_py() or "")))
                 seen[toxic].update((w, True, half) for w in words)
                 for n in HEADS:
                     seen[toxic].update((w[:n], False, half) for w in words if len(w) > n)
-                if len(seen[0]) + len(seen[1]) > 400_000:
+                if len(seen[0]) + len(seen[1]) > COUNTED:
                     yield flush()
         yield flush()
 
