@@ -31,8 +31,15 @@ def ship(spark: SparkSession) -> None:
     _sent.add(sc.applicationId)
 
 
+BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
+BATCH_ROWS = 1000  # rows may be whole texts: ten thousand of them in a batch, on both sides, strain an executor
+
+
 def arrow_map(df: DataFrame, run: Callable, schema: str | StructType) -> DataFrame:
+    """mapInArrow with the package at hand and batches of BATCH_ROWS, unless the session asks for smaller ones."""
     ship(df.sparkSession)
+    if int(df.sparkSession.conf.get(BATCH, "10000")) > BATCH_ROWS:
+        df.sparkSession.conf.set(BATCH, str(BATCH_ROWS))
     return df.mapInArrow(run, schema)
 
 
