@@ -13,11 +13,17 @@ its occurrences is on digests and is split by Spark where it is uneven.
 Defined cases: null and empty texts have no chunks and stay as they are; rows with one doc_id and one text are the same
 document and get the same result; null doc_ids come first in the order; blank lines are lines; extra columns are kept
 out of the result of `removals` and kept in that of `drop_repeats`; an empty table gives no rows.
+
+A passage that does not hold a whole chunk stays with that rule. `run_removals` is the exact rule over line runs: every
+line of a later copy of a run of two or more lines goes. A run is met earlier exactly where each of its pairs of
+neighbour lines is, so pairs are compared and never runs; the lines of a repeated pair's first place always stay.
+Pairs are told apart by SHA-256; the shuffles carry digests, ids and numbers and no text.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import cut, whole
@@ -72,18 +78,52 @@ def removals(docs: DataFrame, window: int = WINDOW, divisor: int = DIVISOR) -> D
     return gone.distinct()
 
 
-def drop_repeats(docs: DataFrame, window: int = WINDOW, divisor: int = DIVISOR) -> DataFrame:
-    """docs with the repeated chunks cut out of the text, and __lines, __gone (array of start, n_lines)."""
-    gone = removals(docs, window, divisor).groupBy(F.col("doc_id").alias("__id")).agg(F.sort_array(F.collect_list(F.struct("start", "n_lines"))).alias("__gone"))
+def line_pairs(docs: DataFrame) -> DataFrame:
+    """Every two neighbour lines: doc_id, at (the first line, from 0), pair (digest of both). One scan, no shuffle."""
+    d = docs.select("doc_id", F.split(whole("text"), "\n", -1).alias("lines")).filter(F.size("lines") > 1)
+    both = F.transform(F.slice("lines", F.lit(1), F.size("lines") - 1), lambda x, i: F.unhex(F.sha2(F.concat(x, F.lit("\n"), F.get("lines", i + 1)), 256)))
+    return d.select("doc_id", F.posexplode(both).alias("at", "pair")).withColumn("at", F.col("at").cast("long"))
+
+
+def run_removals(docs: DataFrame) -> DataFrame:
+    """Runs of lines to go: doc_id, start, n_lines."""
+    with_doc = F.coalesce("doc_id", F.lit(-(1 << 62)))
+    every = line_pairs(docs)
+    known = cut(every.groupBy("pair").agg(F.count(F.lit(1)).alias("n"), F.min(with_doc).alias("first_doc")).filter("n > 1").drop("n"))
+    light = cut(every.join(known, "pair"))
+    first = light.filter(with_doc == F.col("first_doc")).groupBy("pair").agg(F.min("at").alias("first_at"))
+    placed = light.join(first, "pair").withColumn("stays", (with_doc == F.col("first_doc")) & (F.col("at") == F.col("first_at")))
+    lines = placed.select("doc_id", F.explode(F.array("at", F.col("at") + 1)).alias("line"), "stays").groupBy("doc_id", "line").agg(F.max("stays").alias("stays")).filter("NOT stays")
+    island = lines.withColumn("island", F.col("line") - F.row_number().over(W.partitionBy("doc_id").orderBy("line")))
+    return island.groupBy("doc_id", "island").agg(F.min("line").alias("start"), F.count(F.lit(1)).alias("n_lines")).drop("island")
+
+
+def cut_out(docs: DataFrame, removed: DataFrame) -> DataFrame:
+    """docs with the removed lines cut out of the text, and __lines, __gone (array of start, n_lines)."""
+    gone = removed.groupBy(F.col("doc_id").alias("__id")).agg(F.sort_array(F.collect_list(F.struct("start", "n_lines"))).alias("__gone"))
     d = docs.join(gone, F.col("doc_id").eqNullSafe(F.col("__id")), "left").drop("__id")
     lines = F.split(whole("text"), "\n", -1)
     out = F.filter(lines, lambda x, i: ~F.exists("__gone", lambda g: (i >= g["start"]) & (i < g["start"] + g["n_lines"])))
     return d.withColumn("__lines", F.size(lines).cast("long")).withColumn("text", F.when(F.col("__gone").isNull(), F.col("text")).otherwise(F.array_join(out, "\n")))
 
 
+def drop_repeats(docs: DataFrame, window: int = WINDOW, divisor: int = DIVISOR) -> DataFrame:
+    """docs with the repeated chunks cut out of the text, and __lines, __gone (array of start, n_lines)."""
+    return cut_out(docs, removals(docs, window, divisor))
+
+
 def line_dedup_report(docs: DataFrame, window: int = WINDOW, divisor: int = DIVISOR) -> DataFrame:
     """One row per document: doc_id, n_lines, n_removed, removed ("start+lines" joined), text (what stays)."""
-    d = drop_repeats(docs.select("doc_id", "text"), window, divisor)
+    return _report(drop_repeats(docs.select("doc_id", "text"), window, divisor))
+
+
+def run_dedup_report(docs: DataFrame) -> DataFrame:
+    """The same columns, by repeated runs of lines."""
+    d = docs.select("doc_id", "text")
+    return _report(cut_out(d, run_removals(d)))
+
+
+def _report(d: DataFrame) -> DataFrame:
     return d.select(
         "doc_id", F.when((F.length(whole("text")) > 0) | F.col("__gone").isNotNull(), F.col("__lines")).otherwise(0).alias("n_lines"),
         F.coalesce(F.aggregate("__gone", F.lit(0).cast("long"), lambda a, g: a + g["n_lines"]), F.lit(0)).cast("long").alias("n_removed"),

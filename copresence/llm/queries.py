@@ -52,7 +52,11 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return linededup.line_dedup_report(table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_sharding, op2_ogg, op3_toxicity, op4_mixing, op5_pseudo_likelihood, op6_near_duplicates, op7_decontamination, op8_token_counts, op9_pii, op10_line_dedup)}
+def op10_run_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return linededup.run_dedup_report(table(spark, sf_dir, "documents"))
+
+
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_sharding, op2_ogg, op3_toxicity, op4_mixing, op5_pseudo_likelihood, op6_near_duplicates, op7_decontamination, op8_token_counts, op9_pii, op10_line_dedup, op10_run_dedup)}
 
 
 def _sharding_sql() -> str:
@@ -95,4 +99,18 @@ SELECT d.doc_id, len(d.lines)::bigint AS n_lines, coalesce(gone, 0)::bigint AS n
        CASE WHEN g.doc_id IS NULL THEN d.text ELSE array_to_string(list_transform(list_filter(range(0, len(d.lines)), lambda i: len(list_filter(range(1, len(ss) + 1), lambda q: i >= ss[q] AND i < es[q])) = 0), lambda i: d.lines[i + 1]), chr(10)) END AS text
 FROM d LEFT JOIN g ON d.doc_id = g.doc_id"""
 
-ORACLES: dict[str, str] = {"op1_sharding": _sharding_sql(), "op4_mixing": _MIXING_SQL, "op10_line_dedup": _LINE_SQL}
+_RUN_SQL = """
+WITH d AS (SELECT doc_id, text, CASE WHEN coalesce(text, '') = '' THEN [] ELSE string_split(text, chr(10)) END AS lines FROM documents),
+p AS (SELECT doc_id, lines, unnest(range(0, len(lines) - 1)) AS place FROM d),
+r AS (SELECT doc_id, place, count(*) OVER (PARTITION BY pair) AS times, row_number() OVER (PARTITION BY pair ORDER BY doc_id NULLS FIRST, place) AS rn
+      FROM (SELECT doc_id, place, lines[place + 1] || chr(10) || lines[place + 2] AS pair FROM p)),
+l AS (SELECT doc_id, place + o AS line FROM r, (VALUES (0), (1)) AS v(o) WHERE times > 1 GROUP BY doc_id, place + o HAVING NOT bool_or(rn = 1)),
+i AS (SELECT doc_id, line, line - row_number() OVER (PARTITION BY doc_id ORDER BY line) AS island FROM l),
+k AS (SELECT doc_id, min(line) AS start, count(*) AS n FROM i GROUP BY doc_id, island),
+g AS (SELECT doc_id, sum(n) AS gone, string_agg(start || '+' || n, ',' ORDER BY start) AS removed FROM k GROUP BY doc_id),
+m AS (SELECT doc_id, list(line) AS out FROM l GROUP BY doc_id)
+SELECT d.doc_id, len(d.lines)::bigint AS n_lines, coalesce(gone, 0)::bigint AS n_removed, coalesce(removed, '') AS removed,
+       CASE WHEN g.doc_id IS NULL THEN d.text ELSE array_to_string(list_transform(list_filter(range(0, len(d.lines)), lambda x: NOT list_contains(out, x)), lambda x: d.lines[x + 1]), chr(10)) END AS text
+FROM d LEFT JOIN g ON d.doc_id = g.doc_id LEFT JOIN m ON d.doc_id = m.doc_id"""
+
+ORACLES: dict[str, str] = {"op1_sharding": _sharding_sql(), "op4_mixing": _MIXING_SQL, "op10_line_dedup": _LINE_SQL, "op10_run_dedup": _RUN_SQL}

@@ -1,6 +1,7 @@
 from __future__ import annotations
 
 import hashlib
+import random
 import re
 from collections import Counter, defaultdict
 
@@ -188,3 +189,32 @@ def test_lines_odd_rows(odd_docs, empty_docs):
     assert linededup.line_dedup_report(empty_docs).count() == 0
     want = brute_lines([(r["doc_id"], r["text"]) for r in odd_docs.collect() if r["doc_id"] in (8, 9)])
     assert want and {tuple(r) for r in linededup.removals(odd_docs).collect()} == want
+
+
+def brute_runs(rows):
+    """Lines of every later copy of a run of two lines or more, tried run by run, but those of a repeated pair's first place."""
+    texts = {i: (t or "").split("\n") for i, t in rows}
+    places = defaultdict(list)
+    for i in sorted(texts):
+        for a in range(len(texts[i])):
+            for z in range(a + 2, len(texts[i]) + 1):
+                places[tuple(texts[i][a:z])].append((i, a, z))
+    gone = {(i, k) for p in places.values() for i, a, z in p[1:] for k in range(a, z)}
+    return gone - {(i, k) for p in places.values() if len(p) > 1 and p[0][2] - p[0][1] == 2 for i, a, z in p[:1] for k in range(a, z)}
+
+
+def test_repeated_runs_go_wholly(spark):
+    r = random.Random(5)
+    passage = "long line of a passage\nits second line"
+    rows = [(i, "\n".join(r.choice("abcdef") for _ in range(r.randint(1, 6)))) for i in range(25)]
+    rows += [(100 + i, f"before {i}\n{passage}\nafter {i}") for i in range(40)] + [(200, None), (201, ""), (202, "x\nx\nx\nx"), (203, "one line")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {(x["doc_id"], x["start"] + k) for x in linededup.run_removals(docs).collect() for k in range(x["n_lines"])}
+    assert got == brute_runs(rows)
+    kept = {x["doc_id"]: x["text"] for x in linededup.run_dedup_report(docs).collect()}
+    assert kept[100] == rows[25][1] and all(kept[100 + i] == f"before {i}\nafter {i}" for i in range(1, 40))
+    assert kept[202] == "x\nx" and kept[200] is None and len(kept) == len(rows)
+
+
+def test_runs_odd_rows(odd_docs, empty_docs):
+    assert linededup.run_dedup_report(odd_docs).count() == odd_docs.count() and linededup.run_dedup_report(empty_docs).count() == 0
