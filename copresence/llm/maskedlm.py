@@ -1,9 +1,14 @@
 """Masked pseudo-likelihood: every token is predicted from the tokens on both sides of it.
 
-Tokens are words; the commonest (counted over all documents) have numbers of their own, others share the number of
-their last letters' bucket. The network adds one vector a place of the window (two words to the left, two to the
-right), bends the sum and gives a distribution over all numbers. A document's score is the sum of the log-probability
-of each of its tokens given its window: no token is left out of a score.
+Tokens are words, each with a probability of its own: that of its class given the window, times that of the word in its
+class. The commonest (counted over all documents) are classes of their own, the others share the class of their last
+letters' bucket, where a word has its count over the bucket's count and one (the one is left for words never counted).
+The network adds one vector a place of the window (two words to the left, two to the right), bends the sum and gives a
+distribution over all classes. A document's score is the sum of the log-probability of each of its tokens given its
+window: no token is left out of a score, and no counted word is left out of the vocabulary, which grows with the corpus.
+
+Counts of words are kept by 64-bit word hashes in the shared folder. The KNOWN commonest go to the tasks that score; the
+others are joined by their hash. A word counted once adds the logarithm of 1, so it needs no row in that join.
 
 Training goes over all documents and is spread over the tasks: from common starting weights each task runs gradient
 steps over its documents' targets (one in STRIDE positions, another set each round, a training parameter that grows
@@ -17,7 +22,6 @@ extra columns are not read.
 
 from __future__ import annotations
 
-from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -27,56 +31,77 @@ from pyspark.sql import functions as F
 
 from copresence.ship import arrow_map
 
-from .words import hash_words, text_hashes, words
+from .common import cut
+from .words import hash_words, text_hashes
 
 SIZE, HIDDEN, SIDE = 256, 16, 2
-BUCKETS = 64  # numbers of words that have none of their own; number 0 is the boundary
+BUCKETS = 64  # classes of words that are not one of their own; number 0 is the boundary
 STRIDE, ROUNDS, BATCH, RATE = 8, 2, 2048, 0.12
 COUNTED = 300_000  # words a task holds before it hands its counts on
 SCORED = 8192  # positions scored at once
+KNOWN = 200_000  # counts that every task has at hand
+SHARP = 1e9  # logarithms are added up as whole multiples of its inverse, in any order
 
 Net = dict[str, np.ndarray]
 
 
+def bucket(tails: np.ndarray) -> np.ndarray:
+    return 1 + (tails.astype(np.int64) * 40503 >> 7) % BUCKETS
+
+
 class Numbers:
-    """The number of each word of texts: its own for a common word, else that of its ending's bucket."""
+    """The class of each word of texts: its own for a common word (given as text or hash), else that of its ending's bucket."""
 
-    def __init__(self, common: list[str]):
-        hashes = np.array([text_hashes(w)[0] for w in common], np.uint64)
+    def __init__(self, common: list[str] | list[int]):
+        hashes = np.array([text_hashes(w)[0] if isinstance(w, str) else w & (1 << 64) - 1 for w in common], np.uint64)
         order = np.argsort(hashes)
         self.hashes, self.own = hashes[order], 1 + BUCKETS + order
 
-    def of(self, texts: list[str | None]) -> list[np.ndarray]:
-        words_of, counts, tails = hash_words(texts)
-        out = 1 + (tails.astype(np.int64) * 40503 >> 7) % BUCKETS
+    def classes(self, words_of: np.ndarray, tails: np.ndarray) -> np.ndarray:
+        out = bucket(tails)
         if len(self.hashes):
             at = np.minimum(np.searchsorted(self.hashes, words_of), len(self.hashes) - 1)
             out = np.where(self.hashes[at] == words_of, self.own[at], out)
-        return np.split(out, np.cumsum(counts)[:-1])
+        return out
+
+    def of(self, texts: list[str | None]) -> list[np.ndarray]:
+        words_of, counts, tails = hash_words(texts)
+        return np.split(self.classes(words_of, tails), np.cumsum(counts)[:-1])
 
 
 def word_counts(docs: DataFrame) -> DataFrame:
-    """word, n over all documents; counts are combined in the tasks before the shuffle."""
+    """word (hash), bucket, n over all documents; counts are combined in the tasks before the shuffle."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: Counter = Counter()
-
-        def flush() -> pa.RecordBatch:
-            out = pa.RecordBatch.from_arrays([pa.array([w.encode("utf-8", "replace").decode() for w in seen], pa.string()), pa.array(list(seen.values()), pa.int64())], names=["word", "n"])
-            seen.clear()
-            return out
-
-        for b in batches:
-            for t in b.column(0):
-                seen.update(words(t.as_py()))
-                if len(seen) > COUNTED:
-                    yield flush()
-        yield flush()
+        held: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        size = 0
 
-    return arrow_map(docs.select("text"), run, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
+        def rows() -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(held[0][0].view(np.int64)), pa.array(held[0][1], pa.int32()), pa.array(held[0][2], pa.int64())], names=["word", "bucket", "n"])
 
+        def combine() -> None:
+            word, kind, n = (np.concatenate(x) for x in zip(*held, strict=True))
+            one, first, at = np.unique(word, return_index=True, return_inverse=True)
+            held[:] = [(one, kind[first], np.bincount(at, n, len(one)).astype(np.int64))]
 
-def start(common: list[tuple[str, int]], rest: int) -> Net:
+        for b in batches:
+            words_of, _, tails = hash_words(b.column(0).to_pylist())
+            held.append((words_of, bucket(tails), np.ones(len(words_of), np.int64)))
+            size += len(words_of)
+            if size > 2 * COUNTED:
+                combine()
+                if len(held[0][0]) > COUNTED:
+                    yield rows()
+                    held.clear()
+                size = len(held[0][0]) if held else 0
+        if held:
+            combine()
+            yield rows()
+
+    return arrow_map(docs.select("text"), run, "word long, bucket int, n long").groupBy("word", "bucket").agg(F.sum("n").alias("n"))
+
+
+def start(common: list[tuple[str | int, int]], rest: int) -> Net:
     """Starting weights: small random vectors, and the logs of the counts as what is expected without a window."""
     rng = np.random.default_rng(7)
     share = np.full(SIZE, 1e-6)
@@ -140,7 +165,7 @@ def single(net: Net) -> Net:
     return {k: v.astype(np.float32) for k, v in net.items()}
 
 
-def _round(docs: DataFrame, common: list[str], net: Net, turn: int) -> Net:
+def _round(docs: DataFrame, common: list[int], net: Net, turn: int) -> Net:
     """One round over all documents: the tasks' weights, averaged."""
     sizes = {k: v.size for k, v in net.items()}
     shapes = {k: v.shape for k, v in net.items()}
@@ -170,12 +195,11 @@ def _round(docs: DataFrame, common: list[str], net: Net, turn: int) -> Net:
     return {k: p.reshape(shapes[k]) for k, p in zip(sizes, parts, strict=True)}
 
 
-def train(docs: DataFrame, rounds: int = ROUNDS) -> tuple[list[str], Net]:
-    """The common words and the network, from all documents."""
-    counts = word_counts(docs).persist()
+def train(docs: DataFrame, rounds: int = ROUNDS, counts: DataFrame | None = None) -> tuple[list[int], Net]:
+    """The hashes of the common words and the network, from all documents."""
+    counts = cut(word_counts(docs)) if counts is None else counts
     common = [(r["word"], r["n"]) for r in counts.orderBy(F.desc("n"), "word").limit(SIZE - 1 - BUCKETS).collect()]
     every = counts.agg(F.sum("n")).first()[0] or 0
-    counts.unpersist()
     net = start(common, every - sum(n for _, n in common))
     named = [w for w, _ in common]
     for turn in range(rounds if common else 0):
@@ -183,17 +207,57 @@ def train(docs: DataFrame, rounds: int = ROUNDS) -> tuple[list[str], Net]:
     return named, net
 
 
-def pseudo_likelihood(docs: DataFrame, model: tuple[list[str], Net] | None = None) -> DataFrame:
-    """One row per document: doc_id, n_tokens, pll (sum of log-probabilities), mean_pll."""
-    common, net = model or train(docs)
+def _known(counts: DataFrame, most: int) -> tuple[DataFrame, DataFrame]:
+    """Words counted more than once: at most so many of the commonest, and all others."""
+    counts = counts.filter("n > 1").withColumn("level", F.floor(F.log2("n") * 8))
+    least, held = 1 << 30, 0
+    for r in sorted(counts.groupBy("level").count().collect(), key=lambda r: -r["level"]):  # a few hundred at most
+        held += r["count"]
+        if held > most:
+            break
+        least = r["level"]
+    return counts.filter(F.col("level") >= least).select("word", "n"), counts.filter(F.col("level") < least).select("word", "n")
+
+
+def pseudo_likelihood(docs: DataFrame, model: tuple[list[int] | list[str], Net] | None = None, counts: DataFrame | None = None, known: int = KNOWN) -> DataFrame:
+    """One row per document: doc_id, n_tokens, pll (sum of log-probabilities), mean_pll.
+
+    counts: those of the documents the model is from; docs are counted if they are not given."""
+    counts = cut(word_counts(docs)) if counts is None else counts
+    common, net = model or train(docs, counts=counts)
+    numbers = Numbers(common)
+    commonest, others = _known(counts, known)
+    table = commonest.toArrow()
+    at_hand = table.column("word").to_numpy().view(np.uint64)
+    order = np.argsort(at_hand)
+    at_hand, logs_at_hand = at_hand[order], np.log(table.column("n").to_numpy()[order])
+    own = [w - (1 << 64) if w >= 1 << 63 else w for w in numbers.hashes.tolist()]
+    whole = np.zeros(1 + BUCKETS)
+    for r in counts.filter(~F.col("word").isin(own)).groupBy("bucket").agg(F.sum("n").alias("n")).collect():
+        whole[r["bucket"]] = r["n"]
+    log_whole = np.log(whole + 1)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own, numbers = single(net), Numbers(common)
+        weights = single(net)
         for b in batches:
-            flat, at, text = windows(numbers.of(b.column(1).to_pylist()))
-            logs = np.concatenate([log_probabilities(own, flat, at[k : k + SCORED]) for k in range(0, len(at), SCORED)] or [np.zeros(0)])
+            words_of, sizes, tails = hash_words(b.column(2).to_pylist())
+            classes = numbers.classes(words_of, tails)
+            flat, at, text = windows(np.split(classes, np.cumsum(sizes)[:-1]))
+            logs = np.concatenate([log_probabilities(weights, flat, at[k : k + SCORED]) for k in range(0, len(at), SCORED)] or [np.zeros(0)]).astype(np.float64)
+            shared = np.flatnonzero(classes <= BUCKETS)
+            logs[shared] -= log_whole[classes[shared]]
+            if len(at_hand):
+                place = np.minimum(np.searchsorted(at_hand, words_of[shared]), len(at_hand) - 1)
+                met = at_hand[place] == words_of[shared]
+                logs[shared[met]] += logs_at_hand[place[met]]
+                shared = shared[~met]
             total = np.bincount(text, logs, minlength=b.num_rows)
-            n = np.bincount(text, minlength=b.num_rows)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(np.round(total, 4), pa.float64()), pa.array(np.round(total / np.maximum(n, 1), 6), pa.float64())], names=["doc_id", "n_tokens", "pll", "mean_pll"])
-
-    return arrow_map(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), run, "doc_id long, n_tokens long, pll double, mean_pll double")
+            ends = np.append(0, np.cumsum(np.bincount(text[shared], minlength=b.num_rows)))
+            rest = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(words_of[shared].view(np.int64)))
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(sizes, pa.int64()), pa.array(total), rest], names=["row", "doc_id", "n_tokens", "total", "rest"])
+
+    rows = docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), "text")
+    scored = cut(arrow_map(rows, run, "row long, doc_id long, n_tokens long, total double, rest array<long>"))
+    rest = scored.select("row", F.explode("rest").alias("word")).join(others, "word").groupBy("row").agg(F.sum(F.round(F.log("n") * SHARP).cast("long")).alias("more"))
+    pll = F.col("total") + F.coalesce("more", F.lit(0)) / SHARP
+    return scored.drop("rest").join(rest, "row", "left").select("doc_id", "n_tokens", F.round(pll, 4).alias("pll"), F.round(pll / F.greatest("n_tokens", F.lit(1)), 6).alias("mean_pll"))

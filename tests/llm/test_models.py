@@ -214,3 +214,22 @@ def test_lm_odd_rows(odd_docs, empty_docs):
     got = maskedlm.pseudo_likelihood(odd_docs).collect()
     assert len(got) == odd_docs.count() and all((r["n_tokens"] == 0) == (r["pll"] == 0) for r in got)
     assert maskedlm.pseudo_likelihood(empty_docs).count() == 0
+
+
+def test_every_word_has_its_own_probability(spark):
+    frequent = " ".join(f"w{i:03d}" for i in range(maskedlm.SIZE))  # takes all classes of single words
+    texts = [frequent] * 20 + ["wording wording fording", "wording zzxing", "fording", None, ""]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    counts = maskedlm.word_counts(docs).persist()
+    model = maskedlm.train(docs, counts=counts)
+    probe = spark.createDataFrame([(0, "wording"), (1, "zzxing"), (2, "unseening")], "doc_id long, text string")
+    p = {r["doc_id"]: r["pll"] for r in maskedlm.pseudo_likelihood(probe, model, counts).collect()}
+    assert p[0] - p[1] == pytest.approx(np.log(3), abs=1e-3) and p[1] == pytest.approx(p[2], abs=1e-3)  # one ending, other counts
+    number = maskedlm.Numbers(model[0]).of(["wording"])[0][0]
+    alike = [r for r in counts.collect() if r["bucket"] == number and r["word"] not in model[0]]
+    net = {k: v.astype(np.float32) for k, v in model[1].items()}
+    one = maskedlm.log_probabilities(net, np.array([0, 0, number, 0, 0]), np.array([2]))[0]
+    assert p[0] == pytest.approx(one + np.log(3 / (1 + sum(r["n"] for r in alike))), abs=1e-3)
+    at_hand, joined = (sorted(map(tuple, maskedlm.pseudo_likelihood(docs, model, counts, known).collect())) for known in (maskedlm.KNOWN, 0))
+    assert len(at_hand) == len(texts) and [x[:2] for x in at_hand] == [x[:2] for x in joined]
+    assert [x[2] for x in at_hand] == pytest.approx([x[2] for x in joined], abs=2e-4)
