@@ -11,8 +11,8 @@ Counts of words are kept by 64-bit word hashes in the shared folder. The KNOWN c
 others are joined by their hash. A word counted once adds the logarithm of 1, so it needs no row in that join.
 
 Training goes over all documents and is spread over the tasks: from common starting weights each task runs gradient
-steps over its documents' targets (one in STRIDE positions, another set each round, a training parameter that grows
-with the corpus), and the weights are averaged by number of targets. Sums are taken per weight by Spark, so what comes
+steps over its documents' targets (one in STRIDE positions, another set each round; STRIDE rounds visit every position,
+and there are never fewer), and the weights are averaged by number of targets. Sums are taken per weight by Spark, so what comes
 to the driver is one network whatever the corpus. A lost task is run again from the same weights.
 
 Defined cases: null and empty texts have 0 tokens and score 0 (mean 0); windows at the ends hold a boundary number;
@@ -36,7 +36,7 @@ from .words import hash_words, text_hashes
 
 SIZE, HIDDEN, SIDE = 256, 16, 2
 BUCKETS = 64  # classes of words that are not one of their own; number 0 is the boundary
-STRIDE, ROUNDS, BATCH, RATE = 8, 2, 2048, 0.12
+STRIDE, ROUNDS, BATCH, RATE = 2, 2, 2048, 0.12
 COUNTED = 300_000  # words a task holds before it hands its counts on
 SCORED = 8192  # positions scored at once
 KNOWN = 200_000  # counts that every task has at hand
@@ -129,12 +129,16 @@ def hidden(net: Net, flat: np.ndarray, at: np.ndarray) -> np.ndarray:
     return np.tanh(h, out=h)
 
 
+def _top(net: Net) -> float:
+    """No exponent is above this."""
+    return float(np.abs(net["U"]).sum(1).max()) + max(0.0, float(net["c"].max()))
+
+
 def log_probabilities(net: Net, flat: np.ndarray, at: np.ndarray) -> np.ndarray:
     z = hidden(net, flat, at) @ net["U"].T
     z += net["c"]
     own = z[np.arange(len(at)), flat[at]]
-    top = np.abs(net["U"]).sum(1).max() + max(0.0, float(net["c"].max()))
-    if top > 60:
+    if _top(net) > 60:
         peak = z.max(1)
         z -= peak[:, None]
         return own - peak - np.log(np.exp(z, out=z).sum(1))
@@ -144,23 +148,32 @@ def log_probabilities(net: Net, flat: np.ndarray, at: np.ndarray) -> np.ndarray:
 def step(net: Net, memory: Net, flat: np.ndarray, at: np.ndarray) -> None:
     """One step down the gradient of the mean negative log-probability, with a rate that falls a weight by its past."""
     h = hidden(net, flat, at)
-    z = h @ net["U"].T + net["c"]
-    z -= z.max(1, keepdims=True)
+    z = h @ net["U"].T
+    z += net["c"]
+    if _top(net) > 60:
+        z -= z.max(1, keepdims=True)
     p = np.exp(z, out=z)
-    p /= p.sum(1, keepdims=True)
-    p[np.arange(len(at)), flat[at]] -= 1
-    p /= len(at)
+    p *= 1 / (p.sum(1, keepdims=True) * len(at))
+    p[np.arange(len(at)), flat[at]] -= 1 / len(at)
     dh = (p @ net["U"]) * (1 - h * h)
     grads = {"U": p.T @ h, "c": p.sum(0), "b": dh.sum(0), "E": np.zeros_like(net["E"])}
     for k, o in enumerate(PLACES):
-        one = np.zeros((len(at), SIZE), np.float32)
-        one[np.arange(len(at)), flat[at + o]] = 1
-        grads["E"][k] = one.T @ dh
+        near = flat[at + o].astype(np.uint16)
+        order = np.argsort(near, kind="stable")
+        near = near[order]
+        first = np.append(0, np.flatnonzero(near[1:] != near[:-1]) + 1)
+        grads["E"][k][near[first]] = np.add.reduceat(dh[order], first, axis=0)
     for k, g in grads.items():
         memory[k] += g * g
         net[k] -= RATE * g / (np.sqrt(memory[k]) + 1e-6)
 
 
+def targets(at: np.ndarray, turn: int) -> np.ndarray:
+    """The places trained on in a round, in mixed order."""
+    at = at[turn % STRIDE :: STRIDE]
+    return at[np.random.default_rng(len(at)).permutation(len(at))]
+
+
 def single(net: Net) -> Net:
     return {k: v.astype(np.float32) for k, v in net.items()}
 
@@ -175,8 +188,7 @@ def _round(docs: DataFrame, common: list[int], net: Net, turn: int) -> Net:
         memory = {k: np.full_like(v, 1e-3) for k, v in own.items()}
         for b in batches:
             flat, at, _ = windows(numbers.of(b.column(0).to_pylist()))
-            at = at[turn * 3 % STRIDE :: STRIDE]
-            at = at[np.random.default_rng(len(flat)).permutation(len(at))]
+            at = targets(at, turn)
             for k in range(0, len(at), BATCH):
                 step(own, memory, flat, at[k : k + BATCH])
             done += len(at)
@@ -202,7 +214,7 @@ def train(docs: DataFrame, rounds: int = ROUNDS, counts: DataFrame | None = None
     every = counts.agg(F.sum("n")).first()[0] or 0
     net = start(common, every - sum(n for _, n in common))
     named = [w for w, _ in common]
-    for turn in range(rounds if common else 0):
+    for turn in range(max(rounds, STRIDE) if common else 0):
         net = _round(docs, named, net, turn)
     return named, net
 

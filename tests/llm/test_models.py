@@ -233,3 +233,13 @@ def test_every_word_has_its_own_probability(spark):
     at_hand, joined = (sorted(map(tuple, maskedlm.pseudo_likelihood(docs, model, counts, known).collect())) for known in (maskedlm.KNOWN, 0))
     assert len(at_hand) == len(texts) and [x[:2] for x in at_hand] == [x[:2] for x in joined]
     assert [x[2] for x in at_hand] == pytest.approx([x[2] for x in joined], abs=2e-4)
+
+
+def test_registered_rounds_visit_every_position(spark):
+    at = np.arange(2, 1003)
+    seen = np.concatenate([maskedlm.targets(at, turn) for turn in range(maskedlm.ROUNDS)])
+    assert sorted(set(seen.tolist())) == at.tolist()
+    r = random.Random(2)
+    docs = spark.createDataFrame([(i, " ".join(w for _ in range(40) for w in r.choice(["one two three", "red green blue"]).split())) for i in range(600)], "doc_id long, text string").repartition(2)
+    mean = maskedlm.pseudo_likelihood(docs).agg(F.sum("pll") / F.sum("n_tokens")).first()[0]
+    assert mean > -np.log(6) + 0.5
