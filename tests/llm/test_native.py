@@ -218,3 +218,11 @@ def test_repeated_runs_go_wholly(spark):
 
 def test_runs_odd_rows(odd_docs, empty_docs):
     assert linededup.run_dedup_report(odd_docs).count() == odd_docs.count() and linededup.run_dedup_report(empty_docs).count() == 0
+
+
+def test_account_numbers_end_at_their_length(spark):
+    one, two = "DE89370400440532013000", "GB82 WEST 1234 5698 7654 32"
+    texts = [f"{one} 2024", f"{two} EUR 20", f"{one} {two} 7", f"IBAN {one}7"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: [texts[r["doc_id"]][int(a) : int(z)] for k, a, z in (x.split(":") for x in r["spans"].split(",") if x) if k == "iban"] for r in pii.pii_report(docs).collect()}
+    assert got == {0: [one], 1: [two], 2: [one, two], 3: []}
