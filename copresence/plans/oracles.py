@@ -171,6 +171,7 @@ for _n in ("event_tx_24h_join", "event_tx_24h_window"):
     add(_n, EVENT_UNITS, EVENT_TX, last="SELECT * FROM tx")
 for _n in ("rect_tx_d150", "rect_tx_d150_tiles"):
     add(_n, _RECT, rect_pairs_sql(data.GAP), RECT_TX, last="SELECT * FROM tx")
+ORACLES["ring_tx_d150"] = ORACLES["rect_tx_d150"]
 add("ring_tx_d25", _RECT, rect_pairs_sql(25), RECT_TX, last="SELECT * FROM tx")
 VEC = f"""
 vp AS (SELECT 'all' AS grp, a.vec_id AS focal_id, b.vec_id AS other_id, b.label AS other_bit, list_distance(a.embedding::double[], b.embedding::double[]) AS dist FROM embeddings a, embeddings b

@@ -226,6 +226,12 @@ def q_ring_tx_d25(s, d):
     return transactions.buffer_ring(wkt.select("grp", "unit_id", "bit", neighborhoods.parse_ring("wkt").alias("ring")), 25)
 
 
+@query
+def q_ring_tx_d150(s, d):
+    wkt = neighborhoods.rect_as_wkt(data.rect_units(s, d))
+    return transactions.buffer_ring(wkt.select("grp", "unit_id", "bit", neighborhoods.parse_ring("wkt").alias("ring")), data.GAP)
+
+
 @query
 def q_vector_tx_eps(s, d):
     return transactions.buffer_metric(data.vector_units(s, d), EPS)

@@ -90,3 +90,10 @@ def test_sinks_round_trip(spark, rects, tmp_path):
     assert rows(sinks.read_dichotomous(spark, f"{tmp_path}/wide", data.PARTS)) == rows(tx)
     sinks.write_by_group(tx, f"{tmp_path}/parts")
     assert rows(sinks.read_group(spark, f"{tmp_path}/parts", "g1")) == rows(tx.filter("grp = 'g1'"))
+
+
+def test_rings_equal_rectangles_at_the_full_distance(spark):
+    from copresence.plans.queries import QUERIES
+
+    ring, rect = (sorted(map(tuple, QUERIES[n](spark, "/root/testdata/sf0.001").collect())) for n in ("ring_tx_d150", "rect_tx_d150"))
+    assert ring == rect and ring
