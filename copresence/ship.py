@@ -36,10 +36,12 @@ BATCH_ROWS = 1000  # rows may be whole texts: ten thousand of them in a batch, o
 
 
 def arrow_map(df: DataFrame, run: Callable, schema: str | StructType) -> DataFrame:
-    """mapInArrow with the package at hand and batches of BATCH_ROWS, unless the session asks for smaller ones."""
-    ship(df.sparkSession)
-    if int(df.sparkSession.conf.get(BATCH, "10000")) > BATCH_ROWS:
-        df.sparkSession.conf.set(BATCH, str(BATCH_ROWS))
+    """mapInArrow with the package at hand. Where the session says nothing of it, batches are set to BATCH_ROWS; their
+    bytes are bounded by Spark's own spark.sql.execution.arrow.maxBytesPerBatch."""
+    spark = df.sparkSession
+    ship(spark)
+    if spark.conf.get(BATCH, "-1") == "-1":  # unset
+        spark.conf.set(BATCH, str(BATCH_ROWS))
     return df.mapInArrow(run, schema)
 
 
