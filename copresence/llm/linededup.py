@@ -2,22 +2,25 @@
 
 Each line has a number from its digest; a polynomial rolling hash over the last WINDOW lines ends a chunk where it is 0
 modulo DIVISOR and was not a line before (so that a chunk has two lines at least, but at a text's end). Boundaries move
-with the content and an insertion shifts none behind it. Chunks of two or more lines
-that occur more than once in the table are removed but for the first occurrence (least doc_id, then first line).
-Chunks are grouped by digest and by their bytes, so two texts with one digest are never taken for each other.
-
-Shuffles: one of chunk texts (counts are combined before it), the rest carry ids and numbers; a text is joined once
-more with what is to go from it. A chunk that is everywhere is one row per task after combining; the join that tells
-its occurrences is on digests and is split by Spark where it is uneven.
-
-Defined cases: null and empty texts have no chunks and stay as they are; rows with one doc_id and one text are the same
-document and get the same result; null doc_ids come first in the order; blank lines are lines; extra columns are kept
-out of the result of `removals` and kept in that of `drop_repeats`; an empty table gives no rows.
-
-A passage that does not hold a whole chunk stays with that rule. `run_removals` is the exact rule over line runs: every
-line of a later copy of a run of two or more lines goes. A run is met earlier exactly where each of its pairs of
-neighbour lines is, so pairs are compared and never runs; the lines of a repeated pair's first place always stay.
-Pairs are told apart by SHA-256; the shuffles carry digests, ids and numbers and no text.
+with the content and an insertion shifts none behind it. Chunks of two or more lines that occur more than once in the
+table are removed but for the first occurrence. Chunks are grouped by digest and by their bytes, so two texts with one
+digest are never taken for each other.
+
+A repeated passage may begin and end inside chunks that differ. So every two neighbour lines are compared too (by
+SHA-256 of both): a run of lines is met earlier exactly where each of its pairs is, so a line goes as well if a pair
+that it is in was met earlier and no pair that it is in occurs here for the first of several times. A line that goes
+always has an earlier equal line that stays.
+
+A document is its id and its text (by digest): what goes from a text never touches another text with the same id.
+"Earlier" is by id (nulls first), digest of the text, line.
+
+Shuffles: one of chunk texts (counts are combined before it), the rest carry ids, digests and numbers; a text is joined
+once more with what is to go from it. What is joined to the rows of a hot chunk, pair or document is written before the
+join, so that Spark may split these rows over tasks.
+
+Defined cases: null and empty texts have no lines and stay as they are; rows with one id and one text are the same
+document and get the same result; blank lines are lines; extra columns are kept by `drop_repeats` and not read; an
+empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -28,6 +31,8 @@ from pyspark.sql import functions as F
 
 from .common import cut, whole
 
+FIRST_ID = -(1 << 62)  # stands for a null id in the order
+KEY = ["doc_id", "row"]
 WINDOW = 2
 DIVISOR = 2
 BASE, PRIME = 31, 1000003
@@ -48,82 +53,78 @@ def rolling(numbers: Column, window: int = WINDOW) -> Column:
     return F.transform(numbers, at)
 
 
+def keyed(docs: DataFrame) -> DataFrame:
+    """doc_id (null as FIRST_ID), row (digest of the text) and lines of the documents with two lines or more."""
+    text = whole("text")
+    return docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(FIRST_ID)).alias("doc_id"), F.md5(text).alias("row"), F.split(text, "\n", -1).alias("lines")).filter(F.size("lines") > 1)
+
+
 def chunks(docs: DataFrame, window: int = WINDOW, divisor: int = DIVISOR) -> DataFrame:
-    """Multi-line chunks: doc_id, start (line, from 0), n_lines, chunk (the text). One scan, no shuffle."""
-    d = docs.select("doc_id", F.split(whole("text"), "\n", -1).alias("lines")).filter(F.size("lines") > 1)
+    """Multi-line chunks: doc_id, row, start (line, from 0), n_lines, chunk (the text). One scan, no shuffle."""
+    d = keyed(docs)
     d = d.withColumn("h", line_numbers(F.col("lines"))).withColumn("r", rolling(F.col("h"), window))
     last = F.size("lines") - 1
     falls = lambda i: F.get("r", i) % divisor == 0
     d = d.withColumn("ends", F.filter(F.sequence(F.lit(0), last), lambda i: ((i > 0) & falls(i) & ~falls(i - 1)) | (i == last)))
     d = d.withColumn("piece", F.explode(F.transform("ends", lambda e, j: F.struct(F.when(j > 0, F.get("ends", j - 1) + 1).otherwise(0).alias("start"), e.alias("end")))))
     d = d.filter("piece.end > piece.start")
-    return d.select("doc_id", F.col("piece.start").cast("long").alias("start"), (F.col("piece.end") - F.col("piece.start") + 1).cast("long").alias("n_lines"), F.array_join(F.slice("lines", F.col("piece.start") + 1, F.col("piece.end") - F.col("piece.start") + 1), "\n").alias("chunk"))
+    n = F.col("piece.end") - F.col("piece.start") + 1
+    return d.select(*KEY, F.col("piece.start").cast("long").alias("start"), n.cast("long").alias("n_lines"), F.array_join(F.slice("lines", F.col("piece.start") + 1, n), "\n").alias("chunk"))
 
 
 def removals(docs: DataFrame, window: int = WINDOW, divisor: int = DIVISOR) -> DataFrame:
-    """Chunks to go: doc_id, start, n_lines."""
+    """Chunks to go: doc_id, row, start, n_lines."""
     every = chunks(docs, window, divisor).withColumn("digest", F.md5("chunk"))
-    # bytes tell apart what shares a digest: `copy` numbers the texts of a digest (0 but for a collision)
-    texts = every.groupBy("digest", "chunk").agg(F.count(F.lit(1)).alias("n"), F.min(F.coalesce("doc_id", F.lit(-(1 << 62)))).alias("first_doc"))
-    known = cut(texts.groupBy("digest").agg(F.sum("n").alias("n"), F.min("first_doc").alias("first_doc"), F.count(F.lit(1)).alias("texts")).filter("n > 1"))
-    light = cut(every.select("doc_id", "start", "n_lines", "digest").join(known, "digest"))
+    # bytes tell apart what shares a digest: `texts` is 1 but for a collision
+    texts = every.groupBy("digest", "chunk").agg(F.count(F.lit(1)).alias("n"), F.min("doc_id").alias("first_doc"))
+    known = cut(texts.groupBy("digest").agg(F.sum("n").alias("n"), F.min("first_doc").alias("first_doc"), F.count(F.lit(1)).alias("texts")).filter("n > 1").drop("n"))
+    place = F.struct("row", "start")
+    light = cut(every.drop("chunk").join(known, "digest"))
     plain = light.filter("texts = 1")
-    with_doc = F.coalesce("doc_id", F.lit(-(1 << 62)))
-    first = plain.filter(with_doc == F.col("first_doc")).groupBy("digest").agg(F.min("start").alias("first_start"))
-    gone = plain.join(first, "digest").filter((with_doc != F.col("first_doc")) | (F.col("start") != F.col("first_start"))).select("doc_id", "start", "n_lines")
+    first = cut(plain.filter("doc_id = first_doc").groupBy("digest").agg(F.min(place).alias("first")))
+    gone = plain.join(first, "digest").filter((F.col("doc_id") != F.col("first_doc")) | (place != F.col("first"))).select(*KEY, "start", "n_lines")
     if light.filter("texts > 1").limit(1).count():  # a digest collision: compare these by text
-        mixed = every.join(known.filter("texts > 1").select("digest"), "digest", "left_semi").withColumn("doc", with_doc)
-        one = mixed.groupBy("digest", "chunk").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("doc", "start")).alias("f")).filter("n > 1")
-        gone = gone.unionByName(mixed.join(one, ["digest", "chunk"]).filter(F.struct("doc", "start") != F.col("f")).select("doc_id", "start", "n_lines"))
+        mixed = every.join(known.filter("texts > 1").select("digest"), "digest", "left_semi").withColumn("place", F.struct(*KEY, "start"))
+        one = mixed.groupBy("digest", "chunk").agg(F.min("place").alias("first"))
+        gone = gone.unionByName(mixed.join(one, ["digest", "chunk"]).filter(F.col("place") != F.col("first")).select(*KEY, "start", "n_lines"))
     return gone.distinct()
 
 
 def line_pairs(docs: DataFrame) -> DataFrame:
-    """Every two neighbour lines: doc_id, at (the first line, from 0), pair (digest of both). One scan, no shuffle."""
-    d = docs.select("doc_id", F.split(whole("text"), "\n", -1).alias("lines")).filter(F.size("lines") > 1)
+    """Every two neighbour lines: doc_id, row, at (the first line, from 0), pair (digest of both). One scan, no shuffle."""
     both = F.transform(F.slice("lines", F.lit(1), F.size("lines") - 1), lambda x, i: F.unhex(F.sha2(F.concat(x, F.lit("\n"), F.get("lines", i + 1)), 256)))
-    return d.select("doc_id", F.posexplode(both).alias("at", "pair")).withColumn("at", F.col("at").cast("long"))
-
-
-def run_removals(docs: DataFrame) -> DataFrame:
-    """Runs of lines to go: doc_id, start, n_lines."""
-    with_doc = F.coalesce("doc_id", F.lit(-(1 << 62)))
-    every = line_pairs(docs)
-    known = cut(every.groupBy("pair").agg(F.count(F.lit(1)).alias("n"), F.min(with_doc).alias("first_doc")).filter("n > 1").drop("n"))
-    light = cut(every.join(known, "pair"))
-    first = light.filter(with_doc == F.col("first_doc")).groupBy("pair").agg(F.min("at").alias("first_at"))
-    placed = light.join(first, "pair").withColumn("stays", (with_doc == F.col("first_doc")) & (F.col("at") == F.col("first_at")))
-    lines = placed.select("doc_id", F.explode(F.array("at", F.col("at") + 1)).alias("line"), "stays").groupBy("doc_id", "line").agg(F.max("stays").alias("stays")).filter("NOT stays")
-    island = lines.withColumn("island", F.col("line") - F.row_number().over(W.partitionBy("doc_id").orderBy("line")))
-    return island.groupBy("doc_id", "island").agg(F.min("line").alias("start"), F.count(F.lit(1)).alias("n_lines")).drop("island")
-
-
-def cut_out(docs: DataFrame, removed: DataFrame) -> DataFrame:
-    """docs with the removed lines cut out of the text, and __lines, __gone (array of start, n_lines)."""
-    gone = removed.groupBy(F.col("doc_id").alias("__id")).agg(F.sort_array(F.collect_list(F.struct("start", "n_lines"))).alias("__gone"))
-    d = docs.join(gone, F.col("doc_id").eqNullSafe(F.col("__id")), "left").drop("__id")
-    lines = F.split(whole("text"), "\n", -1)
-    out = F.filter(lines, lambda x, i: ~F.exists("__gone", lambda g: (i >= g["start"]) & (i < g["start"] + g["n_lines"])))
-    return d.withColumn("__lines", F.size(lines).cast("long")).withColumn("text", F.when(F.col("__gone").isNull(), F.col("text")).otherwise(F.array_join(out, "\n")))
+    return keyed(docs).select(*KEY, F.posexplode(both).alias("at", "pair")).withColumn("at", F.col("at").cast("long"))
 
 
-def drop_repeats(docs: DataFrame, window: int = WINDOW, divisor: int = DIVISOR) -> DataFrame:
-    """docs with the repeated chunks cut out of the text, and __lines, __gone (array of start, n_lines)."""
-    return cut_out(docs, removals(docs, window, divisor))
+def run_lines(docs: DataFrame) -> DataFrame:
+    """Lines to go since the run they are in was met earlier: doc_id, row, line."""
+    every, place = line_pairs(docs), F.struct(*KEY, "at")
+    known = cut(every.groupBy("pair").agg(F.count(F.lit(1)).alias("n"), F.min(place).alias("first")).filter("n > 1").drop("n"))
+    lines = every.join(known, "pair").select(*KEY, F.explode(F.array("at", F.col("at") + 1)).alias("line"), (place == F.col("first")).alias("stays"))
+    return lines.groupBy(*KEY, "line").agg(F.max("stays").alias("stays")).filter("NOT stays").drop("stays")
 
 
-def line_dedup_report(docs: DataFrame, window: int = WINDOW, divisor: int = DIVISOR) -> DataFrame:
-    """One row per document: doc_id, n_lines, n_removed, removed ("start+lines" joined), text (what stays)."""
-    return _report(drop_repeats(docs.select("doc_id", "text"), window, divisor))
+def lines_to_go(docs: DataFrame, window: int = WINDOW, divisor: int = DIVISOR) -> DataFrame:
+    """Runs of lines to go: doc_id (null as FIRST_ID), row, start, n_lines."""
+    of_chunks = removals(docs, window, divisor).select(*KEY, F.explode(F.expr("sequence(start, start + n_lines - 1)")).alias("line"))
+    lines = of_chunks.unionByName(run_lines(docs)).distinct()
+    island = lines.withColumn("island", F.col("line") - F.row_number().over(W.partitionBy(*KEY).orderBy("line")))
+    return island.groupBy(*KEY, "island").agg(F.min("line").alias("start"), F.count(F.lit(1)).alias("n_lines")).drop("island")
 
 
-def run_dedup_report(docs: DataFrame) -> DataFrame:
-    """The same columns, by repeated runs of lines."""
-    d = docs.select("doc_id", "text")
-    return _report(cut_out(d, run_removals(d)))
+def drop_repeats(docs: DataFrame, window: int = WINDOW, divisor: int = DIVISOR) -> DataFrame:
+    """docs with the repeated lines cut out of the text, and __lines, __gone (array of start, n_lines)."""
+    gone = cut(lines_to_go(docs, window, divisor).groupBy(F.col("doc_id").alias("__id"), F.col("row").alias("__row")).agg(F.sort_array(F.collect_list(F.struct("start", "n_lines"))).alias("__gone")))
+    same = (F.coalesce(F.col("doc_id").cast("long"), F.lit(FIRST_ID)) == F.col("__id")) & (F.md5(whole("text")) == F.col("__row"))
+    d = docs.join(gone, same, "left").drop("__id", "__row")
+    lines = F.split(whole("text"), "\n", -1)
+    out = F.filter(lines, lambda x, i: ~F.exists("__gone", lambda g: (i >= g["start"]) & (i < g["start"] + g["n_lines"])))
+    return d.withColumn("__lines", F.size(lines).cast("long")).withColumn("text", F.when(F.col("__gone").isNull(), F.col("text")).otherwise(F.array_join(out, "\n")))
 
 
-def _report(d: DataFrame) -> DataFrame:
+def line_dedup_report(docs: DataFrame, window: int = WINDOW, divisor: int = DIVISOR) -> DataFrame:
+    """One row per document: doc_id, n_lines, n_removed, removed ("start+lines" joined), text (what stays)."""
+    d = drop_repeats(docs.select("doc_id", "text"), window, divisor)
     return d.select(
         "doc_id", F.when((F.length(whole("text")) > 0) | F.col("__gone").isNotNull(), F.col("__lines")).otherwise(0).alias("n_lines"),
         F.coalesce(F.aggregate("__gone", F.lit(0).cast("long"), lambda a, g: a + g["n_lines"]), F.lit(0)).cast("long").alias("n_removed"),
