@@ -26,7 +26,8 @@ from .common import cut, hex_number
 WORD = r"[^\x20\x09-\x0D]+"
 WEIGHTS = (1, 2, 3)
 REPEAT = 3
-RANGES = 4096  # key ranges a source; raise with the rows: a task prefixes rows / RANGES of a source
+RANGES = 4096  # key ranges a source at least
+RANGE_ROWS = 4096  # rows a range, beyond RANGES times as many: ranges double with the rows, the result is the same
 SEED = "mix-1"
 
 
@@ -39,7 +40,12 @@ def _sized(docs: DataFrame, seed: str) -> DataFrame:
     return docs.select(
         "doc_id", F.col("source").isNull().alias("no_source"), F.coalesce("source", F.lit("")).alias("src"),
         words_in(F.col("text")).alias("size"), hex_number(key, 1, 15).alias("key"),
-    ).withColumn("range", F.floor(F.col("key") / F.lit((1 << 60) // RANGES)).cast("int"))
+    )
+
+
+def ranges_for(rows: int) -> int:
+    """A power of two of key ranges, so that no range of a source has many rows."""
+    return max(RANGES, 1 << min(24, (rows // RANGE_ROWS).bit_length()))
 
 
 def targets(sums: DataFrame, weights: Sequence[int] = WEIGHTS, repeat: int = REPEAT) -> DataFrame:
@@ -62,6 +68,8 @@ def targets(sums: DataFrame, weights: Sequence[int] = WEIGHTS, repeat: int = REP
 def mix(docs: DataFrame, weights: Sequence[int] = WEIGHTS, repeat: int = REPEAT, seed: str = SEED) -> DataFrame:
     """docs(doc_id, text, source) -> one row per document: doc_id, source, size, source_size, target, epochs, taken."""
     rows = cut(_sized(docs, seed))
+    wide = ranges_for(rows.count())
+    rows = rows.withColumn("range", F.floor(F.col("key") / F.lit((1 << 60) // wide)).cast("int"))
     ranges = cut(rows.groupBy("no_source", "src", "range").agg(F.sum("size").alias("words")))
     plan = targets(ranges.groupBy("no_source", "src").agg(F.sum("words").alias("total")), weights, repeat)
     up_to = W.partitionBy("no_source", "src").orderBy("range").rowsBetween(W.unboundedPreceding, -1)
@@ -79,11 +87,17 @@ def mix(docs: DataFrame, weights: Sequence[int] = WEIGHTS, repeat: int = REPEAT,
 
 def mixed_documents(docs: DataFrame, weights: Sequence[int] = WEIGHTS, repeat: int = REPEAT, seed: str = SEED) -> DataFrame:
     """The mix as documents: a row for each epoch that a document is in; where the budget ends inside a document, its
-    leading words up to there. Documents without words have no part in a mix. Columns are those of docs."""
-    plan = mix(docs, weights, repeat, seed).filter("taken > 0").groupBy("doc_id", "source", "size").agg(F.max("taken").alias("taken"), F.count(F.lit(1)).alias("n"))
+    leading words up to there. Documents without words have no part in a mix. Repeated rows, and texts of one id, source
+    and size, have each its own part. Columns are those of docs."""
+    keys = ["doc_id", "source", "size"]
+    alike = lambda order: F.row_number().over(W.partitionBy(*keys).orderBy(*order))
+    plan = mix(docs, weights, repeat, seed).filter("size > 0").withColumn("nth", alike([F.desc("taken")])).filter("taken > 0")
     named = [F.col(f"d.`{c}`") for c in docs.columns]
-    same = F.col("d.doc_id").eqNullSafe(F.col("p.doc_id")) & F.col("d.source").eqNullSafe(F.col("p.source")) & (F.col("d.__size") == F.col("p.size"))
-    rows = docs.withColumn("__size", words_in(F.col("text"))).alias("d").join(plan.alias("p"), same).select(*named, F.col("p.size").alias("__size"), F.col("p.taken").alias("__taken"))
+    sized = docs.select("*", words_in(F.col("text")).alias("__size")).filter("__size > 0")
+    # rows alike in id, source and size differ in the plan only by what is taken: the k-th of one side goes with that of the other
+    nth = F.row_number().over(W.partitionBy("doc_id", "source", "__size").orderBy(F.md5("text")))
+    same = F.col("d.doc_id").eqNullSafe(F.col("p.doc_id")) & F.col("d.source").eqNullSafe(F.col("p.source")) & (F.col("d.__size") == F.col("p.size")) & (F.col("d.__nth") == F.col("p.nth"))
+    rows = sized.withColumn("__nth", nth).alias("d").join(plan.alias("p"), same).select(*named, F.col("p.size").alias("__size"), F.col("p.taken").alias("__taken"))
     rows = rows.withColumn("__full", F.expr("__taken DIV __size")).withColumn("__left", F.expr("__taken % __size"))
     rows = rows.withColumn("__copy", F.explode(F.sequence(F.lit(1), (F.col("__full") + F.when(F.col("__left") > 0, 1).otherwise(0)).cast("int"))))
     part = F.regexp_extract("text", r"^[\x20\x09-\x0D]*+", 0)

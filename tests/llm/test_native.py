@@ -92,6 +92,21 @@ def test_mix_meets_targets(spark, rows):
     assert dict(words) == {s: n for s, n in taken.items() if n}
 
 
+def test_mixed_documents_take_each_row_once(spark):
+    rows = [(1, "a b c d", "x")] * 5 + [(2, "e f g h", "x"), (2, "i j k l", "x"), (None, "m n o", None), (None, "m n o", None), (9, " ".join("w" * 60), "y")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    plan = defaultdict(list)
+    for r in mixing.mix(docs).collect():
+        plan[r["doc_id"], r["source"], r["size"]].append(r["taken"])
+    emitted = defaultdict(int)
+    for r in mixing.mixed_documents(docs).collect():
+        emitted[r["doc_id"], r["source"]] += len(r["text"].split())
+    assert {k[:2]: sum(v) for k, v in plan.items() if sum(v)} == dict(emitted)
+    both = [r["text"] for r in mixing.mixed_documents(docs).filter("doc_id = 2").collect()]
+    assert len({t.split()[0] for t in both}) == sum(t > 0 for t in plan[2, "x", 4])  # texts of one id and size are told apart
+    assert mixing.ranges_for(0) == mixing.RANGES and mixing.ranges_for(10**9) > 10**9 // mixing.RANGE_ROWS // 2
+
+
 def test_mix_odd_rows(odd_docs, empty_docs):
     assert sorted(map(str, mixing.mix(odd_docs).collect())) == sorted(map(str, mixing.mix(odd_docs.repartition(3)).collect()))
     assert mixing.mix(odd_docs).count() == odd_docs.count()
@@ -157,50 +172,41 @@ def test_masking(spark):
 # ---- lines
 
 
+def row_key(i, t):
+    return (linededup.FIRST_ID if i is None else i, hashlib.md5((t or "").encode()).hexdigest())
+
+
 def brute_lines(rows):
-    chunk_at = {}
-    for i, t in rows:
-        lines = (t or "").split("\n")
+    """(id, text digest, line) of every line that goes, chunk by chunk and pair by pair."""
+    chunks, pairs = defaultdict(list), defaultdict(list)
+    for key, lines in sorted({row_key(i, t): (t or "").split("\n") for i, t in rows}.items()):
         h = [int(hashlib.md5(x.encode()).hexdigest()[:6], 16) for x in lines]
-        start = 0
         falls = [((h[k - 1] * linededup.BASE if k else 0) + h[k]) % linededup.PRIME % linededup.DIVISOR == 0 for k in range(len(lines))]
+        start = 0
         for k in range(len(lines)):
             if (k and falls[k] and not falls[k - 1]) or k == len(lines) - 1:
                 if k > start:
-                    chunk_at.setdefault("\n".join(lines[start : k + 1]), []).append((i, start, k - start + 1))
+                    chunks[tuple(lines[start : k + 1])].append((key, start))
                 start = k + 1
-    return {p for places in chunk_at.values() for p in sorted(places)[1:]}
+        for k in range(len(lines) - 1):
+            pairs[lines[k], lines[k + 1]].append((key, k))
+    gone = {(*key, start + k) for text, places in chunks.items() for key, start in places[1:] for k in range(len(text))}
+    met = {(*key, at + k) for places in pairs.values() if len(places) > 1 for key, at in places[1:] for k in (0, 1)}
+    return gone | (met - {(*places[0][0], places[0][1] + k) for places in pairs.values() if len(places) > 1 for k in (0, 1)})
+
+
+def gone_lines(docs):
+    return {(r["doc_id"], r["row"], r["start"] + k) for r in linededup.lines_to_go(docs).collect() for k in range(r["n_lines"])}
 
 
 def test_repeated_chunks_go_but_once(spark):
     block = "\n".join(f"shared line number {i}" for i in range(12))
     rows = [(i, "\n".join([f"own {i} {j}" for j in range(3)]) + "\n" + block + "\n" + f"end {i}") for i in range(6)] + [(6, block), (7, "one line"), (8, None), (9, "a\nb"), (10, "a\nb")]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
-    got = {tuple(r) for r in linededup.removals(docs).collect()}
-    assert got == brute_lines(rows) and got
+    assert gone_lines(docs) == brute_lines(rows) and linededup.removals(docs).count()
     kept = {r["doc_id"]: r["text"] for r in linededup.drop_repeats(docs).collect()}
-    assert "shared line number 5" in kept[0] and all("own" in kept[i] for i in range(6)) and kept[8] is None and kept[7] == "one line"
-    assert sum((t or "").count("shared line number 5\n") for t in kept.values()) < 7
-
-
-def test_lines_odd_rows(odd_docs, empty_docs):
-    got = linededup.line_dedup_report(odd_docs)
-    assert got.count() == odd_docs.count()
-    assert linededup.line_dedup_report(empty_docs).count() == 0
-    want = brute_lines([(r["doc_id"], r["text"]) for r in odd_docs.collect() if r["doc_id"] in (8, 9)])
-    assert want and {tuple(r) for r in linededup.removals(odd_docs).collect()} == want
-
-
-def brute_runs(rows):
-    """Lines of every later copy of a run of two lines or more, tried run by run, but those of a repeated pair's first place."""
-    texts = {i: (t or "").split("\n") for i, t in rows}
-    places = defaultdict(list)
-    for i in sorted(texts):
-        for a in range(len(texts[i])):
-            for z in range(a + 2, len(texts[i]) + 1):
-                places[tuple(texts[i][a:z])].append((i, a, z))
-    gone = {(i, k) for p in places.values() for i, a, z in p[1:] for k in range(a, z)}
-    return gone - {(i, k) for p in places.values() if len(p) > 1 and p[0][2] - p[0][1] == 2 for i, a, z in p[:1] for k in range(a, z)}
+    assert kept[0] == rows[0][1] and all(kept[i] == "\n".join([f"own {i} {j}" for j in range(3)] + [f"end {i}"]) for i in range(1, 6))
+    assert kept[6] == "" and kept[8] is None and kept[7] == "one line" and (kept[9], kept[10]) == ("a\nb", "")
 
 
 def test_repeated_runs_go_wholly(spark):
@@ -209,15 +215,33 @@ def test_repeated_runs_go_wholly(spark):
     rows = [(i, "\n".join(r.choice("abcdef") for _ in range(r.randint(1, 6)))) for i in range(25)]
     rows += [(100 + i, f"before {i}\n{passage}\nafter {i}") for i in range(40)] + [(200, None), (201, ""), (202, "x\nx\nx\nx"), (203, "one line")]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
-    got = {(x["doc_id"], x["start"] + k) for x in linededup.run_removals(docs).collect() for k in range(x["n_lines"])}
-    assert got == brute_runs(rows)
-    kept = {x["doc_id"]: x["text"] for x in linededup.run_dedup_report(docs).collect()}
+    assert gone_lines(docs) == brute_lines(rows)
+    kept = {x["doc_id"]: x["text"] for x in linededup.line_dedup_report(docs).collect()}
     assert kept[100] == rows[25][1] and all(kept[100 + i] == f"before {i}\nafter {i}" for i in range(1, 40))
-    assert kept[202] == "x\nx" and kept[200] is None and len(kept) == len(rows)
+    assert kept[200] is None and len(kept) == len(rows)
+    lines = {x for _, t in rows for x in (t or "").split("\n")}
+    assert lines == {x for t in kept.values() for x in (t or "").split("\n")} | {""}  # of each line one stays
 
 
-def test_runs_odd_rows(odd_docs, empty_docs):
-    assert linededup.run_dedup_report(odd_docs).count() == odd_docs.count() and linededup.run_dedup_report(empty_docs).count() == 0
+def test_texts_that_share_an_id_are_told_apart(spark):
+    own = "\n".join(f"line {k} that stands nowhere else" for k in range(10))
+    other = "\n".join(f"another line {k} of its own" for k in range(10))
+    block = "\n".join(f"repeated line {k}" for k in range(8))
+    rows = [(1, block), (2, "head\n" + block), (2, own), (None, block + "\ntail"), (None, other), (None, "a\nb"), (3, block), (3, block)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    assert gone_lines(docs) == brute_lines(rows)
+    got = [(r["doc_id"], r["text"]) for r in linededup.line_dedup_report(docs).collect()]
+    want = [(1, ""), (2, "head"), (2, own), (None, block + "\ntail"), (None, other), (None, "a\nb"), (3, ""), (3, "")]
+    assert sorted(map(str, got)) == sorted(map(str, want))
+    assert linededup.line_dedup_report(docs.filter("doc_id = 2")).filter("n_removed > 0").count() == 0
+
+
+def test_lines_odd_rows(odd_docs, empty_docs):
+    assert linededup.line_dedup_report(odd_docs).count() == odd_docs.count()
+    assert linededup.line_dedup_report(empty_docs).count() == 0
+    want = brute_lines([(r["doc_id"], r["text"]) for r in odd_docs.collect()])
+    assert want and gone_lines(odd_docs) == want
+    assert linededup.drop_repeats(odd_docs).columns[: len(odd_docs.columns)] == odd_docs.columns
 
 
 def test_account_numbers_end_at_their_length(spark):
