@@ -30,11 +30,12 @@ from pyspark.sql import functions as F
 
 from copresence.ship import arrow_map
 
-from .common import shared_dir, whole
+from .common import cut, shared_dir, whole
 
 TOKENIZER = "byte_bpe_50k.json"
 TWIN = {"byte_bpe_50k.json": "byte_bpe_50k.tiktoken"}
 LIMIT = 1024
+CACHE_SETTING = "spark.copresence.tokenCache"  # folder of the cache that a session's calls share and leave to later ones
 CACHE = "content string, tokenizer string, n_tokens long"
 SAFE = re.compile(r"[^\t\n\r\x20-\x7EÀ-ÖØ-öø-ſ–—‘’“”…€]")
 
@@ -92,22 +93,34 @@ def _encoded(misses: DataFrame, path: str) -> DataFrame:
     return arrow_map(misses.select("content", "text"), run, CACHE)
 
 
-def stored(spark: SparkSession, cache: str, tag: str) -> DataFrame:
+def stored(spark: SparkSession, cache: str, tag: str, make: bool = True) -> DataFrame:
     """What the cache holds for a tokenizer version; a cache that isn't there yet is made, empty."""
-    spark.createDataFrame([], CACHE).coalesce(1).write.mode("append").parquet(cache)
+    if make:
+        spark.createDataFrame([], CACHE).coalesce(1).write.mode("append").parquet(cache)
     return spark.read.schema(CACHE).parquet(cache).filter(F.col("tokenizer") == tag).groupBy("content").agg(F.max("n_tokens").alias("n_tokens"))
 
 
+def new_cache(spark: SparkSession) -> str:
+    """A cache of its own in the shared folder, which goes when the session ends."""
+    cache = f"{shared_dir(spark)}/token-counts-{uuid.uuid4().hex}"
+    jvm = spark.sparkContext._jvm
+    where = jvm.org.apache.hadoop.fs.Path(cache)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
+    return cache
+
+
 def count_tokens(docs: DataFrame, cache: str | None = None, path: str | None = None, limit: int = LIMIT) -> DataFrame:
-    """docs(doc_id, text) -> doc_id, n_bytes, n_tokens, over_limit. cache: folder of the cache; None: a new one in the shared folder."""
+    """docs(doc_id, text) -> doc_id, n_bytes, n_tokens, over_limit. cache: folder of the cache; None: the one that the
+    session names in CACHE_SETTING and so keeps, or else a new one."""
     spark = docs.sparkSession
     path = path or tokenizer_path()
-    cache = cache or f"{shared_dir(spark)}/token-counts-{uuid.uuid4().hex}"
+    cache = cache or spark.conf.get(CACHE_SETTING, None) or new_cache(spark)
     tag = version(path)
     keyed = docs.select("doc_id", whole("text").alias("text")).withColumn("content", F.sha2("text", 256))
     known = stored(spark, cache, tag)
     misses = keyed.join(known, "content", "left_anti").groupBy("content").agg(F.first("text").alias("text"))
     _encoded(misses, path).write.mode("append").parquet(cache)
     light = keyed.select("doc_id", "content", F.octet_length("text").cast("long").alias("n_bytes"))
-    counts = spark.read.schema(CACHE).parquet(cache).filter(F.col("tokenizer") == tag).select("content", "n_tokens").dropDuplicates(["content"])
+    # written, so that Spark may split the rows of a content that very many documents have
+    counts = cut(light.select("content").distinct().join(stored(spark, cache, tag, make=False), "content"))
     return light.join(counts, "content", "left").select("doc_id", "n_bytes", "n_tokens", (F.col("n_tokens") > limit).alias("over_limit"))
