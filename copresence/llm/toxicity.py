@@ -32,7 +32,6 @@ from pyspark.sql import functions as F
 from copresence.ship import arrow_map
 
 MAX_TRAIN = 12000
-MAX_ENTRIES = 5000
 HEADS = (4, 5, 6)  # lengths of word heads that may be entries
 LEAST = 3  # (document, word) pairs under toxic labels that an entry needs
 COUNTED = 120_000  # entries that a task holds before it hands their counts on
@@ -148,12 +147,12 @@ def _z(t: Column, c: Column, all_t: Column, all_c: Column) -> tuple[Column, Colu
 
 
 def _entries(pairs: DataFrame, halves: tuple[int, ...], totals: dict[str, int]) -> dict[str, tuple[float, bool]]:
-    """The lexicon that the given halves teach: at most MAX_ENTRIES rows come to the driver."""
+    """The lexicon that the given halves teach: words that MAX_TRAIN documents bound come to the driver, none left out."""
     t, c = (sum((F.col(f"{k}{h}") for h in halves), F.lit(0)) for k in ("toxic", "clean"))
     all_t, all_c = (F.lit(sum(totals[f"{k}{h}"] or 0 for h in halves)) for k in ("toxic", "clean"))
     weight, z = _z(t, c, all_t, all_c)
     found = pairs.filter(t >= LEAST).select("entry", "whole", weight.alias("weight"), z.alias("z")).filter(F.col("z") >= LEAST_Z)
-    rows = found.orderBy(F.desc("z"), "entry", "whole").limit(MAX_ENTRIES).collect()
+    rows = sorted(found.collect(), key=lambda r: (-r["z"], r["entry"], r["whole"]))
     out: dict[str, tuple[float, bool]] = {}
     for r in rows:
         if r["entry"] not in out or out[r["entry"]][1]:  # a head also covers the whole word
