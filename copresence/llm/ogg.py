@@ -1,14 +1,16 @@
 """Ogg as a media column: write, verify, reassemble, demultiplex, time.
 
 Reading: every page's checksum is verified; packets are put together again from lacing values, over page borders and
-per logical stream; a packet that a lost or damaged page broke is dropped and counted, never joined wrongly. A packet
-that ends on a page takes its time from the page's granule position (samples so far / rate).
+per logical stream; a packet that a lost or damaged page broke is dropped and counted, never joined wrongly. The last
+packet that ends on a page has the page's granule position (samples so far) at its end; those before it on the page are
+timed backwards from there by what the packets between hold, and a time is granule / rate.
 
 The page checksum is a CRC-32 without reflection that starts at 0; it is got from the reflected CRC of the standard
 library by reversing the bits of each byte before and of the result after.
 
 Writing: a document's bytes, padded to a positive multiple of 64 with zeros, are unsigned 8-bit samples of one stream;
-a second stream carries the byte count and a check value for each block of samples. Two streams are interleaved.
+a second stream carries the byte count and a check value for each block of samples. A stream's head has its first page
+for itself. Two streams are interleaved: both first pages, then by granule.
 
 Defined cases: null text is empty (64 zero samples); a null or empty media value has no packets; damaged bytes never
 raise; equal texts give equal bytes; other columns do not enter. A row is handled by itself, a batch at a time.
@@ -57,12 +59,14 @@ def stream_pages(serial: int, packets: list[tuple[bytes, int]], segments: int =
     for data, granule in packets:
         full, rest = divmod(len(data), 255)
         lacing += [(255, None)] * full + [(rest, granule)]
+    head = len(packets[0][0]) // 255 + 1 if packets else 0  # values of the first packet: no other shares a page with it
+    edges = [*range(0, head, segments), *range(head, max(len(lacing), 1), segments), len(lacing)]
     body, pages, at, so_far = b"".join(p for p, _ in packets), [], 0, 0
-    for number, first in enumerate(range(0, max(len(lacing), 1), segments)):
-        own = lacing[first : first + segments]
+    for number, (first, end) in enumerate(zip(edges, edges[1:], strict=False)):
+        own = lacing[first:end]
         ended = [g for _, g in own if g is not None]
         size = sum(n for n, _ in own)
-        kind = CONTINUED * (first > 0 and lacing[first - 1][1] is None) | FIRST * (first == 0) | LAST * (first + segments >= len(lacing))
+        kind = CONTINUED * (first > 0 and lacing[first - 1][1] is None) | FIRST * (first == 0) | LAST * (end >= len(lacing))
         so_far = ended[-1] if ended else so_far
         pages.append((so_far, _page(serial, number, kind, ended[-1] if ended else -1, [n for n, _ in own], body[at : at + size])))
         at += size
@@ -145,9 +149,25 @@ def _take(s: Stream, kind: int, granule: int, number: int, lacing: bytes, body:
         s.packets += [(p, -1) for p in ended[:-1]] + [(ended[-1], granule)]
 
 
+#: Granule at which a packet starts, from its bytes and the granule at its end, by the first bytes of its stream's head.
+STARTS = {b"samples8": lambda data, end: end - len(data), b"checks32": lambda _, end: max(end - 1, 0) // BLOCK * BLOCK}
+
+
+def granules(packets: list[tuple[bytes, int]]) -> list[int | None]:
+    """Granule at the end of each packet: the page's, or counted back from the next packet of a stream of known kind."""
+    start = STARTS.get(packets[0][0][:8]) if packets else None
+    out: list[int | None] = [None] * len(packets)
+    for k in range(len(packets) - 1, -1, -1):
+        if packets[k][1] >= 0:
+            out[k] = packets[k][1]
+        elif start and k + 1 < len(packets) and out[k + 1] is not None:
+            out[k] = start(packets[k + 1][0], out[k + 1])
+    return out
+
+
 def timestamps(packets: list[tuple[bytes, int]], rate: int = RATE) -> list[float | None]:
-    """Seconds at the end of each packet that its page times; packets that share a page with a later end are None."""
-    return [g / rate if g >= 0 else None for _, g in packets]
+    """Seconds at the end of each packet; None where neither its page nor a later packet of it tells."""
+    return [None if g is None else g / rate for g in granules(packets)]
 
 
 def features(samples: np.ndarray) -> str:
@@ -174,8 +194,10 @@ def _report(doc_id: int | None, text: str | None) -> tuple:
     rate = struct.unpack("<8sIQ", head[0])[1]
     if [struct.unpack("<I", c)[0] for c, _ in checks[1:]] != [zlib.crc32(payload[i : i + BLOCK]) for i in range(0, len(payload), BLOCK)]:
         raise ValueError("the samples read back differ from their check values")
-    seconds = max(t for t in timestamps(data, rate) if t is not None)
-    return (doc_id, n_bytes, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-UNIT:]), len(stored), hashlib.sha256(stored).hexdigest(), features(np.frombuffer(payload, np.uint8)), media.pages, media.damaged, sum(len(s.packets) for s in media.streams.values()), seconds)
+    times = timestamps(media.streams[SAMPLES].packets, rate)
+    if times[-1] * rate != len(payload):
+        raise ValueError("the granule positions read back differ from the samples")
+    return (doc_id, n_bytes, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-UNIT:]), len(stored), hashlib.sha256(stored).hexdigest(), features(np.frombuffer(payload, np.uint8)), media.pages, media.damaged, sum(len(s.packets) for s in media.streams.values()), times[-1])
 
 
 def _columns(rows: list[tuple], kinds: list[pa.DataType], names: list[str]) -> pa.RecordBatch:
@@ -215,7 +237,7 @@ def demultiplex(media: DataFrame, rate: int = RATE) -> DataFrame:
         for b in batches:
             for i, m in zip(b.column(0).to_pylist(), b.column(1), strict=True):
                 found = decode(m.as_py())
-                rows = [(i, serial, k, g if g >= 0 else None, t, p) for serial, s in sorted(found.streams.items()) for k, ((p, g), t) in enumerate(zip(s.packets, timestamps(s.packets, rate), strict=True))]
+                rows = [(i, serial, k, g, None if g is None else g / rate, p) for serial, s in sorted(found.streams.items()) for k, ((p, _), g) in enumerate(zip(s.packets, granules(s.packets), strict=True))]
                 if rows:
                     yield _columns(rows, kinds, names)
 
