@@ -2,6 +2,7 @@ from __future__ import annotations
 
 import hashlib
 import random
+import re
 import struct
 import zlib
 
@@ -10,6 +11,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from copresence.llm import maskedlm, ogg, tokencount, toxicity
+from copresence.llm.words import hash_texts
 
 
 # ---- Ogg
@@ -80,6 +82,20 @@ def test_media_report(spark, odd_docs, empty_docs):
     assert struct.unpack("<8sQ", next(p["data"] for p in packets if p["stream"] == ogg.CHECKS and p["packet"] == 0))[1] == 38
 
 
+def test_every_packet_is_timed(spark):
+    text = "x" * 40_000
+    stored = ogg.encode(text)[2]
+    packets = ogg.decode(stored).streams[ogg.SAMPLES].packets
+    assert [p for p, g in packets if g < 0]  # packets that share a page with a later end
+    assert ogg.granules(packets) == [0, *[min(i + ogg.PACKET, 40_000) for i in range(0, 40_000, ogg.PACKET)]]
+    checks = ogg.decode(ogg.encode("y" * 200_000)[2]).streams[ogg.CHECKS].packets
+    assert ogg.granules(checks) == [0, 65536, 131072, 196608, 200_000]
+    first = stored[: ogg.HEADER.size + stored[26]]
+    assert first[26] == 1 and first[27] == len(packets[0][0]) and stored[5] & ogg.FIRST  # the head has its page for itself
+    rows = ogg.demultiplex(ogg.to_media(spark.createDataFrame([(1, text)], "doc_id long, text string"))).collect()
+    assert all(r["seconds"] == r["granule"] / ogg.RATE for r in rows)
+
+
 # ---- token counts
 
 WORDS = ["don't", "naïve", "Straße", "ÉCOLE", "x1y2", "...", "—", "€5", "a\tb", "\r\n", "  ", "ſ", "it's", "I'LL", "¿qué?", "ĳ", "<|", "<|endoftext|>", "中文", "\xa0", " ", "😀", "1234567", "word" * 40]
@@ -112,6 +128,24 @@ def test_cache_is_used_and_extended(spark, odd_docs, empty_docs, tmp_path):
     assert tokencount.count_tokens(empty_docs, cache).count() == 0
 
 
+def test_query_fills_and_then_joins_the_kept_cache(spark, tmp_path, monkeypatch):
+    from copresence.llm import queries
+
+    texts = ["some words here", "other words", "some words here", None]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/t/documents.parquet")
+    cache, encoded = f"{tmp_path}/kept", []
+    monkeypatch.setattr(tokencount, "_encoded", lambda misses, path, own=tokencount._encoded: (encoded.append(misses.count()), own(misses, path))[1])
+    spark.conf.set(tokencount.CACHE_SETTING, cache)
+    try:
+        first = sorted(map(tuple, queries.op8_token_counts(spark, f"{tmp_path}/t").collect()))
+        again = sorted(map(tuple, queries.op8_token_counts(spark, f"{tmp_path}/t").collect()))
+    finally:
+        spark.conf.unset(tokencount.CACHE_SETTING)
+    exact = tokencount.plain_counter(tokencount.tokenizer_path())
+    assert first == again == sorted((i, len((t or "").encode()), exact(t or ""), False) for i, t in enumerate(texts)) and encoded == [3, 0]
+    assert sorted(map(tuple, queries.op8_token_counts(spark, f"{tmp_path}/t").collect())) == first and encoded == [3, 0, 3]  # its own cache
+
+
 # ---- toxicity
 
 
@@ -156,6 +190,64 @@ def test_held_out_accuracy(spark, marked):
     assert toxicity.learn(docs, flipped) == toxicity.learn(docs, labels)  # held-out labels are never seen
 
 
+def plain_measure(text, entries, exceptions):
+    """Sum of weights by trying every entry at every place of the folded text."""
+    t, total, spared = toxicity.fold(text or ""), 0.0, set()
+    starts = [i for i in range(len(t)) if not (i and t[i - 1].isalpha())]
+    ends_word = lambda e: e >= len(t) or not t[e].isalpha()
+    for i in starts:
+        for x in map(toxicity.fold, exceptions):
+            if t.startswith(x, i) and ends_word(i + len(x)):
+                spared.update(range(i, i + len(x)))
+    for i in starts:
+        met = [w for x, (w, whole) in entries.items() if t.startswith(x, i) and (not whole or ends_word(i + len(x)))]
+        total += max([0, *met]) if i not in spared else 0
+    return total, len(t)
+
+
+def plain_lexicon(rows, halves):
+    """rows (text, toxic, half) -> entries, by counting documents with each word and word head one by one."""
+    seen = {}
+    totals = [0, 0]
+    for text, toxic, half in rows:
+        if half not in halves:
+            continue
+        words = {w for w in re.findall(r"[^\W\d_]+", toxicity.fold(text or ""))}
+        totals[toxic] += len(words)
+        for w in words:
+            for entry in [(w, True), *[(w[:n], False) for n in toxicity.HEADS if len(w) > n]]:
+                seen.setdefault(entry, [0, 0])[toxic] += 1
+    out = {}
+    for (entry, whole), (c, t) in sorted(seen.items()):
+        weight = np.log((t + 0.5) / (totals[1] - t + 0.5)) - np.log((c + 0.5) / (totals[0] - c + 0.5))
+        z = weight / np.sqrt(1 / (t + 0.5) + 1 / (c + 0.5))
+        if t >= toxicity.LEAST and z >= toxicity.LEAST_Z:
+            out.setdefault(entry, {})[whole] = (float(weight), z)
+    return out
+
+
+def test_lexicon_and_scores_against_plain_versions(spark, marked):
+    docs, labels = marked
+    label = {r["doc_id"]: r["toxic"] for r in labels.collect() if zlib.crc32(str(r["doc_id"]).encode()) % 5}
+    texts = {r["doc_id"]: r["text"] for r in docs.collect()}
+    model = toxicity.learn(docs, labels)
+    want = plain_lexicon([(texts[i], t, 0) for i, t in label.items()], (0,))
+    assert set(model.entries) == set(want) and model.entries
+    for entry, (weight, whole) in model.entries.items():
+        assert weight == pytest.approx(want[entry][whole][0])
+    got = {r["doc_id"]: r["score"] for r in toxicity.score(docs, labels).collect()}
+    for i, t in texts.items():
+        total, letters = plain_measure(t, model.entries, model.exceptions)
+        z = sum(c * x for c, x in zip(model.curve, (1, np.log1p(total), np.log1p(1000 * total / max(letters, 200))), strict=True))
+        assert got[i] == pytest.approx(1 / (1 + np.exp(-z)), abs=1e-9)
+    r = random.Random(8)
+    words = ["clown", "fish", "cl0wn", "clownish", "idiot", "id10t", "idiots", "a", "trash", "can", "xclown"]
+    entries = {"clown": (2.0, True), "idio": (3.0, False), "idiot": (4.0, True), "trash": (1.5, True), "fish": (0.5, False)}
+    for _ in range(300):
+        t = r.choice([" ", "-", ""]).join(r.choices(words, k=r.randrange(9)))
+        assert toxicity.Lexicon(entries).measure(t) == pytest.approx(plain_measure(t, entries, toxicity.EXCEPTIONS)), t
+
+
 def test_toxicity_odd_rows(spark, odd_docs, empty_docs, marked):
     labels = marked[1].unionByName(spark.createDataFrame([(None, 1), (3, None)], "doc_id long, toxic int"))
     got = toxicity.score(odd_docs, labels)
@@ -175,23 +267,101 @@ def test_pseudo_likelihood_by_hand():
     flat, at, text = maskedlm.windows(numbers)
     got = maskedlm.log_probabilities(net, flat, at)
     assert list(np.bincount(text, minlength=4)) == [4, 0, 0, 1]
-    padded = [0, 0, *numbers[0], 0, 0]
-    for i in range(4):
-        h = net["b"] + sum(net["E"][k][padded[2 + i + o]] for k, o in enumerate(maskedlm.PLACES))
-        z = net["U"] @ np.tanh(h) + net["c"]
-        assert got[i] == pytest.approx(z[padded[2 + i]] - np.log(np.exp(z).sum()), abs=1e-4)
+    assert got[:4] == pytest.approx(plain_logs(net, numbers[0]), abs=1e-4)
+
+
+def plain_logs(net, classes):
+    """Log-probability of each class number of a text, a position at a time."""
+    padded, out = [0, 0, *map(int, classes), 0, 0], []
+    for i in range(len(classes)):
+        h = np.tanh(net["b"] + sum(net["E"][k][padded[2 + i + o]] for k, o in enumerate(maskedlm.PLACES)))
+        group, member = divmod(padded[2 + i], maskedlm.MEMBERS)
+        own = slice(group * maskedlm.MEMBERS, (group + 1) * maskedlm.MEMBERS)
+        z, y = net["V"] @ h + net["d"], net["U"][own] @ h + net["c"][own]
+        out.append(z[group] - np.log(np.exp(z).sum()) + y[member] - np.log(np.exp(y).sum()))
+    return out
+
+
+def test_whole_query_against_a_plain_version(spark):
+    r = random.Random(6)
+    words = [f"{a}{b}" for a in "bcdfg" for b in ("an", "ing", "ed", "o")]
+    texts = [" ".join(r.choices(words, range(20, 0, -1), k=r.randrange(60))) for _ in range(30)] + [None, "", "zz only once"]
+    rows = list(enumerate(texts))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    counts = maskedlm.word_counts(docs).persist()
+    common, net = maskedlm.train(docs, counts=counts)
+    n = {}
+    for t in texts:
+        for w in (t or "").split():
+            n[w] = n.get(w, 0) + 1
+    assert {x["word"]: x["n"] for x in counts.collect()} == {int(hash_texts([w])[0].view(np.int64)[0]): k for w, k in n.items()}
+    number = {w: int(maskedlm.Numbers(common).of([w])[0][0]) for w in n}
+    # training, a target at a time in double precision: one shard, documents by digest
+    order = [x["doc_id"] for x in docs.orderBy(F.xxhash64(F.coalesce("text", F.lit("")).alias("t")), "doc_id").collect()]
+    plain = maskedlm.start([(w, n_) for w, n_ in maskedlm.common_words(counts)], 0)
+    for turn in range(maskedlm.ROUNDS):
+        memory = maskedlm.fresh_memory(plain)
+        flat, at, _ = maskedlm.windows([np.array([number[w] for w in (texts[i] or "").split()], np.uint16) for i in order if (texts[i] or "").split()])
+        at = maskedlm.targets(at, turn)
+        for k in range(0, len(at), maskedlm.BATCH):
+            plain = plain_step(plain, memory, flat.astype(int), at[k : k + maskedlm.BATCH])
+    for k in net:
+        assert np.abs(net[k] - plain[k]).max() < 2e-3, k
+    got = {x["doc_id"]: x for x in maskedlm.pseudo_likelihood(docs).collect()}
+    assert len(got) == len(rows)
+    for i, t in rows:
+        own = (t or "").split()
+        want = sum(plain_logs(net, [number[w] for w in own])) if own else 0.0  # every word here has a class of its own
+        assert got[i]["n_tokens"] == len(own) and got[i]["pll"] == pytest.approx(want, abs=2e-3) and got[i]["mean_pll"] == pytest.approx(want / max(len(own), 1), abs=1e-3)
+
+
+def plain_step(net, memory, flat, at):
+    """A step by numerical care only: every position's gradient is written out and added."""
+    grads = {k: np.zeros_like(v) for k, v in net.items()}
+    for i in at:
+        h = np.tanh(net["b"] + sum(net["E"][k][flat[i + o]] for k, o in enumerate(maskedlm.PLACES)))
+        group, member = divmod(int(flat[i]), maskedlm.MEMBERS)
+        own = slice(group * maskedlm.MEMBERS, (group + 1) * maskedlm.MEMBERS)
+        dh = 0
+        for vec, bias, rows, hit in (("V", "d", slice(None), group), ("U", "c", own, member)):
+            z = net[vec][rows] @ h + net[bias][rows]
+            p = np.exp(z - z.max())
+            p /= p.sum()
+            p[hit] -= 1
+            grads[vec][rows] += np.outer(p, h) / len(at)
+            grads[bias][rows] += p / len(at)
+            dh = dh + p @ net[vec][rows]
+        da = dh * (1 - h * h) / len(at)
+        grads["b"] += da
+        for k, o in enumerate(maskedlm.PLACES):
+            grads["E"][k][flat[i + o]] += da
+    for k, g in grads.items():
+        memory[k] += g * g
+    return {k: net[k] - maskedlm.RATE * grads[k] / (np.sqrt(memory[k]) + 1e-6) for k in net}
+
+
+def test_partitioning_changes_nothing(spark, monkeypatch):
+    monkeypatch.setattr(maskedlm, "SHARD_WORDS", 4000)  # several shards
+    r = random.Random(11)
+    texts = [" ".join(f"w{int(r.paretovariate(0.6))}" for _ in range(r.randrange(80))) for _ in range(150)]
+    docs = spark.createDataFrame(list(enumerate(texts)) + [(3, texts[3]), (None, texts[4]), (None, texts[4])], "doc_id long, text string")
+    runs = [sorted((x["doc_id"] or -1, x["n_tokens"], x["mean_pll"]) for x in maskedlm.pseudo_likelihood(d).collect()) for d in (docs.repartition(1), docs.repartition(7), docs.orderBy(F.desc("text")))]
+    assert maskedlm.shards_for(sum(len(t.split()) for t in texts)) > 3
+    for other in runs[1:]:
+        assert [x[:2] for x in other] == [x[:2] for x in runs[0]]
+        assert max(abs(a[2] - b[2]) for a, b in zip(runs[0], other, strict=True)) <= 2e-6
 
 
 def test_gradient():
     net = maskedlm.start([("a", 5), ("b", 3)], 4)
     r = np.random.default_rng(0)
-    flat = np.concatenate([[0, 0], r.integers(1, 60, 30), [0, 0]])
+    flat = np.concatenate([[0, 0], r.integers(1, 60, 30), [0, 0]]).astype(np.uint16)
     at = np.arange(2, 32)
     loss = lambda n: -maskedlm.log_probabilities(n, flat, at).mean()
     memory = {k: np.ones_like(v) for k, v in net.items()}
     before = {k: v.copy() for k, v in net.items()}
     maskedlm.step(net, memory, flat, at)
-    for name, index in (("U", (int(flat[5]), 3)), ("c", (int(flat[9]),)), ("b", (2,)), ("E", (1, int(flat[7]), 4))):
+    for name, index in (("V", (int(flat[4]) // maskedlm.MEMBERS, 2)), ("d", (1,)), ("U", (int(flat[5]), 3)), ("c", (int(flat[9]),)), ("b", (2,)), ("E", (1, int(flat[7]), 4))):
         grad = np.sqrt(memory[name][index] - 1)
         up = {k: v.copy() for k, v in before.items()}
         up[name][index] += 1e-5
@@ -226,9 +396,9 @@ def test_every_word_has_its_own_probability(spark):
     p = {r["doc_id"]: r["pll"] for r in maskedlm.pseudo_likelihood(probe, model, counts).collect()}
     assert p[0] - p[1] == pytest.approx(np.log(3), abs=1e-3) and p[1] == pytest.approx(p[2], abs=1e-3)  # one ending, other counts
     number = maskedlm.Numbers(model[0]).of(["wording"])[0][0]
-    alike = [r for r in counts.collect() if r["bucket"] == number and r["word"] not in model[0]]
+    alike = [r for r in counts.collect() if maskedlm.number_of(r["bucket"]) == number and r["word"] not in model[0]]
     net = {k: v.astype(np.float32) for k, v in model[1].items()}
-    one = maskedlm.log_probabilities(net, np.array([0, 0, number, 0, 0]), np.array([2]))[0]
+    one = maskedlm.log_probabilities(net, np.array([0, 0, number, 0, 0], np.uint16), np.array([2]))[0]
     assert p[0] == pytest.approx(one + np.log(3 / (1 + sum(r["n"] for r in alike))), abs=1e-3)
     at_hand, joined = (sorted(map(tuple, maskedlm.pseudo_likelihood(docs, model, counts, known).collect())) for known in (maskedlm.KNOWN, 0))
     assert len(at_hand) == len(texts) and [x[:2] for x in at_hand] == [x[:2] for x in joined]
