@@ -1,10 +1,11 @@
 """Near-duplicate documents by weighted minimum hashing with darts.
 
-A document is a weighted set: its five-word shingles with their multiplicities. Each element owns a region of weight by
-rank; hashing throws darts into that region at rate one, the same darts wherever the region is. Each dart names one of
-K coordinates, and a coordinate keeps its dart of least rank: two documents agree in a coordinate with probability
-equal to their weighted Jaccard similarity. Ranks are thrown a level at a time until every coordinate has a dart, about
-K ln K darts for short and long documents alike.
+A document is a weighted set: its five-word shingles with their multiplicities (`signature` takes any weights). Each
+element owns a region of weight by rank; hashing throws darts into that region at rate one, the same darts wherever the
+region is. Each dart names one of K coordinates, and a coordinate keeps its dart of least rank: two documents agree in
+a coordinate with probability equal to their weighted Jaccard similarity. Ranks go as far as about K ln K darts of the
+whole document, and further until every coordinate has one, so the work grows with the number of elements and the
+logarithm of their weights.
 
 Steps. (1) One scan gives each document a content digest, its bands and a bit sketch of its signature; no text is
 moved. (2) Equal texts are one node. (3) Each band bucket has a centre, its member that meets most others in all its
@@ -14,13 +15,15 @@ them and with their kin: the member that has a change against the centre in comm
 their changes against it (shingles that came or went), and the similarity of any two follows exactly from the changes
 they share; this is worked in blocks of bounded size, those apart from the centre against all, and one link a component
 is kept. Members less than half like the centre are paired by bucket, sketch, length and the triangle inequality of the
-distance, then compared exactly. Only the sketch could drop a true pair, with a margin of over five standard deviations.
+distance, then compared exactly. Only the sketch could drop a true pair, with a margin of over five standard deviations
+(`slack` None: no pair is dropped by it).
 (5) Components of the links are the classes. No step makes a row for each pair of a group.
 
 Defined cases: null and empty texts (no words) are copies of each other if their bytes are the same and have no other
 links; null counts as empty; repeated rows are copies; null ids are documents of the same table and join by digest;
-texts under five words are one shingle; ties of the least id go to the smaller digest; extra columns are kept by
-`keep_one` and not read.
+texts under five words are one shingle; a class is numbered by its least id that stands for one text only, or, without
+such an id, by a negative number from a digest, so that no two classes share a number; ties of the least id go to the
+smaller digest; extra columns are kept by `keep_one` and not read.
 """
 
 from __future__ import annotations
@@ -32,7 +35,6 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from copresence.ship import arrow_map, pandas_groups
@@ -47,49 +49,62 @@ BANDS, ROWS = 28, 5
 K = BANDS * ROWS
 SKETCH_WORDS = (K + 63) // 64
 SKETCH_SLACK = 32  # differing bits: texts 0.8 alike have 14 of 140 (deviation 3.5)
-_FIRST = mix(np.zeros(1, np.uint64))
-#: Darts in a unit cell, by the leading 16 bits of its number: Poisson with mean 1.
+FRACTION = 40  # bits of a rank below 1
+_PIECES = mix(np.arange(64, dtype=np.uint64))
+#: Darts in a cell, by the leading 16 bits of its number: Poisson with mean 1.
 _DARTS = np.searchsorted(np.cumsum([math.exp(-1) / math.factorial(i) for i in range(12)]), (np.arange(1 << 16) + 0.5) / (1 << 16)).astype(np.int8)
 
 
-def _darts(cells: np.ndarray, low: int, high: int) -> np.ndarray:
-    """Darts that fall into unit cells between the ranks low and high, each as a number: coordinate in the leading 8
-    bits, level in 12, rank above the level in 44."""
-    levels = np.arange(low, high, dtype=np.uint64)
-    seed = mix((cells[:, None] + (levels + np.uint64(1)) * STEP).ravel())
-    count = _DARTS[seed >> np.uint64(48)]
-    thrown = np.flatnonzero(count)
-    again = count[thrown]
-    owner = np.repeat(thrown, again)
-    turn = np.ones(len(owner), np.uint64)
-    for k in range(2, int(again.max(initial=0)) + 1):  # the k-th dart of a cell follows its (k-1)-th
-        turn[1:][(owner[1:] == owner[:-1]) & (turn[:-1] == k - 1)] = k
-    rank = mix(seed[owner] + turn * STEP)
-    at = ((rank * MIX1) >> np.uint64(32)) * np.uint64(K) >> np.uint64(32)
-    level = levels[owner % len(levels)] if high - low > 1 else levels
-    return at << np.uint64(56) | level << np.uint64(44) | rank >> np.uint64(20)
-
-
-def signature(elements: np.ndarray) -> np.ndarray:
-    """K coordinates (uint64) of a multiset of element numbers; elements must not be empty."""
-    elements = np.sort(elements)
-    same = elements[1:] == elements[:-1]
-    cells = elements ^ _FIRST
-    if same.any():
-        first = np.flatnonzero(np.concatenate([[True], ~same]))
-        copy = np.arange(len(elements)) - np.repeat(first, np.diff(np.append(first, len(elements))))
-        cells = elements ^ mix(copy.astype(np.uint64) * STEP)
-    cells = mix(cells)
+def _darts(elements: np.ndarray, weights: np.ndarray, low: int, high: int) -> np.ndarray:
+    """Darts in the elements' regions between two ranks (in units of 2**-FRACTION), each as a number: coordinate in the
+    leading 8 bits, rank in the others.
+
+    The weight axis is cut at 0, 1, 2, 4, 8 and so on. A cell is as wide as its piece of that axis and as high as makes
+    its area 1, so one dart is expected in each, and a heavy element takes one row of cells a piece and not one a unit.
+    Darts beyond the element's weight or the ranks asked for don't count."""
+    out, piece, top = [], 0, float(weights.max())
+    while piece == 0 or 2.0 ** (piece - 1) < top:
+        shift = max(piece - 1, 0)
+        base, width = (2.0**shift if piece else 0.0), float(1 << shift)
+        held = np.flatnonzero(weights > base)
+        cells = np.arange((low << shift) >> FRACTION, -(-(high << shift) >> FRACTION), dtype=np.uint64)
+        seed = mix((mix(elements[held] ^ _PIECES[piece])[:, None] + (cells + np.uint64(1)) * STEP).ravel())
+        count = _DARTS[seed >> np.uint64(48)]
+        thrown = np.flatnonzero(count)
+        again = count[thrown]
+        cell = np.repeat(thrown, again)
+        turn = np.ones(len(cell), np.uint64)
+        for k in range(2, int(again.max(initial=0)) + 1):  # the k-th dart of a cell follows its (k-1)-th
+            turn[1:][(cell[1:] == cell[:-1]) & (turn[:-1] == k - 1)] = k
+        dart = mix(seed[cell] + turn * STEP)
+        rank = (cells[cell % len(cells)] << np.uint64(FRACTION - shift)) + (dart >> np.uint64(64 - FRACTION + shift))
+        counts = (rank >= np.uint64(low)) & (rank < np.uint64(high))
+        if float(weights[held].min()) < base + width:
+            counts &= base + width * ((mix(dart) >> np.uint64(11)).astype(np.float64) / (1 << 53)) < weights[held][cell // len(cells)]
+        at = ((dart[counts] * MIX1) >> np.uint64(32)) * np.uint64(K) >> np.uint64(32)
+        out.append(at << np.uint64(56) | rank[counts])
+        piece += 1
+    return np.concatenate(out)
+
+
+def signature(elements: np.ndarray, weights: np.ndarray | None = None) -> np.ndarray:
+    """K coordinates (uint64) of distinct element numbers with their weights (above 0), or of a multiset of elements."""
+    if weights is None:
+        elements, weights = np.unique(elements, return_counts=True)
+    weights = np.asarray(weights, np.float64)
+    if not len(weights) or weights.min() <= 0 or not 1 / 16 <= weights.sum() < 2.0**40:
+        raise ValueError("weights must be above 0 and have a sum from 1/16 to 2**40")
     out, filled, low = np.zeros(K, np.uint64), np.zeros(K, bool), 0
-    levels = math.ceil(K * (math.log(K) + 0.6) / len(cells))
-    while not filled.all():  # a dart of an earlier level has the lesser rank
-        dart = np.sort(_darts(cells, low, low + levels))
+    high = math.ceil(K * (math.log(K) + 1) / weights.sum() * (1 << FRACTION))
+    more = max(1, high // 3)
+    while not filled.all():  # a dart of an earlier round has the lesser rank
+        dart = np.sort(_darts(elements, weights, low, high))
         at = (dart >> np.uint64(56)).astype(np.int64)
         first = np.flatnonzero(np.diff(at, prepend=-1))
         new = first[~filled[at[first]]]
         out[at[new]] = dart[new]
         filled[at[new]] = True
-        low, levels = low + levels, max(1, levels // 3)
+        low, high = high, high + more
     return out
 
 
@@ -149,8 +164,9 @@ def _copies(values: np.ndarray, times: np.ndarray, sign: int) -> np.ndarray:
 
 def _compared(pairs: DataFrame, texts: DataFrame, listed: bool = False) -> DataFrame:
     """pairs(a, b) -> their numbers of shingles, how many they share, and (listed, from HALF on) the changes from a to b:
-    a number for each shingle, copies told apart, that came or went. Exact; a text is sent once a pair and side."""
-    both = pairs.join(texts.select(F.col("node").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("node").alias("b"), F.col("text").alias("tb")), "b")
+    a number for each shingle, copies told apart, that came or went. Exact; the text of b is sent once a pair, that of a once."""
+    side = lambda name, text: texts.select(F.col("node").alias(name), F.col("text").alias(text))
+    both = pairs.join(side("b", "tb"), "b").join(side("a", "ta").hint("merge"), "a")  # `a` comes last: its text is sent once, not once a pair
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last: tuple[str | None, np.ndarray, np.ndarray] = None, np.zeros(0, np.uint64), np.zeros(0)
@@ -182,16 +198,16 @@ def _is_alike(least: float) -> Column:
 
 
 def _nodes(every: DataFrame) -> DataFrame:
-    """One row a text: digest, node (its least id, or a number from the digest where that id stands for two texts or is
-    null), least_id, copies, weight, bands, sketch."""
+    """One row a text: digest, node (its least id; a number from the digest where that id stands for two texts or is
+    null), named (whether node is an id), copies, weight, bands, sketch."""
     low = F.lit(-(1 << 62))
     nodes = every.groupBy("digest").agg(F.min(F.coalesce("doc_id", low)).alias("node"), F.count(F.lit(1)).alias("copies"), F.first("weight").alias("weight"), F.first("bands").alias("bands"), F.first("sketch").alias("sketch"))
-    clash = (F.col("node") == low) | (F.count(F.lit(1)).over(W.partitionBy("node")) > 1)
-    named = nodes.withColumn("clash", clash).withColumn("least_id", F.when(F.col("node") != low, F.col("node")))
-    return named.withColumn("node", F.when(F.col("clash"), -F.abs(F.xxhash64("digest") % F.lit(1 << 61)) - 2).otherwise(F.col("node"))).drop("clash")
+    several = cut(nodes.groupBy("node").agg(F.count(F.lit(1)).alias("n")).filter((F.col("n") > 1) | (F.col("node") == low)).select("node", F.lit(False).alias("named")))
+    named = nodes.join(several, "node", "left").withColumn("named", F.coalesce("named", F.lit(True)))
+    return named.withColumn("node", F.when(F.col("named"), F.col("node")).otherwise(-F.abs(F.xxhash64("digest") % F.lit(1 << 61)) - 2))
 
 
-def _links(docs: DataFrame, nodes: DataFrame, least: float) -> tuple[DataFrame, DataFrame]:
+def _links(docs: DataFrame, nodes: DataFrame, least: float, slack: int | None) -> tuple[DataFrame, DataFrame]:
     """Links between nodes, a row (a, b) each, that connect every class; and the components (id, root)."""
     buckets = nodes.filter("weight > 0").select("node", F.explode("bands").alias("bucket"))
     shared = buckets.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
@@ -212,7 +228,7 @@ def _links(docs: DataFrame, nodes: DataFrame, least: float) -> tuple[DataFrame,
     roots = components(links)
 
     rows = _around_centers(star, roots)
-    far = cut(_compared(_far_pairs(nodes, members, rows, least).join(tried.select("a", "b"), ["a", "b"], "left_anti"), texts).filter(_is_alike(least)).select("a", "b"))
+    far = cut(_compared(_far_pairs(nodes, members, rows, least, slack).join(tried.select("a", "b"), ["a", "b"], "left_anti"), texts).filter(_is_alike(least)).select("a", "b"))
     last = cut(far.unionByName(_near_links(rows, least)).distinct())
     if last.limit(1).count():
         links = links.unionByName(last)
@@ -224,7 +240,7 @@ def _kin(star: DataFrame) -> DataFrame:
     """Pairs of a text that isn't alike to its centre and, for each of its changes that other members have too, the one
     of these with fewest changes: a copy's source has what the copy has but the copy's last changes."""
     each = star.filter(F.col("changes").isNotNull()).select(F.col("a").alias("center"), F.col("b").alias("node"), "out", F.size("changes").alias("n"), F.explode("changes").alias("e"))
-    plain = each.groupBy("center", "e").agg(F.min(F.struct("n", "node")).alias("p"), F.count(F.lit(1)).alias("c")).filter("c > 1")
+    plain = cut(each.groupBy("center", "e").agg(F.min(F.struct("n", "node")).alias("p"), F.count(F.lit(1)).alias("c")).filter("c > 1"))
     hit = each.filter("out").join(plain, ["center", "e"]).filter(F.col("node") != F.col("p.node"))
     return hit.select(F.col("p.node").alias("a"), F.col("node").alias("b")).distinct()
 
@@ -233,7 +249,7 @@ def _around_centers(star: DataFrame, roots: DataFrame) -> DataFrame:
     """Members of the centres that don't hold all their members in one component."""
     to = star.select(F.col("a").alias("center"), F.col("b").alias("node"), F.col("wa").alias("wc"), F.col("wb").alias("w"), "common", "changes", (F.col("common") / (F.col("wa") + F.col("wb") - F.col("common"))).alias("sim"))
     rows = _rooted(to, roots).withColumn("out", F.col("root") != F.col("center_root"))
-    return cut(rows.join(rows.filter("out").select("center").distinct(), "center"))
+    return cut(rows.join(cut(rows.filter("out").select("center").distinct()), "center"))
 
 
 def _near_links(rows: DataFrame, least: float) -> DataFrame:
@@ -241,7 +257,7 @@ def _near_links(rows: DataFrame, least: float) -> DataFrame:
     two members x, y share i_x + i_y - |c| + (changes in common) shingles. For each x apart from the centre's component
     and each other component, one link."""
     near = rows.filter(F.col("changes").isNotNull())
-    size = near.groupBy("center").agg(F.ceil(F.count(F.lit(1)) / MEMBERS).cast("int").alias("blocks"))
+    size = cut(near.groupBy("center").agg(F.ceil(F.count(F.lit(1)) / MEMBERS).cast("int").alias("blocks")))  # written, so that a hot centre's rows can be split
     near = near.join(size, "center").withColumn("y", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
     pack = lambda df, name: df.groupBy("center", "blocks", "wc", "y").agg(F.collect_list(F.struct("node", "root", "w", "common", "changes")).alias(name))
     own = pack(near.filter("out"), "px").withColumnRenamed("y", "x").withColumn("y", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
@@ -272,14 +288,14 @@ def _near_links(rows: DataFrame, least: float) -> DataFrame:
     return pandas_groups(both, ["center", "x", "y"], run, "a long, b long").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
 
 
-def _far_pairs(nodes: DataFrame, members: DataFrame, rows: DataFrame, least: float) -> DataFrame:
+def _far_pairs(nodes: DataFrame, members: DataFrame, rows: DataFrame, least: float, slack: int | None) -> DataFrame:
     """Pairs (a < b) of different components, one of them less than half like their bucket's centre, that length,
     sketch and the triangle inequality allow to be alike."""
     facts = nodes.select("node", "weight", *[F.get("sketch", F.lit(i)).alias(f"s{i}") for i in range(SKETCH_WORDS)])
     placed = members.join(rows.filter(F.col("sim") < HALF + 1 - least + 1e-9).select("center", "node", "sim", "root"), ["center", "node"]).join(facts, "node")
     u, v = placed.filter(F.col("sim") < HALF).alias("u"), placed.alias("v")
     bits = " + ".join(f"bit_count(u.s{i} ^ v.s{i})" for i in range(SKETCH_WORDS))
-    alike = F.expr(f"u.bucket = v.bucket AND u.root <> v.root AND abs(u.sim - v.sim) <= {1 - least + 1e-9} AND least(u.weight, v.weight) >= {least} * greatest(u.weight, v.weight) AND {bits} <= {SKETCH_SLACK}")
+    alike = F.expr(f"u.bucket = v.bucket AND u.root <> v.root AND abs(u.sim - v.sim) <= {1 - least + 1e-9} AND least(u.weight, v.weight) >= {least} * greatest(u.weight, v.weight)" + (f" AND {bits} <= {slack}" if slack is not None else ""))
     return u.join(v, alike).select(F.least("u.node", "v.node").alias("a"), F.greatest("u.node", "v.node").alias("b")).distinct()
 
 
@@ -295,32 +311,32 @@ def _rooted(rows: DataFrame, roots: DataFrame) -> DataFrame:
     return m.withColumn("root", F.coalesce("root", "node")).withColumn("center_root", F.coalesce("center_root", "center"))
 
 
-def classes(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
-    """One row per document: doc_id, digest, class_id (least doc_id of its class), class_digest, copies (documents with
-    its very text), links (other texts that were found alike to its text; the links connect every class)."""
+def classes(docs: DataFrame, least: float = SIMILARITY, slack: int | None = SKETCH_SLACK) -> DataFrame:
+    """One row per document: doc_id, digest, class_id, copies (documents with its very text), links (other texts that
+    were found alike to its text; the links connect every class)."""
     every = cut(signed(docs))
     nodes = cut(_nodes(every))
-    links, roots = _links(docs, nodes, least)
+    links, roots = _links(docs, nodes, least, slack)
     degree = links.unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).groupBy(F.col("a").alias("node")).agg(F.count(F.lit(1)).alias("links"))
-    placed = nodes.select("digest", "node", "least_id", "copies").join(roots.withColumnRenamed("id", "node"), "node", "left").join(degree, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    named = placed.groupBy("root").agg(F.min("least_id").alias("class_id"), F.min("digest").alias("class_digest"))
-    placed = cut(placed.join(named, "root").select("digest", "class_id", "class_digest", "copies", F.coalesce("links", F.lit(0)).alias("links")))
+    placed = nodes.select("digest", "node", "named", "copies").join(roots.withColumnRenamed("id", "node"), "node", "left").join(degree, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    numbers = cut(placed.groupBy("root").agg(F.coalesce(F.min(F.when(F.col("named"), F.col("node"))), F.min("node")).alias("class_id")))
+    placed = cut(placed.join(numbers, "root").select("digest", "class_id", "copies", F.coalesce("links", F.lit(0)).alias("links")))
     return every.select("doc_id", "digest").join(placed, "digest")
 
 
-def near_duplicates(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
+def near_duplicates(docs: DataFrame, least: float = SIMILARITY, slack: int | None = SKETCH_SLACK) -> DataFrame:
     """doc_id, class_id, copies, links."""
-    return classes(docs, least).select("doc_id", "class_id", F.col("copies").cast("long").alias("copies"), F.col("links").cast("long").alias("links"))
+    return classes(docs, least, slack).select("doc_id", "class_id", F.col("copies").cast("long").alias("copies"), F.col("links").cast("long").alias("links"))
 
 
-def keep_one(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
+def keep_one(docs: DataFrame, least: float = SIMILARITY, slack: int | None = SKETCH_SLACK) -> DataFrame:
     """docs with one row of each class: that of the least doc_id (nulls last), then digest, then any of equal rows."""
-    c = classes(docs, least).select("doc_id", "digest", "class_id", "class_digest")
-    best = c.filter(F.col("doc_id").eqNullSafe(F.col("class_id")))
-    chosen = cut(best.groupBy("class_id", "class_digest", "doc_id").agg(F.min("digest").alias("d"), F.count(F.lit(1)).alias("n")).select(F.col("doc_id").alias("__id"), F.col("d").alias("__d"), F.col("n").alias("__n")))
+    each = classes(docs, least, slack).groupBy("class_id", "doc_id", "digest").agg(F.count(F.lit(1)).alias("n"))
+    least_of = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "digest", "n")).alias("m")
+    chosen = cut(each.groupBy("class_id").agg(least_of).select(F.col("m.doc_id").alias("__id"), F.col("m.digest").alias("__d"), F.col("m.n").alias("__n")))
     keyed = docs.withColumn("__digest", F.md5(whole("text")))
-    on = F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("__digest") == F.col("__d"))
-    once = keyed.join(chosen.filter("__n = 1"), on, "left_semi")
+    on = F.col("doc_id").cast("long").eqNullSafe(F.col("__id")) & (F.col("__digest") == F.col("__d"))
+    once = keyed.join(chosen.filter("__n = 1").hint("merge"), on, "left_semi")  # nearly all documents are chosen, at any size
     if chosen.filter("__n > 1").limit(1).count():  # the same row more than once
         more = keyed.join(chosen.filter("__n > 1"), on, "left_semi")
         once = once.unionByName(more.dropDuplicates(["doc_id", "__digest"]))
