@@ -19,6 +19,7 @@ _BASE = 0x5851F42D4C957F2D  # odd, so it has an inverse modulo 2**64
 _VALUE = np.random.default_rng(20240501).integers(0, 1 << 64, 256, np.uint64)
 _SPACE = np.zeros(256, bool)
 _SPACE[[9, 10, 11, 12, 13, 28, 29, 30, 31, 32]] = True
+_EDGE = re.compile(rb"[\x09-\x0d\x1c-\x20]")
 _WIDE_SPACE = re.compile("[\x85\xa0  -     　]")
 _powers: list[np.ndarray] = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 
@@ -69,20 +70,32 @@ def _hash_block(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return hashes, np.diff(np.concatenate([[0], upto])), tails
 
 
+def _pieces(raw: bytes) -> list[bytes]:
+    """A long text in pieces of about BLOCK bytes that end at white space, so that what is held at once is bounded."""
+    out, at = [], 0
+    while len(raw) - at > 2 * BLOCK and (edge := _EDGE.search(raw, at + BLOCK)):
+        out.append(raw[at : edge.end()])
+        at = edge.end()
+    return [*out, raw[at:]]
+
+
 def hash_words(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Numbers of all words of all texts in a row, how many each text has, and the last two bytes of each word."""
-    parts, held, size = [], [], 0
-    for t in texts:
-        held.append(_raw(t))
-        size += len(held[-1])
-        if size >= BLOCK:
-            parts.append(_hash_block(held))
-            held, size = [], 0
+    parts, held, owner, size = [], [], [], 0
+    for k, t in enumerate(texts):
+        for piece in _pieces(_raw(t)):
+            held.append(piece)
+            owner.append(k)
+            size += len(piece)
+            if size >= BLOCK:
+                parts.append(_hash_block(held))
+                held, size = [], 0
     if held:
         parts.append(_hash_block(held))
     if not parts:
         return np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.uint16)
-    return tuple(np.concatenate(x) for x in zip(*parts, strict=True))
+    hashes, counts, tails = (np.concatenate(x) for x in zip(*parts, strict=True))
+    return hashes, np.bincount(owner, counts, len(texts)).astype(np.int64), tails
 
 
 def hash_texts(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
