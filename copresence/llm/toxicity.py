@@ -1,9 +1,11 @@
 """Toxicity by a weighted lexicon, matched with an Aho-Corasick automaton over folded text.
 
 Folding: lower case, compatibility forms, letters of other scripts that look Latin, and digits or signs that stand for
-letters where they touch letters. A lexicon entry is a word or the head of words, with a weight: the log-odds of a
-(document, word) pair under toxic against clean labels. Where entries overlap in a word, the heaviest counts; matches
-inside an exception phrase count nothing. The sum of weights, and the sum over the length, go through a logistic curve.
+letters where they touch letters. A lexicon entry is a word or the head of words, with a weight: the log-odds of documents
+that have it under toxic against clean labels. Documents are counted, not words, since the words of one text aren't
+independent; and an entry needs a weight that is well above 0 even at the low end of its uncertainty, so that ordinary
+words of a few copied texts are no entries. Where entries overlap in a word, the heaviest counts; matches inside an
+exception phrase count nothing. The sum of weights, and the sum over the length, go through a logistic curve.
 
 Learning: at most MAX_TRAIN labelled rows (those of least digest; a documented bound for a fitted classifier), out of
 which the entries are counted on the executors; the curve is fitted to scores that each half of those rows gets from
@@ -33,9 +35,10 @@ from copresence.ship import arrow_map
 
 MAX_TRAIN = 12000
 HEADS = (4, 5, 6)  # lengths of word heads that may be entries
-LEAST = 3  # (document, word) pairs under toxic labels that an entry needs
+LEAST = 3  # documents under toxic labels that an entry needs
 COUNTED = 120_000  # entries that a task holds before it hands their counts on
 LEAST_Z = 3.2  # log-odds over their standard error
+LEAST_WEIGHT = 1.5  # log-odds less two standard errors
 #: Phrases in which a word of the lexicon is meant otherwise.
 EXCEPTIONS = ("clown fish", "clownfish", "trash can", "trash bin", "idiot proof", "idiot light", "pathetic fallacy", "oxymoron", "sore loser rule")
 
@@ -114,7 +117,8 @@ def traits(total: float, letters: int) -> tuple[float, float, float]:
 
 
 def _pairs(sample: DataFrame) -> DataFrame:
-    """sample(text, toxic, half) -> entry, whole, half, toxic and clean pairs; combined in each task before the shuffle."""
+    """sample(text, toxic, half) -> entry, whole and the toxic and clean documents with it by half; combined in each task
+    before the shuffle."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: tuple[Counter, Counter] = Counter(), Counter()
@@ -130,8 +134,7 @@ def _pairs(sample: DataFrame) -> DataFrame:
             for text, toxic, half in zip(b.column(0), b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
                 words = set(_WORD.findall(fold(text.as_py() or "")))
                 seen[toxic].update((w, True, half) for w in words)
-                for n in HEADS:
-                    seen[toxic].update((w[:n], False, half) for w in words if len(w) > n)
+                seen[toxic].update({(w[:n], False, half) for n in HEADS for w in words if len(w) > n})
                 if len(seen[0]) + len(seen[1]) > COUNTED:
                     yield flush()
         yield flush()
@@ -151,7 +154,7 @@ def _entries(pairs: DataFrame, halves: tuple[int, ...], totals: dict[str, int])
     t, c = (sum((F.col(f"{k}{h}") for h in halves), F.lit(0)) for k in ("toxic", "clean"))
     all_t, all_c = (F.lit(sum(totals[f"{k}{h}"] or 0 for h in halves)) for k in ("toxic", "clean"))
     weight, z = _z(t, c, all_t, all_c)
-    found = pairs.filter(t >= LEAST).select("entry", "whole", weight.alias("weight"), z.alias("z")).filter(F.col("z") >= LEAST_Z)
+    found = pairs.filter(t >= LEAST).select("entry", "whole", weight.alias("weight"), z.alias("z")).filter((F.col("z") >= LEAST_Z) & (F.col("weight") * (1 - 2 / F.col("z")) >= LEAST_WEIGHT))
     rows = sorted(found.collect(), key=lambda r: (-r["z"], r["entry"], r["whole"]))
     out: dict[str, tuple[float, bool]] = {}
     for r in rows:
@@ -198,7 +201,7 @@ def learn(docs: DataFrame, labels: DataFrame, max_train: int = MAX_TRAIN) -> Mod
     chosen = usable.select("doc_id", F.least(F.greatest("toxic", F.lit(0)), F.lit(1)).alias("toxic"), F.pmod(F.crc32(F.concat(F.lit("half"), F.col("doc_id").cast("string")).cast("binary")), F.lit(2)).cast("int").alias("half")).orderBy(rank, "doc_id").limit(max_train)
     sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("text", "toxic", "half").persist()
     pairs = _pairs(sample).persist()
-    totals = pairs.filter("whole").agg(*[F.sum(f"{k}{h}").alias(f"{k}{h}") for k in ("toxic", "clean") for h in (0, 1)]).first().asDict()
+    totals = sample.agg(*[F.count_if((F.col("toxic") == int(k == "toxic")) & (F.col("half") == h)).alias(f"{k}{h}") for k in ("toxic", "clean") for h in (0, 1)]).first().asDict()
     full, one, two = (_entries(pairs, halves, totals) for halves in ((0, 1), (1,), (0,)))
     rows = _measured(sample.select("toxic", "text", "half"), [one, two]).collect()  # at most max_train rows of three numbers
     pairs.unpersist()

@@ -213,15 +213,15 @@ def plain_lexicon(rows, halves):
         if half not in halves:
             continue
         words = {w for w in re.findall(r"[^\W\d_]+", toxicity.fold(text or ""))}
-        totals[toxic] += len(words)
-        for w in words:
-            for entry in [(w, True), *[(w[:n], False) for n in toxicity.HEADS if len(w) > n]]:
-                seen.setdefault(entry, [0, 0])[toxic] += 1
+        totals[toxic] += 1
+        for entry in {(w, True) for w in words} | {(w[:n], False) for w in words for n in toxicity.HEADS if len(w) > n}:
+            seen.setdefault(entry, [0, 0])[toxic] += 1
     out = {}
     for (entry, whole), (c, t) in sorted(seen.items()):
         weight = np.log((t + 0.5) / (totals[1] - t + 0.5)) - np.log((c + 0.5) / (totals[0] - c + 0.5))
-        z = weight / np.sqrt(1 / (t + 0.5) + 1 / (c + 0.5))
-        if t >= toxicity.LEAST and z >= toxicity.LEAST_Z:
+        error = np.sqrt(1 / (t + 0.5) + 1 / (c + 0.5))
+        z = weight / error
+        if t >= toxicity.LEAST and z >= toxicity.LEAST_Z and weight - 2 * error >= toxicity.LEAST_WEIGHT:
             out.setdefault(entry, {})[whole] = (float(weight), z)
     return out
 
@@ -248,6 +248,19 @@ def test_lexicon_and_scores_against_plain_versions(spark, marked):
         assert toxicity.Lexicon(entries).measure(t) == pytest.approx(plain_measure(t, entries, toxicity.EXCEPTIONS)), t
 
 
+def test_copied_texts_make_no_lexicon(spark):
+    """A group of copies, most of it toxic, has ordinary words of its own: clean documents with these are left alone."""
+    r = random.Random(17)
+    plain, own = [f"w{chr(97 + i % 26)}{chr(97 + i // 26)}y" for i in range(400)], [f"copy{chr(97 + i % 26)}{chr(97 + i // 26)}z" for i in range(60)]
+    rows = [(i, " ".join(r.choices(plain, k=60) + (["nastyword"] if i % 9 == 0 else [])), int(i % 9 == 0)) for i in range(900)]
+    rows += [(1000 + i, " ".join(own + (["vilething"] if i < 40 else [])), int(i < 40)) for i in range(64)]
+    rows += [(2000 + i, " ".join(r.choices(plain, k=40) + r.choices(own, k=15)), 0) for i in range(200)]
+    docs, labels = spark.createDataFrame([x[:2] for x in rows], "doc_id long, text string"), spark.createDataFrame([(x[0], x[2]) for x in rows], "doc_id long, toxic int")
+    entries = toxicity.learn(docs, labels).entries
+    assert entries and all(e.startswith(("nast", "vile")) for e in entries)
+    assert toxicity.score(docs, labels).filter("doc_id >= 2000 AND predicted = 1").count() == 0
+
+
 def test_toxicity_odd_rows(spark, odd_docs, empty_docs, marked):
     labels = marked[1].unionByName(spark.createDataFrame([(None, 1), (3, None)], "doc_id long, toxic int"))
     got = toxicity.score(odd_docs, labels)
