@@ -35,14 +35,18 @@ def words_in(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
 
 
-def _sized(docs: DataFrame, seed: str) -> DataFrame:
+def _sized(docs: DataFrame, seed: str, *more: Column) -> DataFrame:
+    """no_source, src, size and key of each row, and more columns of it."""
     key = F.md5(F.concat(F.lit(seed + "|"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))
     return docs.select(
-        "doc_id", F.col("source").isNull().alias("no_source"), F.coalesce("source", F.lit("")).alias("src"),
-        words_in(F.col("text")).alias("size"), hex_number(key, 1, 15).alias("key"),
+        F.col("source").isNull().alias("no_source"), F.coalesce("source", F.lit("")).alias("src"), words_in(F.col("text")).alias("size"), hex_number(key, 1, 15).alias("key"), *more,
     )
 
 
+def _in_range(rows: DataFrame, wide: int) -> DataFrame:
+    return rows.withColumn("range", F.floor(F.col("key") / F.lit((1 << 60) // wide)).cast("int"))
+
+
 def ranges_for(rows: int) -> int:
     """A power of two of key ranges, so that no range of a source has many rows."""
     return max(RANGES, 1 << min(24, (rows // RANGE_ROWS).bit_length()))
@@ -65,39 +69,37 @@ def targets(sums: DataFrame, weights: Sequence[int] = WEIGHTS, repeat: int = REP
     return t.withColumn("target", F.when(F.col("level") > F.col("fill"), F.col("limit")).otherwise(F.least("limit", F.col("w") * F.coalesce("open_level", F.lit(0.0))))).select("no_source", "src", "total", "target")
 
 
-def mix(docs: DataFrame, weights: Sequence[int] = WEIGHTS, repeat: int = REPEAT, seed: str = SEED) -> DataFrame:
-    """docs(doc_id, text, source) -> one row per document: doc_id, source, size, source_size, target, epochs, taken."""
-    rows = cut(_sized(docs, seed))
-    wide = ranges_for(rows.count())
-    rows = rows.withColumn("range", F.floor(F.col("key") / F.lit((1 << 60) // wide)).cast("int"))
-    ranges = cut(rows.groupBy("no_source", "src", "range").agg(F.sum("size").alias("words")))
+def _taken(rows: DataFrame, light: DataFrame, wide: int, order: list[str], weights: Sequence[int], repeat: int) -> DataFrame:
+    """rows (as light, and more columns) with total, target, epochs and taken. The rows meet once, by (source, range)."""
+    ranges = cut(_in_range(light, wide).groupBy("no_source", "src", "range").agg(F.sum("size").alias("words")))
     plan = targets(ranges.groupBy("no_source", "src").agg(F.sum("words").alias("total")), weights, repeat)
     up_to = W.partitionBy("no_source", "src").orderBy("range").rowsBetween(W.unboundedPreceding, -1)
     starts = ranges.withColumn("start", F.coalesce(F.sum("words").over(up_to), F.lit(0))).drop("words").join(plan, ["no_source", "src"])
-    within = W.partitionBy("no_source", "src", "range").orderBy("key", "doc_id", "size").rowsBetween(W.unboundedPreceding, W.currentRow)
+    within = W.partitionBy("no_source", "src", "range").orderBy(*order).rowsBetween(W.unboundedPreceding, W.currentRow)
     budget = F.floor("target").cast("long")
-    out = rows.join(starts, ["no_source", "src", "range"]).withColumn("before", F.col("start") + F.sum("size").over(within) - F.col("size"))
+    out = _in_range(rows, wide).join(starts, ["no_source", "src", "range"]).withColumn("before", F.col("start") + F.sum("size").over(within) - F.col("size"))
     out = out.withColumn("epochs", F.when(F.col("total") > 0, F.expr("CAST(floor(target) AS BIGINT) DIV total")).otherwise(F.lit(0)).cast("long"))
     part = F.greatest(F.lit(0), F.least(F.col("size"), budget - F.col("epochs") * F.col("total") - F.col("before")))
-    return out.select(
-        "doc_id", F.when(F.col("no_source"), None).otherwise(F.col("src")).alias("source"), "size", F.col("total").alias("source_size"),
-        "target", "epochs", (F.col("epochs") * F.col("size") + part).cast("long").alias("taken"),
-    )
+    return out.withColumn("taken", (F.col("epochs") * F.col("size") + part).cast("long"))
+
+
+def mix(docs: DataFrame, weights: Sequence[int] = WEIGHTS, repeat: int = REPEAT, seed: str = SEED) -> DataFrame:
+    """docs(doc_id, text, source) -> one row per document: doc_id, source, size, source_size, target, epochs, taken."""
+    rows = cut(_sized(docs, seed, F.col("doc_id")))
+    out = _taken(rows, rows, ranges_for(rows.count()), ["key", "doc_id", "size"], weights, repeat)
+    return out.select("doc_id", F.when(F.col("no_source"), None).otherwise(F.col("src")).alias("source"), "size", F.col("total").alias("source_size"), "target", "epochs", "taken")
 
 
 def mixed_documents(docs: DataFrame, weights: Sequence[int] = WEIGHTS, repeat: int = REPEAT, seed: str = SEED) -> DataFrame:
     """The mix as documents: a row for each epoch that a document is in; where the budget ends inside a document, its
     leading words up to there. Documents without words have no part in a mix. Repeated rows, and texts of one id, source
-    and size, have each its own part. Columns are those of docs."""
-    keys = ["doc_id", "source", "size"]
-    alike = lambda order: F.row_number().over(W.partitionBy(*keys).orderBy(*order))
-    plan = mix(docs, weights, repeat, seed).filter("size > 0").withColumn("nth", alike([F.desc("taken")])).filter("taken > 0")
-    named = [F.col(f"d.`{c}`") for c in docs.columns]
-    sized = docs.select("*", words_in(F.col("text")).alias("__size")).filter("__size > 0")
-    # rows alike in id, source and size differ in the plan only by what is taken: the k-th of one side goes with that of the other
-    nth = F.row_number().over(W.partitionBy("doc_id", "source", "__size").orderBy(F.md5("text")))
-    same = F.col("d.doc_id").eqNullSafe(F.col("p.doc_id")) & F.col("d.source").eqNullSafe(F.col("p.source")) & (F.col("d.__size") == F.col("p.size")) & (F.col("d.__nth") == F.col("p.nth"))
-    rows = sized.withColumn("__nth", nth).alias("d").join(plan.alias("p"), same).select(*named, F.col("p.size").alias("__size"), F.col("p.taken").alias("__taken"))
+    and size (in the order of their digests), have each its own part: whole rows go through the prefix sums, and no join
+    by id follows. Columns are those of docs."""
+    light = cut(_sized(docs, seed))
+    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")
+    rows = _sized(docs, seed, F.md5("text").alias("digest"), row)
+    taken = _taken(rows, light, ranges_for(light.count()), ["key", "row.doc_id", "size", "digest"], weights, repeat).filter("taken > 0")
+    rows = taken.select(*[F.col("row").getField(c).alias(c) for c in docs.columns], F.col("size").alias("__size"), F.col("taken").alias("__taken"))
     rows = rows.withColumn("__full", F.expr("__taken DIV __size")).withColumn("__left", F.expr("__taken % __size"))
     rows = rows.withColumn("__copy", F.explode(F.sequence(F.lit(1), (F.col("__full") + F.when(F.col("__left") > 0, 1).otherwise(0)).cast("int"))))
     part = F.regexp_extract("text", r"^[\x20\x09-\x0D]*+", 0)
