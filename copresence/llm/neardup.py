@@ -166,7 +166,8 @@ def _compared(pairs: DataFrame, texts: DataFrame, listed: bool = False) -> DataF
     """pairs(a, b) -> their numbers of shingles, how many they share, and (listed, from HALF on) the changes from a to b:
     a number for each shingle, copies told apart, that came or went. Exact; the text of b is sent once a pair, that of a once."""
     side = lambda name, text: texts.select(F.col("node").alias(name), F.col("text").alias(text))
-    both = pairs.join(side("b", "tb"), "b").join(side("a", "ta").hint("merge"), "a")  # `a` comes last: its text is sent once, not once a pair
+    # `a` comes last: its text is sent once, not once a pair. Both sides grow with the data, so the joins are by shuffle at any size
+    both = pairs.join(side("b", "tb").hint("merge"), "b").join(side("a", "ta").hint("merge"), "a")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last: tuple[str | None, np.ndarray, np.ndarray] = None, np.zeros(0, np.uint64), np.zeros(0)
@@ -211,16 +212,16 @@ def _links(docs: DataFrame, nodes: DataFrame, least: float, slack: int | None) -
     """Links between nodes, a row (a, b) each, that connect every class; and the components (id, root)."""
     buckets = nodes.filter("weight > 0").select("node", F.explode("bands").alias("bucket"))
     shared = buckets.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
-    met = cut(buckets.join(shared, "bucket"))
+    met = cut(buckets.join(shared.hint("merge"), "bucket"))
     popular = met.groupBy("node").agg(F.sum("n").alias("met"))
     texts = _texts(docs, nodes, popular)
     center = lambda rows: rows.groupBy("bucket").agg(F.max(F.struct("met", (-F.col("node")).alias("minus"))).alias("m")).select("bucket", (-F.col("m.minus")).alias("center"))
-    met = met.select("bucket", "node").join(popular, "node")
-    members = cut(met.join(center(met), "bucket").select("bucket", "node", "met", "center"))
+    met = met.select("bucket", "node").join(popular.hint("merge"), "node")
+    members = cut(met.join(center(met).hint("merge"), "bucket").select("bucket", "node", "met", "center"))
     star = cut(_compared(members.filter("node <> center").select(F.col("center").alias("a"), F.col("node").alias("b")).distinct(), texts, listed=True))
 
     # those that aren't alike to their centre: with a second centre among them, and with their kin
-    far = members.join(star.filter(~_is_alike(least)).select(F.col("a").alias("center"), F.col("b").alias("node")), ["center", "node"])
+    far = members.hint("merge").join(star.filter(~_is_alike(least)).select(F.col("a").alias("center"), F.col("b").alias("node")), ["center", "node"])
     second = far.join(center(far).withColumnRenamed("center", "next"), "bucket").filter("node <> next").select(F.col("next").alias("a"), F.col("node").alias("b"))
     tried = second.unionByName(_kin(star.withColumn("out", ~_is_alike(least)))).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     tried = cut(_compared(tried, texts))
