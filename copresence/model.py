@@ -74,6 +74,16 @@ def coarser(code: str | Column, level: int) -> Column:
     return (F.floor(c / step) * step).cast("int")
 
 
+def remap_units(units: DataFrame, classes: Classes, level: int) -> tuple[DataFrame, Classes]:
+    """Units with the classes of a coarser level, and the dictionary of these: to be done before transactions are built,
+    since a set of coarse classes doesn't follow from frequent sets of fine ones."""
+    step = 10 ** (5 - level)
+    coarse = sorted({c // step * step for c in classes.codes})
+    new = [coarse.index(c // step * step) for c in classes.codes]
+    themes = tuple(c // 10000 for c in coarse)
+    return units.withColumn("bit", F.get(F.array(*[F.lit(b) for b in new]), F.col("bit"))), Classes(themes, tuple(str(c) for c in coarse))
+
+
 @dataclass(frozen=True)
 class Threshold:
     """A minimum support as an exact share of the transactions, or as an absolute count."""

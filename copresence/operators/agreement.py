@@ -6,6 +6,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from copresence.plans.shared import cut, running_total
+
 
 def _cells(a: DataFrame, b: DataFrame, by: list[str]) -> DataFrame:
     """a(by..., grp, u), b([by...], grp, v) -> counts of (u, v)."""
@@ -50,10 +52,17 @@ def nmi(a: DataFrame, b: DataFrame, by: tuple[str, ...] = (), mean: str = "arith
     return j.select(*by, F.when(norm <= 1e-15, F.when((hu <= 1e-15) & (hv <= 1e-15), 1.0).otherwise(0.0)).otherwise(F.col("mi") / norm).alias("nmi"))
 
 
-def average_rank(order: str, by: tuple[str, ...] = ()) -> Column:
-    """Rank with ties averaged."""
-    w = W.partitionBy(*by) if by else W.partitionBy(F.lit(0))
-    return F.rank().over(w.orderBy(order)) + (F.count(F.lit(1)).over(W.partitionBy(*(by or (F.lit(0),)), order)) - 1) / 2
+def average_rank(order: str, by: tuple[str, ...]) -> Column:
+    """Rank with ties averaged, within each of `by`."""
+    return F.rank().over(W.partitionBy(*by).orderBy(order)) + (F.count(F.lit(1)).over(W.partitionBy(*by, order)) - 1) / 2
+
+
+def average_ranks(values: DataFrame, order: str, name: str) -> DataFrame:
+    """values(order, ...) with its rank over all rows, ties averaged: distinct values are counted, their counts are
+    prefixed over ranges of values, and the ranks go back to the rows."""
+    counts = values.groupBy(order).agg(F.count(F.lit(1)).alias("__n"))
+    ranks = running_total(counts, order, "__n", "__before").select(order, (F.col("__before") + (F.col("__n") + 1) / 2).alias(name))
+    return values.join(ranks, order)
 
 
 def distance_spearman(x: DataFrame, y: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
@@ -61,5 +70,8 @@ def distance_spearman(x: DataFrame, y: DataFrame, by: tuple[str, ...] = ()) -> D
 
     x([by...], a, b, d), y(a, b, d)."""
     j = x.select(*by, "a", "b", F.round("d", 10).alias("dx")).join(y.select("a", "b", F.round("d", 10).alias("dy")), ["a", "b"])
-    j = j.withColumn("rx", average_rank("dx", by)).withColumn("ry", average_rank("dy", by))
+    if by:
+        j = j.withColumn("rx", average_rank("dx", by)).withColumn("ry", average_rank("dy", by))
+    else:
+        j = average_ranks(average_ranks(cut(j), "dx", "rx"), "dy", "ry")
     return j.groupBy(*by).agg(F.corr("rx", "ry").alias("spearman"))

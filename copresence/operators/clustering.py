@@ -22,6 +22,7 @@ from copresence.ship import pandas_groups
 from .profiles import both_ways
 
 GATHER = 4000
+CELLS = 200_000_000  # groups x features of a dense matrix, 1.6 GB
 PLACES = 12
 
 
@@ -53,11 +54,12 @@ def linkage(x: np.ndarray, method: str = "ward", sizes: np.ndarray | None = None
     name, alive = list(range(n)), np.ones(n, bool)
     upper = np.triu(np.ones((n, n), bool), 1)
     out = np.zeros((max(n - 1, 0), 4))
-    work = np.where(upper, np.round(cost, PLACES), np.inf)
-    low = work.min(1) if n > 1 else np.zeros(0)
+    work = np.where(upper, np.round(cost, PLACES), np.inf)  # each pair once, in the row of its lesser slot
+    near = work.argmin(1) if n > 1 else np.zeros(0, int)
+    low = work[np.arange(n), near] if n > 1 else np.zeros(0)
     for t in range(n - 1):
         i = int(np.argmin(low))
-        j = int(np.argmin(work[i]))
+        j = int(near[i])
         c = cost[i, j]
         out[t] = name[i], name[j], np.sqrt(2 * max(c, 0)) if method == "ward" else c, size[i] + size[j]
         others = alive.copy()
@@ -73,10 +75,17 @@ def linkage(x: np.ndarray, method: str = "ward", sizes: np.ndarray | None = None
         name[i] = n + t
         rounded = np.round(new, PLACES)
         work[j, :] = work[:, j] = np.inf
-        right, left = np.flatnonzero(others & (np.arange(n) > i)), np.flatnonzero(others & (np.arange(n) < i))
+        right, left = i + 1 + np.flatnonzero(others[i + 1 :]), np.flatnonzero(others[:i])
         work[i, :] = np.inf
         work[i, right], work[left, i] = rounded[right], rounded[left]
-        low = work.min(1)
+        # only rows whose nearest was one of the two are searched again; for the others the new cost alone can be nearer
+        low[j] = np.inf
+        again = np.flatnonzero(alive & ((near == i) | (near == j)))
+        again = np.append(again[again != i], i)
+        near[again] = work[again].argmin(1)
+        low[again] = work[again, near[again]]
+        closer = left[(work[left, i] < low[left]) | ((work[left, i] == low[left]) & (i < near[left]))]
+        near[closer], low[closer] = i, work[closer, i]
     return out
 
 
@@ -98,10 +107,13 @@ def labels_at(merges: np.ndarray, n: int, k: int) -> np.ndarray:
 
 
 def _gathered(profile: DataFrame, run, schema: str) -> DataFrame:
-    """One task over a profile of at most GATHER groups (checked)."""
+    """One task over a profile of at most GATHER groups and, dense, CELLS values (both checked)."""
     n = profile.select("grp").distinct().limit(GATHER + 1).count()
     if n > GATHER:
         raise ValueError(f"over {GATHER} groups: use ward_rounds")
+    most = CELLS // max(n, 1)
+    if profile.select("feature").distinct().limit(most + 1).count() > most:
+        raise ValueError(f"over {CELLS} values for {n} groups: use ward_rounds or a higher minimum support")
     return pandas_groups(profile.select("grp", "feature", "value", F.lit(0).alias("one")), ["one"], run, schema)
 
 
@@ -184,9 +196,11 @@ def ward_rounds(profile: DataFrame, gather_below: int = GATHER, max_rounds: int
     State is one row per cluster and feature, written to the shared folder each round; distances are never stored."""
     state = write(profile.select(F.col("grp").alias("c"), F.lit(1).cast("long").alias("n"), "feature", F.col("value").alias("s")))
     done: DataFrame | None = None
-    for _ in range(max_rounds):
+    for turn in range(max_rounds + 1):
         if state.select("c").distinct().limit(gather_below + 1).count() <= gather_below:
             break
+        if turn == max_rounds:
+            raise RuntimeError(f"more than {gather_below} clusters are left after {max_rounds} rounds")
         mean = state.select("c", "n", "feature", (F.col("s") / F.col("n")).alias("v"))
         sq = mean.groupBy("c", "n").agg(F.sum(F.col("v") * F.col("v")).alias("q"))
         x, y = mean.select(F.col("c").alias("a"), "feature", F.col("v").alias("va")), mean.select(F.col("c").alias("b"), "feature", F.col("v").alias("vb"))

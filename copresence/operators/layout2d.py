@@ -23,6 +23,7 @@ from copresence.ship import arrow_map, pandas_groups
 from .agreement import ari, distance_spearman, nmi
 from .clustering import labels_at, linkage
 from .profiles import both_ways
+from .validity import packed_profile
 
 GRID = [(n, m, metric, seed) for n, m, metric, seed in itertools.product((5, 15, 30), (0.0, 0.1, 0.5), ("euclidean", "cosine"), (0, 42, 2026))]
 PRIMARY = (15, 0.1, "euclidean", 42)
@@ -110,10 +111,9 @@ def layout(x: np.ndarray, n_neighbors: int = 15, min_dist: float = 0.1, metric:
 def _runs(profile: DataFrame, settings: list[tuple]) -> DataFrame:
     """run, settings and the packed profile: one row, and one task, a run."""
     spark = profile.sparkSession
-    packed = profile.groupBy().agg(F.sort_array(F.collect_list(F.struct("grp", "feature", "value"))).alias("rows"))
     rows = [(i, *s) for i, s in enumerate(settings)]
     frame = spark.createDataFrame(rows, "run int, n_neighbors int, min_dist double, metric string, seed int").repartition(len(rows), "run")
-    return frame.crossJoin(F.broadcast(packed))
+    return frame.crossJoin(packed_profile(profile))
 
 
 def layout_grid(profile: DataFrame, settings: list[tuple] | None = None, passes: int = PASSES) -> DataFrame:

@@ -19,9 +19,12 @@ from pyspark.sql import functions as F
 
 from copresence.functions import masks
 from copresence.model import Threshold
-from copresence.plans.shared import cut
+from copresence.plans.shared import bounded, cut
 from copresence.ship import arrow_map, pandas_groups
 
+SHARD_ABOVE = 200_000  # patterns of a group that one task mines
+MOST_GROUPS = 500  # runs of the library's tree
+MOST_SETS = 1 << 20  # distinct sets that are sent to every task
 FOUND = "grp string, itemset long, sup long"
 
 
@@ -108,15 +111,15 @@ def nodeset_search(mask: np.ndarray, weight: np.ndarray, least: int, absorb: boo
     return out_sets, out_sup
 
 
-def mine_nodeset(patterns: DataFrame, threshold: Threshold, absorb: bool = True, shard_above: int | None = None) -> DataFrame:
+def mine_nodeset(patterns: DataFrame, threshold: Threshold, absorb: bool = True, shard_above: int = SHARD_ABOVE) -> DataFrame:
     """The negative-nodeset miner, a group to an Arrow task.
 
     shard_above: groups with more distinct patterns are split by the last class of a set in the group's order: the
     task for class y only gets the patterns with y, cut to y and what comes before it, so that one group's work is dealt
     over as many tasks as it has classes."""
     n = totals(patterns)
-    kept = prefilter(patterns, threshold)
-    if shard_above is not None:
+    kept = cut(prefilter(patterns, threshold))
+    if (kept.groupBy("grp").count().agg(F.max("count")).first()[0] or 0) > shard_above:
         return _mine_sharded(kept, n, threshold, absorb, shard_above)
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -175,15 +178,19 @@ def mine_levelwise(patterns: DataFrame, threshold: Threshold, max_levels: int =
     return _finish(reduce(DataFrame.unionByName, levels), n, threshold)
 
 
-def support(patterns: DataFrame, itemsets: DataFrame) -> DataFrame:
-    """Support of given sets(grp, itemset); sets that no transaction holds have none and no row."""
-    return patterns.select("grp", "mask", "weight").join(itemsets.select("grp", "itemset"), "grp").filter(masks.contains("mask", "itemset")).groupBy("grp", "itemset").agg(F.sum("weight").alias("sup"))
+def support(patterns: DataFrame, itemsets: DataFrame, salts: int = 8) -> DataFrame:
+    """Support of given sets(grp, itemset); sets that no transaction holds have none and no row.
+
+    A group's patterns are dealt over `salts` keys, and its sets go to each of them; sums are combined in the tasks."""
+    p = patterns.select("grp", "mask", "weight", F.pmod(F.xxhash64("mask"), F.lit(salts)).cast("int").alias("salt"))
+    sets = itemsets.select("grp", "itemset", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("salt"))
+    return p.join(sets, ["grp", "salt"]).filter(masks.contains("mask", "itemset")).groupBy("grp", "itemset").agg(F.sum("weight").alias("sup"))
 
 
 def exact_support(patterns: DataFrame, itemsets: DataFrame) -> DataFrame:
     """Support of every distinct set in every group, zeros included: what the zeros of a profile hide."""
     n = totals(patterns)
-    every = n.select("grp").crossJoin(F.broadcast(itemsets.select("itemset").distinct()))
+    every = n.select("grp").crossJoin(bounded(itemsets.select("itemset").distinct(), MOST_SETS, "distinct sets"))
     found = support(patterns, every)
     return every.join(found, ["grp", "itemset"], "left").join(n, "grp").select("grp", "itemset", F.coalesce("sup", F.lit(0)).alias("sup"), "n")
 
@@ -199,7 +206,10 @@ def mine_library(patterns: DataFrame, threshold: Threshold) -> DataFrame:
 
     n = totals(patterns)
     runs = []
-    for grp, count in [(r["grp"], r["n"]) for r in n.collect()]:
+    groups = [(r["grp"], r["n"]) for r in n.limit(MOST_GROUPS + 1).collect()]
+    if len(groups) > MOST_GROUPS:
+        raise ValueError(f"the library's tree is for {MOST_GROUPS} groups at most")
+    for grp, count in groups:
         own = patterns.filter(F.col("grp") == grp)
         each = own.select(masks.bits("mask").alias("items"), F.explode(F.sequence(F.lit(1).cast("long"), "weight")).alias("copy")).select("items")
         found = FPGrowth(itemsCol="items", minSupport=(threshold.min_count(count) - 0.5) / count).fit(each).freqItemsets
@@ -285,7 +295,7 @@ def union_features(itemsets: DataFrame) -> DataFrame:
 
 def common_features(itemsets: DataFrame) -> DataFrame:
     """Sets that are frequent in every group."""
-    groups = itemsets.select("grp").distinct().agg(F.count(F.lit(1)).alias("g"))
+    groups = itemsets.select("grp").distinct().agg(F.count(F.lit(1)).alias("g"))  # one row
     return itemsets.groupBy("itemset").agg(F.count(F.lit(1)).alias("c")).join(F.broadcast(groups)).filter("c = g").select("itemset")
 
 
@@ -296,7 +306,7 @@ def encode_items(tx: DataFrame, threshold: Threshold) -> tuple[DataFrame, DataFr
     """tx(grp, unit_id, items array<string>) -> PATTERNS and dictionary(grp, bit, item).
 
     Each group numbers its own frequent items; all transactions count in n, those without a frequent item as mask 0.
-    A group with more than 63 frequent items is refused."""
+    A group with more than 63 frequent items is refused: `mine_wide` takes any number."""
     n = tx.groupBy("grp").agg(F.count(F.lit(1)).alias("n"))
     each = tx.select("grp", "unit_id", F.explode(F.array_distinct("items")).alias("item"))
     freq = each.groupBy("grp", "item").agg(F.count(F.lit(1)).alias("sup")).join(n, "grp").filter(threshold.passes())
@@ -305,3 +315,31 @@ def encode_items(tx: DataFrame, threshold: Threshold) -> tuple[DataFrame, DataFr
     hit = each.join(book, ["grp", "item"]).groupBy("grp", "unit_id").agg(masks.fold(masks.bit_mask("bit")).alias("mask"))
     tx_masks = tx.select("grp", "unit_id").join(hit, ["grp", "unit_id"], "left").select("grp", F.coalesce("mask", F.lit(0).cast("long")).alias("mask"))
     return tx_masks.groupBy("grp", "mask").agg(F.count(F.lit(1)).alias("weight")), book
+
+
+def mine_wide(tx: DataFrame, threshold: Threshold, max_items: int) -> DataFrame:
+    """tx(grp, unit_id, items array<string>) -> grp, items (sorted array), k, sup, n, rel for any number of items: the
+    frequent sets of up to `max_items` items, level by level.
+
+    A unit's sets of k items grow from its frequent sets of k - 1 by its greater frequent items, so nothing is counted
+    that holds an infrequent set; levels are written to the shared folder."""
+    n = cut(tx.groupBy("grp").agg(F.count(F.lit(1)).alias("n")))
+    each = tx.select("grp", "unit_id", F.explode(F.array_distinct("items")).alias("item")).filter("item IS NOT NULL")
+
+    def frequent(rows: DataFrame) -> DataFrame:
+        return cut(rows.groupBy("grp", "items").agg(F.count(F.lit(1)).alias("sup")).join(n, "grp").filter(threshold.passes()))
+
+    held = each.select("grp", "unit_id", F.array("item").alias("items"))
+    levels = [frequent(held)]
+    single = cut(each.join(levels[0].select("grp", F.get("items", F.lit(0)).alias("item")), ["grp", "item"]))
+    for _ in range(1, max_items):
+        held = cut(held.join(levels[-1].select("grp", "items"), ["grp", "items"], "left_semi"))
+        held = held.join(single, ["grp", "unit_id"]).filter(F.col("item") > F.element_at("items", -1)).select("grp", "unit_id", F.concat("items", F.array("item")).alias("items"))
+        levels.append(frequent(held))
+    out = reduce(DataFrame.unionByName, levels)
+    return out.select("grp", "items", F.size("items").alias("k"), "sup", "n", (F.col("sup") / F.col("n")).alias("rel"))
+
+
+def level_sizes(itemsets: DataFrame) -> DataFrame:
+    """Frequent sets and their supports by number of classes: what the levels of a mining cost."""
+    return itemsets.groupBy(F.col("k").cast("long").alias("k")).agg(F.count(F.lit(1)).alias("sets"), F.sum("sup").alias("total"))

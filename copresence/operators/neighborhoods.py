@@ -36,11 +36,11 @@ def span_pairs(units: DataFrame, d: int, side: int | None = None, keys: tuple[st
     return j.select(*keys, "focal_id", "other_id", "focal_bit", "other_bit", F.greatest(F.lit(0), F.col("blo") - F.col("ahi"), F.col("alo") - F.col("bhi")).alias("dist"))
 
 
-def rect_pairs(units: DataFrame, d: int, side: int | None = None, same_group: bool = True, salts: int = 1) -> DataFrame:
-    """units(RECT) -> grp, focal_id, other_id, focal_bit, other_bit, dist2 (squared gap, whole numbers)."""
+def rect_pairs(units: DataFrame, d: int, side: int | None = None, same_group: bool = True, salts: int = 1, focal: DataFrame | None = None) -> DataFrame:
+    """units(RECT), and focal units if only some of them are -> grp, focal_id, other_id, focal_bit, other_bit, dist2 (squared gap, whole numbers)."""
     side = side or max(2 * d, 64)
     keys = ["grp"] if same_group else []
-    a = units.select("grp", F.col("unit_id").alias("focal_id"), F.col("bit").alias("focal_bit"), *[F.col(c).alias(f"a{c}") for c in ("x0", "x1", "y0", "y1")])
+    a = (units if focal is None else focal).select("grp", F.col("unit_id").alias("focal_id"), F.col("bit").alias("focal_bit"), *[F.col(c).alias(f"a{c}") for c in ("x0", "x1", "y0", "y1")])
     a = a.withColumn("tx", _tiles(F.col("ax0") - d, F.col("ax1") + d, side)).withColumn("ty", _tiles(F.col("ay0") - d, F.col("ay1") + d, side)).withColumn("salt", F.pmod(F.xxhash64("focal_id"), F.lit(salts)).cast("int"))
     b = units.select(*(["grp"] if same_group else []), F.col("unit_id").alias("other_id"), F.col("bit").alias("other_bit"), *[F.col(c).alias(f"b{c}") for c in ("x0", "x1", "y0", "y1")])
     b = b.withColumn("tx", _tiles(F.col("bx0"), F.col("bx1"), side)).withColumn("ty", _tiles(F.col("by0"), F.col("by1"), side)).withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
@@ -50,34 +50,63 @@ def rect_pairs(units: DataFrame, d: int, side: int | None = None, same_group: bo
     return j.filter(home).select("grp", "focal_id", "other_id", "focal_bit", "other_bit", "dist2")
 
 
+def rect_cost(units: DataFrame, d: int, side: int | None = None) -> DataFrame:
+    """What `rect_pairs` costs, in one row: units, rows listed on tiles on either side, pairs that meet in a tile before
+    the exact test (products of counts a tile: no pair is made), pairs after it."""
+    side = side or max(2 * d, 64)
+    on = lambda grow: units.select("grp", _tiles(F.col("x0") - grow, F.col("x1") + grow, side).alias("tx"), "y0", "y1").select("grp", "tx", _tiles(F.col("y0") - grow, F.col("y1") + grow, side).alias("ty")).groupBy("grp", "tx", "ty")
+    focal, other = on(d).agg(F.count(F.lit(1)).alias("f")), on(0).agg(F.count(F.lit(1)).alias("o"))
+    tiles = focal.join(other, ["grp", "tx", "ty"], "full_outer").agg(F.sum("f").alias("focal_rows"), F.sum("o").alias("other_rows"), F.sum(F.col("f") * F.col("o")).alias("candidates"))
+    return units.agg(F.count(F.lit(1)).alias("units")).crossJoin(tiles).crossJoin(rect_pairs(units, d, side).agg(F.count(F.lit(1)).alias("pairs")))
+
+
 # ---- polygons as vertex rings
 
 
-def parse_ring(wkt: str | Column) -> Column:
-    """POLYGON text (its outer ring) -> array<struct<x, y>>."""
+def parse_rings(wkt: str | Column) -> Column:
+    """POLYGON or MULTIPOLYGON text -> array of rings (array<struct<x, y>>), holes and parts alike: what is inside follows
+    from all rings by the even-odd rule. Null, EMPTY and texts with an unreadable number have no rings."""
     w = F.col(wkt) if isinstance(wkt, str) else wkt
-    inner = F.regexp_extract(w, r"\(\s*\(([^)]*)\)", 1)
-    pair = lambda p: F.split(F.trim(p), r"\s+")
-    return F.transform(F.split(inner, ","), lambda p: F.struct(F.get(pair(p), 0).cast("double").alias("x"), F.get(pair(p), 1).cast("double").alias("y")))
+    number = lambda p, i: F.get(F.split(F.trim(p), r"\s+"), i).try_cast("double")
+    ring = lambda r: F.transform(F.split(r, ","), lambda p: F.struct(number(p, 0).alias("x"), number(p, 1).alias("y")))
+    rings = F.transform(F.regexp_extract_all(F.coalesce(w, F.lit("")), F.lit(r"\(([^()]*)\)"), F.lit(1)), ring)
+    unreadable = F.exists(rings, lambda r: F.exists(r, lambda q: q["x"].isNull() | q["y"].isNull()))
+    return F.when(unreadable, F.array().cast("array<array<struct<x:double,y:double>>>")).otherwise(rings)
+
+
+def box_as_ring(x0: str | Column, x1: str | Column, y0: str | Column, y1: str | Column) -> Column:
+    """A rectangle as the text of a closed ring."""
+    corner = lambda x, y: F.concat_ws(" ", x if isinstance(x, Column) else F.col(x), y if isinstance(y, Column) else F.col(y))
+    return F.concat(F.lit("("), F.concat_ws(", ", corner(x0, y0), corner(x1, y0), corner(x1, y1), corner(x0, y1), corner(x0, y0)), F.lit(")"))
 
 
 def rect_as_wkt(units: DataFrame) -> DataFrame:
     """RECT units as POLYGON texts."""
-    corner = lambda x, y: F.concat_ws(" ", F.col(x).cast("string"), F.col(y).cast("string"))
-    return units.select("grp", "unit_id", "bit", F.concat(F.lit("POLYGON (("), F.concat_ws(", ", corner("x0", "y0"), corner("x1", "y0"), corner("x1", "y1"), corner("x0", "y1"), corner("x0", "y0")), F.lit("))")).alias("wkt"))
+    return units.select("grp", "unit_id", "bit", F.concat(F.lit("POLYGON ("), box_as_ring("x0", "x1", "y0", "y1"), F.lit(")")).alias("wkt"))
+
 
+def frames_as_wkt(units: DataFrame) -> DataFrame:
+    """RECT units as rectangles two units thick around them with a hole that holds them: the margin goes by the unit."""
+    m = 3 + 2 * F.pmod(F.col("unit_id"), F.lit(20))
+    grown = lambda k: box_as_ring(F.col("x0") - k, F.col("x1") + k, F.col("y0") - k, F.col("y1") + k)
+    return units.select("grp", "unit_id", "bit", F.concat(F.lit("POLYGON ("), grown(m), F.lit(", "), grown(m - 2), F.lit(")")).alias("wkt"))
 
-def _segments(ring: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    p = ring if np.array_equal(ring[0], ring[-1]) else np.vstack([ring, ring[:1]])
-    return p[:-1], p[1:]
 
+Rings = list[np.ndarray]
 
-def _inside(point: np.ndarray, ring: np.ndarray) -> bool:
-    a, b = _segments(ring)
+
+def _segments(rings: Rings) -> tuple[np.ndarray, np.ndarray]:
+    """Ends of all edges of all rings."""
+    closed = [r if np.array_equal(r[0], r[-1]) and len(r) > 1 else np.vstack([r, r[:1]]) for r in rings]
+    return np.concatenate([r[:-1] for r in closed]), np.concatenate([r[1:] for r in closed])
+
+
+def _inside(point: np.ndarray, a: np.ndarray, b: np.ndarray) -> bool:
+    """Whether a ray from the point meets an odd number of edges."""
     crosses = (a[:, 1] > point[1]) != (b[:, 1] > point[1])
-    with np.errstate(divide="ignore", invalid="ignore"):
-        x = a[:, 0] + (point[1] - a[:, 1]) / (b[:, 1] - a[:, 1]) * (b[:, 0] - a[:, 0])
-    return bool(np.count_nonzero(crosses & (point[0] < x)) % 2)
+    a, b = a[crosses], b[crosses]
+    x = a[:, 0] + (point[1] - a[:, 1]) / (b[:, 1] - a[:, 1]) * (b[:, 0] - a[:, 0])
+    return bool(np.count_nonzero(point[0] < x) % 2)
 
 
 def _point_to_segments(p: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -95,34 +124,48 @@ def _cross(a: np.ndarray, b: np.ndarray, c: np.ndarray, d: np.ndarray) -> bool:
     return bool(((side(a, b, c) * side(a, b, d) < 0) & (side(c, d, a) * side(c, d, b) < 0)).any())
 
 
-def ring_distance2(p: np.ndarray, q: np.ndarray) -> float:
-    """Squared distance of two simple polygons; 0 where they touch, overlap or one holds the other."""
+def ring_distance2(p: Rings, q: Rings) -> float:
+    """Squared distance of two polygons given by their rings; 0 where they touch or overlap. Where no edges cross, every
+    ring lies wholly inside or outside of the other polygon, so one point of each tells."""
     (a, b), (c, d) = _segments(p), _segments(q)
-    if _cross(a, b, c, d) or _inside(p[0], q) or _inside(q[0], p):
+    if _cross(a, b, c, d) or any(_inside(r[0], c, d) for r in p) or any(_inside(r[0], a, b) for r in q):
         return 0.0
     return float(min(_point_to_segments(a, c, d).min(), _point_to_segments(c, a, b).min()))
 
 
+def _rings_of(value: pa.Scalar) -> Rings:
+    rings = value.values
+    flat = rings.flatten()
+    points = np.column_stack([flat.field(i).to_numpy(zero_copy_only=False) for i in (0, 1)])
+    return np.split(points, np.cumsum(rings.value_lengths().to_numpy())[:-1])
+
+
 def ring_pairs(units: DataFrame, d: float, side: float | None = None) -> DataFrame:
-    """units(RING) -> pairs within d: boxes meet on tiles in the JVM, rings of the survivors are tested in Arrow batches."""
+    """units(grp, unit_id, bit, rings) -> pairs within d: boxes meet on tiles in the JVM, rings of the survivors are
+    tested in Arrow batches. A unit without rings has no place and meets itself only."""
     side = side or max(2 * d, 64)
-    low, high = lambda c: F.array_min(F.transform("ring", lambda p: p[c])), lambda c: F.array_max(F.transform("ring", lambda p: p[c]))
-    boxed = units.withColumns({"x0": low("x"), "x1": high("x"), "y0": low("y"), "y1": high("y")})
-    a = boxed.select("grp", F.col("unit_id").alias("focal_id"), F.col("bit").alias("focal_bit"), F.col("ring").alias("ra"), *[F.col(c).alias(f"a{c}") for c in ("x0", "x1", "y0", "y1")]).withColumn("tx", _tiles(F.col("ax0") - d, F.col("ax1") + d, side)).withColumn("ty", _tiles(F.col("ay0") - d, F.col("ay1") + d, side))
-    b = boxed.select("grp", F.col("unit_id").alias("other_id"), F.col("bit").alias("other_bit"), F.col("ring").alias("rb"), *[F.col(c).alias(f"b{c}") for c in ("x0", "x1", "y0", "y1")]).withColumn("tx", _tiles(F.col("bx0"), F.col("bx1"), side)).withColumn("ty", _tiles(F.col("by0"), F.col("by1"), side))
+    every = lambda c: F.flatten(F.transform("rings", lambda r: F.transform(r, lambda p: p[c])))
+    placed = units.filter(F.size("rings") > 0)
+    boxed = placed.withColumns({"x0": F.array_min(every("x")), "x1": F.array_max(every("x")), "y0": F.array_min(every("y")), "y1": F.array_max(every("y"))})
+    a = boxed.select("grp", F.col("unit_id").alias("focal_id"), F.col("bit").alias("focal_bit"), F.col("rings").alias("ra"), *[F.col(c).alias(f"a{c}") for c in ("x0", "x1", "y0", "y1")])
+    a = a.withColumn("tx", _tiles(F.col("ax0") - d, F.col("ax1") + d, side)).withColumn("ty", _tiles(F.col("ay0") - d, F.col("ay1") + d, side))
+    b = boxed.select("grp", F.col("unit_id").alias("other_id"), F.col("bit").alias("other_bit"), F.col("rings").alias("rb"), *[F.col(c).alias(f"b{c}") for c in ("x0", "x1", "y0", "y1")])
+    b = b.withColumn("tx", _tiles(F.col("bx0"), F.col("bx1"), side)).withColumn("ty", _tiles(F.col("by0"), F.col("by1"), side))
     gap = lambda p, q: F.greatest(F.lit(0.0), F.col(f"b{p}") - F.col(f"a{q}"), F.col(f"a{p}") - F.col(f"b{q}"))
     j = a.join(b, ["grp", "tx", "ty"]).filter(gap("x0", "x1") * gap("x0", "x1") + gap("y0", "y1") * gap("y0", "y1") <= d * d)
     home = (F.col("tx") == F.floor(F.greatest(F.col("ax0") - d, F.col("bx0")) / side)) & (F.col("ty") == F.floor(F.greatest(F.col("ay0") - d, F.col("by0")) / side))
     j = j.filter(home).select("grp", "focal_id", "other_id", "focal_bit", "other_bit", "ra", "rb")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        as_ring = lambda s: np.array([(p["x"], p["y"]) for p in s.as_py()], float)
         for x in batches:
-            d2 = np.array([ring_distance2(as_ring(p), as_ring(q)) for p, q in zip(x.column("ra"), x.column("rb"), strict=True)], float)
+            same = (x.column("focal_id").to_numpy(zero_copy_only=False) == x.column("other_id").to_numpy(zero_copy_only=False)).tolist()
+            d2 = np.array([0.0 if own else ring_distance2(_rings_of(p), _rings_of(q)) for own, p, q in zip(same, x.column("ra"), x.column("rb"), strict=True)], float)
             keep = pa.array(d2 <= d * d)
             yield pa.RecordBatch.from_arrays([*[x.column(c).filter(keep) for c in ("grp", "focal_id", "other_id", "focal_bit", "other_bit")], pa.array(d2).filter(keep)], names=["grp", "focal_id", "other_id", "focal_bit", "other_bit", "dist2"])
 
-    return arrow_map(j, run, "grp string, focal_id long, other_id long, focal_bit int, other_bit int, dist2 double")
+    found = arrow_map(j, run, "grp string, focal_id long, other_id long, focal_bit int, other_bit int, dist2 double")
+    lone = units.filter(F.size("rings") <= 0).select("grp", F.col("unit_id").alias("focal_id"), F.col("unit_id").alias("other_id"), F.col("bit").alias("focal_bit"), F.col("bit").alias("other_bit"), F.lit(0.0).alias("dist2"))
+    return found.unionByName(lone)
 
 
 # ---- vectors

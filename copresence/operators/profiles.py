@@ -1,7 +1,8 @@
 """Groups as sparse profiles of itemset support, their variants, and distances between them.
 
 PROFILE(grp, feature, value) holds what is frequent in a group; a feature that isn't frequent there is 0 and has no row
-(its true support is unknown below the minimum, it is not absence)."""
+(its true support is unknown below the minimum, it is not absence). A group without any feature keeps one row of value 0
+(`keep_groups`): it is at distance 1 from every unit profile and is clustered like any other."""
 
 from __future__ import annotations
 
@@ -20,6 +21,13 @@ def with_absent_groups(profile: DataFrame, groups: DataFrame) -> DataFrame:
     return groups.select("grp").distinct().join(profile.select("grp").distinct().withColumn("has", F.lit(True)), "grp", "left").select("grp", F.col("has").isNull().alias("degenerate"))
 
 
+def keep_groups(profile: DataFrame, groups: DataFrame) -> DataFrame:
+    """profile with a row of value 0 for each of groups(grp) that has no feature left, so that no later step loses it."""
+    some = profile.agg(F.coalesce(F.min("feature"), F.lit(0)).cast("long").alias("feature"))  # one row
+    lost = groups.select("grp").distinct().join(profile.select("grp").distinct(), "grp", "left_anti")
+    return profile.unionByName(lost.crossJoin(F.broadcast(some)).withColumn("value", F.lit(0.0)).select("grp", "feature", "value"))
+
+
 def densify(profile: DataFrame, groups: DataFrame | None = None) -> DataFrame:
     """Every group by every feature, zeros filled in: groups x features rows, for small results only."""
     groups = (groups if groups is not None else profile).select("grp").distinct()

@@ -35,6 +35,16 @@ def read_dichotomous(spark: SparkSession, path: str, classes: Classes, form: str
     return wide.select("grp", "unit_id", mask.alias("mask"))
 
 
+def write_json(df: DataFrame, path: str) -> None:
+    """A JSON object a line; nulls are written."""
+    df.write.mode("overwrite").option("ignoreNullFields", False).json(path)
+
+
+def read_json(spark: SparkSession, path: str, schema: str) -> DataFrame:
+    """JSON lines by a given schema; a line that doesn't fit stops the read."""
+    return spark.read.schema(schema).option("mode", "FAILFAST").json(path)
+
+
 def write_by_group(df: DataFrame, path: str, buckets: int = 64) -> None:
     """Parquet in folders by a hash of the group, so that one group is read from one folder."""
     df.withColumn("bucket", F.pmod(F.xxhash64("grp"), F.lit(buckets)).cast("int")).repartition("bucket").write.mode("overwrite").partitionBy("bucket").parquet(path)

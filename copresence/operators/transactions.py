@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from copresence.functions.masks import bit_mask, fold, size
 from copresence.model import Classes
+from copresence.plans.shared import cut
 
 from . import neighborhoods as near
 
@@ -56,29 +57,39 @@ def buffer_metric(units: DataFrame, eps: float) -> DataFrame:
     return _fold_pairs(near.metric_pairs(units, eps))
 
 
-def buffer_rect_by_tiles(units: DataFrame, d: int, cell: int | None = None) -> DataFrame:
-    """buffer_rect for dense areas: classes are first folded by small cell; cells wholly within reach give their folded
+def buffer_rect_by_tiles(units: DataFrame, d: int, cell: int | None = None, dense_above: int = 5000) -> DataFrame:
+    """buffer_rect for data with dense areas. Focal units whose buffer meets no tile of over `dense_above` units are
+    joined plainly. For the others classes are first folded by small cell; cells wholly within reach give their folded
     mask at once, and units in the other cells are tested only for classes that the focal unit has not met yet.
 
     A unit is listed in every cell that its box covers; a cell lies wholly within reach if its farthest corner does, and
-    any unit listed there then meets the buffer."""
-    cell = cell or max(1, d // 3)
+    any unit listed there then meets the buffer. The small-cell side costs about (4d / cell)**2 rows a focal unit, which
+    pays only where a tile holds many more units than that."""
+    side = max(2 * d, 64)
+    on = lambda grow: units.withColumn("tx", near._tiles(F.col("x0") - grow, F.col("x1") + grow, side)).withColumn("ty", near._tiles(F.col("y0") - grow, F.col("y1") + grow, side))
+    dense = cut(on(0).groupBy("grp", "tx", "ty").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > dense_above).drop("n"))
+    if not dense.limit(1).count():
+        return buffer_rect(units, d)
+    among = cut(on(d).join(dense, ["grp", "tx", "ty"], "left_semi").select("unit_id").distinct())
+    plain = _fold_pairs(near.rect_pairs(units, d, side, focal=units.join(among, "unit_id", "left_anti")))
+    return plain.unionByName(_buffer_by_cells(units, units.join(among, "unit_id", "left_semi"), d, cell or max(1, d // 3)))
+
+
+def _buffer_by_cells(units: DataFrame, focal: DataFrame, d: int, cell: int) -> DataFrame:
     listed = units.withColumn("cx", near._tiles(F.col("x0"), F.col("x1"), cell)).withColumn("cy", near._tiles(F.col("y0"), F.col("y1"), cell))
     cells = listed.groupBy("grp", "cx", "cy").agg(fold(bit_mask("bit")).alias("all"))
-    a = units.select("grp", "unit_id", F.col("bit").alias("own"), "x0", "x1", "y0", "y1")
+    a = focal.select("grp", "unit_id", F.col("bit").alias("own"), "x0", "x1", "y0", "y1")
     a = a.withColumn("cx", near._tiles(F.col("x0") - d, F.col("x1") + d, cell)).withColumn("cy", near._tiles(F.col("y0") - d, F.col("y1") + d, cell))
     far = lambda c, lo, hi: F.greatest(F.lit(0), F.col(lo) - F.col(c) * cell, (F.col(c) + 1) * cell - 1 - F.col(hi))
     near_ = lambda c, lo, hi: F.greatest(F.lit(0), F.col(lo) - ((F.col(c) + 1) * cell - 1), F.col(c) * cell - F.col(hi))
     sq = lambda f: f("cx", "x0", "x1") * f("cx", "x0", "x1") + f("cy", "y0", "y1") * f("cy", "y0", "y1")
     met = a.filter(sq(near_) <= d * d).join(cells, ["grp", "cx", "cy"]).withColumn("inner", sq(far) <= d * d)
-    inner = F.coalesce(F.bit_or(F.when(F.col("inner"), F.col("all"))).over(W.partitionBy("grp", "unit_id")), F.lit(0).cast("long"))
-    met = met.withColumn("known", inner.bitwiseOR(bit_mask("own")))
-    seed = met.groupBy("grp", "unit_id").agg(F.first("known").alias("mask"))
-    rim = met.filter(~F.col("inner") & (F.expr("all & ~known") != 0)).select("grp", "unit_id", "cx", "cy", "x0", "x1", "y0", "y1", "known")
+    seed = cut(met.groupBy("grp", "unit_id").agg(fold(F.when(F.col("inner"), F.col("all")).otherwise(bit_mask("own"))).alias("known")))
+    rim = met.filter(~F.col("inner")).join(seed, ["grp", "unit_id"]).filter(F.expr("all & ~known") != 0).select("grp", "unit_id", "cx", "cy", "x0", "x1", "y0", "y1", "known")
     b = listed.select("grp", "cx", "cy", F.col("x0").alias("bx0"), F.col("x1").alias("bx1"), F.col("y0").alias("by0"), F.col("y1").alias("by1"), bit_mask("bit").alias("class"))
     gap = lambda p, q: F.greatest(F.lit(0), F.col(f"b{p}") - F.col(q), F.col(p) - F.col(f"b{q}"))
     hit = rim.join(b, ["grp", "cx", "cy"]).filter((F.expr("class & ~known") != 0) & (gap("x0", "x1") * gap("x0", "x1") + gap("y0", "y1") * gap("y0", "y1") <= d * d))
-    return seed.unionByName(hit.select("grp", "unit_id", F.col("class").alias("mask"))).groupBy("grp", "unit_id").agg(fold("mask").alias("mask"))
+    return seed.withColumnRenamed("known", "mask").unionByName(hit.select("grp", "unit_id", F.col("class").alias("mask"))).groupBy("grp", "unit_id").agg(fold("mask").alias("mask"))
 
 
 def patterns(tx: DataFrame) -> DataFrame:
@@ -91,14 +102,33 @@ def one_per_unit(units: DataFrame, tx: DataFrame) -> DataFrame:
     return units.agg(F.count(F.lit(1)).alias("units")).crossJoin(tx.agg(F.count(F.lit(1)).alias("transactions"))).crossJoin(missing)
 
 
-def calibration(pairs: DataFrame, distances: list[int], dist: str = "dist", squared: bool = False) -> DataFrame:
-    """Mean, median and greatest transaction length for each distance, from one join at the greatest."""
-    folds = [F.bit_count(fold(F.when(F.col(dist) <= (d * d if squared else d), bit_mask("other_bit")))).alias(f"d{d}") for d in distances]
-    per = pairs.groupBy("grp", "focal_id").agg(*folds)
-    long = per.select(F.explode(F.array(*[F.struct(F.lit(d).alias("d"), F.col(f"d{d}").cast("long").alias("len")) for d in distances])).alias("r")).select("r.d", "r.len")
+def lengths(per: DataFrame, distances: list[int]) -> DataFrame:
+    """per(d<distance> mask, ...), a row a focal unit -> count, mean, median and greatest length for each distance; null
+    masks aren't transactions."""
+    each = F.explode(F.array(*[F.struct(F.lit(d).cast("long").alias("d"), F.bit_count(f"d{d}").cast("long").alias("len")) for d in distances])).alias("r")
+    long = per.select(each).select("r.d", "r.len").filter("len IS NOT NULL")
     return long.groupBy("d").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("len"), 6).alias("mean_len"), F.percentile("len", F.lit(0.5)).alias("median_len"), F.max("len").alias("max_len"))
 
 
+def calibration(pairs: DataFrame, distances: list[int], dist: str = "dist", squared: bool = False) -> DataFrame:
+    """`lengths` from one join at the greatest distance."""
+    folds = [fold(F.when(F.col(dist) <= (d * d if squared else d), bit_mask("other_bit"))).alias(f"d{d}") for d in distances]
+    return lengths(pairs.groupBy("grp", "focal_id").agg(*folds), distances)
+
+
+def calibration_instant(units: DataFrame, distances: list[int], scale: int = 1) -> DataFrame:
+    """`lengths` for instants from one sort; distances times scale are in the units of lo."""
+    frame = lambda d: W.partitionBy("grp", "part").orderBy("lo").rangeBetween(-d * scale, d * scale)
+    return lengths(units.select(*[fold(bit_mask("bit")).over(frame(d)).alias(f"d{d}") for d in distances]), distances)
+
+
+def set_bag_audit(pairs: DataFrame) -> DataFrame:
+    """Per group: transactions, neighbours (without the unit itself), classes in all sets, members of the same class that
+    the sets collapsed, and transactions in which any was."""
+    per = pairs.groupBy("grp", "focal_id").agg(F.count(F.lit(1)).alias("m"), F.bit_count(fold(bit_mask("other_bit"))).cast("long").alias("c"))
+    return per.groupBy("grp").agg(F.count(F.lit(1)).alias("transactions"), F.sum(F.col("m") - 1).alias("neighbours"), F.sum("c").alias("classes"), F.sum(F.col("m") - F.col("c")).alias("collapsed"), F.count_if(F.col("m") > F.col("c")).alias("affected"))
+
+
 def size_histogram(tx: DataFrame) -> DataFrame:
     return tx.groupBy(size("mask").cast("long").alias("len")).agg(F.count(F.lit(1)).alias("n"))
 

@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from copresence.plans.shared import bounded
 from copresence.ship import arrow_map
 
 from .clustering import labels_at, linkage
@@ -79,7 +80,7 @@ def feature_draws(profile: DataFrame, reps: int, fraction: float = 0.8, seed: in
     n = features.agg(F.count(F.lit(1)).alias("f"))
     each = features.crossJoin(profile.sparkSession.range(reps).select(F.col("id").cast("int").alias("rep")))
     key = F.md5(F.concat_ws("|", F.lit(str(seed)), F.col("rep").cast("string"), F.col("feature").cast("string")))
-    ranked = each.withColumn("r", F.row_number().over(W.partitionBy("rep").orderBy(key, "feature"))).crossJoin(F.broadcast(n))
+    ranked = each.withColumn("r", F.row_number().over(W.partitionBy("rep").orderBy(key, "feature"))).crossJoin(F.broadcast(n))  # n: one row
     return ranked.filter(F.col("r") <= F.floor(F.col("f") * F.lit(fraction))).select("rep", "feature")
 
 
@@ -97,13 +98,22 @@ def _md5_ranks(seed: int, rep: int, features: np.ndarray) -> np.ndarray:
     return np.array(sorted(range(len(keys)), key=lambda i: (keys[i], features[i])))
 
 
+PACKED = 4_000_000  # nonzero values of a profile that goes to every task, about 100 MB
+
+
+def packed_profile(profile: DataFrame) -> DataFrame:
+    """The profile as one row, to be broadcast; its size is checked."""
+    bounded(profile, PACKED, "profile")
+    return F.broadcast(profile.groupBy().agg(F.sort_array(F.collect_list(F.struct("grp", "feature", "value"))).alias("rows")))
+
+
 def stability_runs(profile: DataFrame, ks: list[int], reps: int, fraction: float = 0.8, seed: int = 0, tasks: int | None = None) -> DataFrame:
     """rep, k, ari: each repetition draws features, scales rows to length 1, builds one tree, cuts it at every k and
     compares with the full tree's cut. The profile goes to the repetitions as one packed row; nothing comes to the driver."""
     spark = profile.sparkSession
-    packed = profile.groupBy().agg(F.sort_array(F.collect_list(F.struct("grp", "feature", "value"))).alias("rows"))
+    packed = packed_profile(profile)
     tasks = tasks or spark.sparkContext.defaultParallelism
-    runs = spark.range(0, reps, 1, tasks).select(F.col("id").cast("int").alias("rep")).crossJoin(F.broadcast(packed))
+    runs = spark.range(0, reps, 1, tasks).select(F.col("id").cast("int").alias("rep")).crossJoin(packed)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cached = None
@@ -153,9 +163,9 @@ def rank_criteria(table: DataFrame) -> DataFrame:
     return out.withColumn("mean_rank", sum((F.col(f"rank_{n}") for n in DIRECTIONS), F.lit(0.0)) / len(DIRECTIONS))
 
 
-def criteria(profile: DataFrame, dist: DataFrame, labelled: DataFrame, ks: list[int], reps: int = 500, seed: int = 0) -> DataFrame:
-    """All four criteria with ranks. profile: unit rows."""
-    t = silhouette(dist, labelled).join(calinski_harabasz(profile, labelled), "k").join(davies_bouldin(profile, labelled), "k").join(stability(profile, ks, reps, seed=seed), "k")
+def criteria(profile: DataFrame, dist: DataFrame, labelled: DataFrame, stable: DataFrame) -> DataFrame:
+    """All four criteria with ranks. profile: unit rows; stable: what `stability` gives for the rows before scaling."""
+    t = silhouette(dist, labelled).join(calinski_harabasz(profile, labelled), "k").join(davies_bouldin(profile, labelled), "k").join(stable, "k")
     return rank_criteria(t)
 
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from copresence.operators import sensitivity
 from copresence.sources import workloads as data
 
-from .queries import DRAW_SEED, EPS, K, KS, RECT_DISTANCES, REPS, STRIP_DISTANCES
+from .queries import DRAW_SEED, EPS, EVENT_HOURS, HOUR, K, KS, ORDER_DAYS, PAGE_ITEMS, RECT_DISTANCES, REPS, STRIP_DISTANCES
 
 ORACLES: dict[str, str] = {}
 
@@ -173,6 +173,15 @@ for _n in ("rect_tx_d150", "rect_tx_d150_tiles"):
     add(_n, _RECT, rect_pairs_sql(data.GAP), RECT_TX, last="SELECT * FROM tx")
 ORACLES["ring_tx_d150"] = ORACLES["rect_tx_d150"]
 add("ring_tx_d25", _RECT, rect_pairs_sql(25), RECT_TX, last="SELECT * FROM tx")
+FRAMES = """
+fr AS (SELECT grp, unit_id, bit, x0 - m AS x0, x1 + m AS x1, y0 - m AS y0, y1 + m AS y1, x0 - m + 2 AS hx0, x1 + m - 2 AS hx1, y0 - m + 2 AS hy0, y1 + m - 2 AS hy1 FROM (SELECT *, 3 + 2 * (unit_id % 20) AS m FROM u))"""
+_IN = lambda p, q: f"{p}.x0 >= {q}.hx0 AND {p}.x1 <= {q}.hx1 AND {p}.y0 >= {q}.hy0 AND {p}.y1 <= {q}.hy1"
+_ROOM = lambda p, q: f"least({p}.x0 - {q}.hx0, {q}.hx1 - {p}.x1, {p}.y0 - {q}.hy0, {q}.hy1 - {p}.y1)"
+_APART = lambda c: f"greatest(0, b.{c}0 - a.{c}1, a.{c}0 - b.{c}1)"
+add("ring_tx_holes_d5", _RECT, FRAMES, f"""
+fp AS (SELECT a.grp, a.unit_id, b.bit, CASE WHEN a.unit_id = b.unit_id THEN 0 WHEN {_IN("b", "a")} THEN {_ROOM("b", "a")} * {_ROOM("b", "a")} WHEN {_IN("a", "b")} THEN {_ROOM("a", "b")} * {_ROOM("a", "b")}
+       ELSE {_APART("x")} * {_APART("x")} + {_APART("y")} * {_APART("y")} END AS d2 FROM fr a JOIN fr b ON a.grp = b.grp AND b.x0 <= a.x1 + 5 AND b.x1 >= a.x0 - 5 WHERE b.y0 <= a.y1 + 5 AND b.y1 >= a.y0 - 5)""",
+    last="SELECT grp, unit_id, bit_or(1::bigint << bit) AS mask FROM fp WHERE d2 <= 25 GROUP BY 1, 2")
 VEC = f"""
 vp AS (SELECT 'all' AS grp, a.vec_id AS focal_id, b.vec_id AS other_id, b.label AS other_bit, list_distance(a.embedding::double[], b.embedding::double[]) AS dist FROM embeddings a, embeddings b
        WHERE list_distance(a.embedding::double[], b.embedding::double[]) <= {EPS})"""
@@ -181,6 +190,16 @@ add("one_per_unit", words_sql(), strip_tx_sql(), last="SELECT (SELECT count(*) F
 _LENGTHS = "SELECT d, count(*) AS n, round(avg(len), 6) AS mean_len, quantile_cont(len, 0.5)::double AS median_len, max(len) AS max_len FROM lens GROUP BY d"
 add("buffer_calibration_strip", words_sql(), *[strip_tx_sql(d).replace("tx AS", f"tx{d} AS") for d in STRIP_DISTANCES], "lens AS (" + " UNION ALL ".join(f"SELECT {d}::bigint AS d, bit_count(mask)::bigint AS len FROM tx{d}" for d in STRIP_DISTANCES) + ")", last=_LENGTHS)
 add("buffer_calibration_rect", _RECT, rect_pairs_sql(max(RECT_DISTANCES)), f"lens AS (SELECT d, bit_count(bit_or(1::bigint << other_bit))::bigint AS len FROM pairs, (SELECT unnest([{', '.join(map(str, RECT_DISTANCES))}])::bigint AS d) WHERE dist2 <= d * d GROUP BY d, grp, focal_id)", last=_LENGTHS)
+_DAYS = [ORDERS.replace(f"<= {data.DAYS}", f"<= {n}").replace("tx AS", f"tx{n} AS") for n in ORDER_DAYS]
+add("buffer_calibration_orders", _DAYS[0], *["tx" + x.split("\ntx", 1)[1] for x in _DAYS[1:]], "lens AS (" + " UNION ALL ".join(f"SELECT {n}::bigint AS d, bit_count(mask)::bigint AS len FROM tx{n}" for n in ORDER_DAYS) + ")", last=_LENGTHS)
+add("buffer_calibration_events", EVENT_UNITS, *[EVENT_TX.replace(f"<= {data.HOURS * HOUR}", f"<= {n * HOUR}").replace("tx AS", f"tx{n} AS") for n in EVENT_HOURS], "lens AS (" + " UNION ALL ".join(f"SELECT {n}::bigint AS d, bit_count(mask)::bigint AS len FROM tx{n}" for n in EVENT_HOURS) + ")", last=_LENGTHS)
+_AUDIT = "SELECT grp, count(*) AS transactions, sum(m - 1)::bigint AS neighbours, sum(c)::bigint AS classes, sum(m - c)::bigint AS collapsed, count(*) FILTER (m > c) AS affected FROM au GROUP BY grp"
+add("set_bag_audit_strip", words_sql(), strip_tx_sql().replace("tx AS", "au AS").replace("bit_or(1::bigint << b.bit) AS mask", "count(*) AS m, count(DISTINCT b.bit) AS c"), last=_AUDIT)
+add("set_bag_audit_rect", _RECT, rect_pairs_sql(data.GAP), "au AS (SELECT grp, focal_id, count(*) AS m, count(DISTINCT other_bit) AS c FROM pairs GROUP BY 1, 2)", last=_AUDIT)
+_SIDE = max(2 * data.GAP, 64)
+_ON = lambda name, grow: f"{name} AS (SELECT grp, tx, ty, count(*) AS {name} FROM (SELECT grp, tx, unnest(range(floor((y0 - {grow}) / {_SIDE}.0)::bigint, floor((y1 + {grow}) / {_SIDE}.0)::bigint + 1)) AS ty FROM (SELECT *, unnest(range(floor((x0 - {grow}) / {_SIDE}.0)::bigint, floor((x1 + {grow}) / {_SIDE}.0)::bigint + 1)) AS tx FROM u)) GROUP BY 1, 2, 3)"
+add("engine_cost_rect", _RECT, rect_pairs_sql(data.GAP), RECT_TX, PATTERNS, _ON("f", data.GAP), _ON("o", 0), last="SELECT (SELECT count(*) FROM u) AS units, (SELECT sum(f) FROM f)::bigint AS focal_rows, (SELECT sum(o) FROM o)::bigint AS other_rows, (SELECT sum(f * o) FROM f JOIN o USING (grp, tx, ty))::bigint AS candidates, (SELECT count(*) FROM pairs) AS pairs, (SELECT count(*) FROM pat) AS patterns")
+add("level_sizes_strip", *STRIP_ITEMS, last="SELECT k, count(*) AS sets, sum(sup)::bigint AS total FROM items GROUP BY 1")
 add("size_histogram", words_sql(), strip_tx_sql(), last="SELECT bit_count(mask)::bigint AS len, count(*) AS n FROM tx GROUP BY 1")
 add("recurrence_summary", *STRIP, last="SELECT grp, sum(weight)::bigint AS transactions, count(*) AS patterns, sum(weight)::bigint - count(*) AS repeats, bit_count(bit_or(mask))::bigint AS classes FROM pat GROUP BY grp UNION ALL SELECT NULL, sum(weight)::bigint, count(*), sum(weight)::bigint - count(*), bit_count(bit_or(mask))::bigint FROM pat")
 add("dichotomous_matrix", ORDERS, last="SELECT grp, unit_id, " + ", ".join(f"((mask >> {b}) & 1)::bigint AS b{b}" for b in range(27)) + " FROM tx")
@@ -219,6 +238,10 @@ add("itemsets_unique_pattern_votes", *STRIP, UNIQUE, itemsets_sql(pat="one"), la
 ORACLES["monotonicity_violations"] = "SELECT 0::bigint AS violations"
 add("top_itemsets_one_group", *STRIP_ITEMS, last=f"SELECT grp, itemset, sup, n, (200 * sup + n) // (2 * n) AS percent, row_number() OVER (ORDER BY sup DESC, itemset) AS rank FROM items WHERE k >= 2 AND itemset & {1 << data.ROAD_BIT} = 0 AND grp = (SELECT grp FROM items_n ORDER BY n DESC, grp LIMIT 1) QUALIFY rank <= 11")
 
+_TOP = "SELECT grp, itemset, sup, n, (200 * sup + n) // (2 * n) AS percent, row_number() OVER (PARTITION BY grp ORDER BY sup DESC, itemset) AS rank FROM items WHERE k >= 2 AND itemset & {hide} = 0 QUALIFY rank <= 11"
+add("top_itemsets_every_group", *STRIP_ITEMS, last=_TOP.format(hide=1 << data.ROAD_BIT))
+add("top_itemsets_orders", ORDERS, PATTERNS, itemsets_sql(), last=_TOP.format(hide=0))
+
 # ---- profiles and distances
 
 add("profile_sparse", *PROFILE, last="SELECT grp, feature, round(value, 6) AS value FROM prof")
@@ -324,6 +347,9 @@ ORACLES["threshold_sensitivity_orders"] = _threshold_sql((ORDERS, PATTERNS, item
 _base = sensitivity.THRESHOLDS.index(sensitivity.PRIMARY)
 ORACLES["distance_spearman_thresholds"] = chain(*STRIP_MANY, *[x for i, t in enumerate(sensitivity.THRESHOLDS) for x in (f"it{i} AS (SELECT * FROM many WHERE threshold = '{t}')", profile_sql(f"it{i}", name=f"q{i}_"))], last=" UNION ALL ".join(f"SELECT '{t}' AS threshold, round({spearman_sql(f'q{i}_dist', f'q{_base}_dist')}, 6) AS spearman" for i, t in enumerate(sensitivity.THRESHOLDS)))
 
+_LOST = {"artificial_only": f"SELECT grp FROM items WHERE itemset & {data.STRIP.other} = 0", "no_road": f"SELECT grp FROM items WHERE itemset & {1 << data.ROAD_BIT} = 0", "15%": "SELECT grp FROM low WHERE sup * 100 >= n * 15"}
+add("degenerate_groups", *STRIP_ITEMS, itemsets_sql(5, 100, "low"), last=" UNION ALL ".join(f"SELECT '{v}' AS variant, grp, grp NOT IN ({q}) AS degenerate FROM items_n" for v, q in _LOST.items()))
+
 # ---- representation variants
 
 
@@ -355,6 +381,14 @@ hr AS (SELECT a, b, row_number() OVER (PARTITION BY a ORDER BY round(d, 10), b)
 add("trustworthiness_plane", *PROFILE, BOTH, PLANE, "gn AS (SELECT count(*) AS n FROM sq)", last="SELECT round(1 - 2 * (SELECT sum(greatest(0, hr.rank - 10)) FROM lr JOIN hr ON lr.a = hr.a AND lr.b = hr.b WHERE lr.rank <= 10) / (n * 10 * (2 * n - 31)), 6) AS trustworthiness FROM gn")
 add("neighbour_overlap_plane", *PROFILE, BOTH, PLANE, last="SELECT round((SELECT count(*) FROM lr JOIN hr ON lr.a = hr.a AND lr.b = hr.b WHERE lr.rank <= 10 AND hr.rank <= 10) / ((SELECT count(*) FROM sq) * 10.0::double), 6) AS overlap")
 
+PLANE_ITEMS = """
+pit AS (SELECT grp, 1::bigint AS itemset, x AS rel FROM pl UNION ALL SELECT grp, 2::bigint, y FROM pl)"""
+_PLANE_PAIRS = f"SELECT 1 AS one, x.cluster AS u, y.cluster AS v FROM p_lab x JOIN lab y ON x.grp = y.grp AND x.k = {K} AND y.k = {K}"
+add("layout_metrics_plane", *TREE, BOTH, PLANE, PLANE_ITEMS, profile_sql("pit", name="p_", unit=False), tree_sql("p_"), agreement_sql(_PLANE_PAIRS, "one")[0], "gn AS (SELECT count(*) AS n FROM sq)", last=f"""
+SELECT round(1 - 2 * (SELECT sum(greatest(0, hr.rank - 10)) FROM lr JOIN hr ON lr.a = hr.a AND lr.b = hr.b WHERE lr.rank <= 10) / (n * 10 * (2 * n - 31)), 6) AS trustworthiness,
+       round((SELECT count(*) FROM lr JOIN hr ON lr.a = hr.a AND lr.b = hr.b WHERE lr.rank <= 10 AND hr.rank <= 10) / (n * 10.0::double), 6) AS overlap,
+       round({spearman_sql("p_dist", "dist")}, 6) AS spearman, round(ari, 6) AS ari, round(nmi, 6) AS nmi FROM gn, ar JOIN nm USING (one)""")
+
 # ---- non-artificial content and tests
 
 VALUES = """
@@ -368,6 +402,10 @@ kq AS (SELECT measure, sum(s * s / m) AS q FROM (SELECT measure, cluster, sum(r)
 kt AS (SELECT measure, sum(t * t * t - t) AS ties FROM (SELECT measure, round(value, 10) AS v, count(*)::double AS t FROM kr GROUP BY 1, 2) GROUP BY 1),
 kw AS (SELECT measure, (12 / (n * (n + 1)) * q - 3 * (n + 1)) / (1 - ties / (n * n * n - n)) AS h, df FROM kn JOIN kq USING (measure) JOIN kt USING (measure))"""
 add("kruskal_h", *TREE, SEVEN, CONTENT, VALUES, KRUSKAL, last="SELECT measure, round(h, 6) AS h, df FROM kw")
+HOLM = """
+pv AS (SELECT *, exp(-h / 2) * (1 + h / 2 + h * h / 8) AS p FROM kw WHERE df = 6 OR error('the tail is written for 6 degrees of freedom')),
+hs AS (SELECT *, row_number() OVER (ORDER BY p, measure) AS i, least(1, (count(*) OVER () - row_number() OVER (ORDER BY p, measure) + 1) * p) AS s FROM pv)"""
+add("holm_adjusted", *TREE, SEVEN, CONTENT, VALUES, KRUSKAL, HOLM, last="SELECT measure, round(h, 6) AS h, df, round(p, 9) AS p, round(max(s) OVER (ORDER BY i), 9) AS adjusted, true AS exploratory FROM hs")
 add("eta_squared", *TREE, SEVEN, CONTENT, VALUES, last="SELECT measure, round(sum((c - m) * (c - m)) / sum((value - m) * (value - m)), 6) AS eta2 FROM (SELECT *, avg(value) OVER (PARTITION BY measure) AS m, avg(value) OVER (PARTITION BY measure, cluster) AS c FROM va) GROUP BY 1")
 
 
@@ -380,8 +418,10 @@ xv AS (SELECT {by}, sqrt(greatest(0, sum(c * c / (r * q)) - 1) / (least(any_valu
 
 _CV = "cp AS (SELECT -1 AS rep, grp, block AS u, cluster AS v FROM l7 JOIN blk USING (grp))"
 add("cramers_v", *TREE, SEVEN, BLOCKS, _CV, cramers_sql("cp", "rep"), last="SELECT round(v, 6) AS v FROM xv")
-for _name, _reps in (("cramers_v_permutation", 200), ("cramers_v_permutation_5000", 5000)):
-    add(_name, *TREE, SEVEN, BLOCKS, _CV, f"""
+_ORDER_TREE = (ORDERS, PATTERNS, itemsets_sql(), profile_sql(), tree_sql(), SEVEN)
+_ORDER_CV = "cp AS (SELECT -1 AS rep, grp, n_regionkey::varchar AS u, cluster AS v FROM l7 JOIN nation ON n_nationkey::varchar = grp)"
+for _name, _reps, _steps in (("cramers_v_permutation", 200, (*TREE, SEVEN, BLOCKS, _CV)), ("cramers_v_permutation_5000", 5000, (*TREE, SEVEN, BLOCKS, _CV)), ("cramers_v_orders_null", 5000, (*_ORDER_TREE, _ORDER_CV))):
+    add(_name, *_steps, f"""
 pi AS (SELECT *, row_number() OVER (ORDER BY grp) AS i FROM cp),
 pm AS (SELECT t.rep, i, u, v, row_number() OVER (PARTITION BY t.rep ORDER BY md5('0|' || t.rep || '|' || grp), grp) AS j FROM pi, range({_reps}) t(rep)),
 pn AS (SELECT a.rep, a.u, b.v FROM pm a JOIN pm b ON a.rep = b.rep AND a.i = b.j UNION ALL SELECT rep, u, v FROM cp)""", cramers_sql("pn", "rep"), last=f"SELECT round(s.v, 6) AS v, round((1 + (SELECT count(*) FROM xv WHERE rep >= 0 AND round(v, 10) >= round(s.v, 10))) / {_reps + 1}.0::double, 6) AS p FROM xv s WHERE rep = -1")
@@ -400,6 +440,13 @@ _STRIP_CODES = "[" + ", ".join(map(str, data.STRIP.codes)) + "]"
 _THEMED = f"cd AS (SELECT grp, ({_STRIP_CODES})[bit + 1] AS code FROM u)"
 add("code_rollup", words_sql(), _THEMED, last="SELECT theme, code, count(*) AS n FROM (SELECT (code // 10000 * 10000)::bigint AS theme, (code // 100 * 100)::bigint AS code FROM cd) GROUP BY ROLLUP (theme, code)")
 add("group_cube", words_sql(), _THEMED, BLOCKS, last="SELECT block, theme, count(*) AS n FROM (SELECT block, (code // 10000 * 10000)::bigint AS theme FROM cd JOIN blk USING (grp)) GROUP BY CUBE (block, theme)")
+_THEMES = "[" + ", ".join(str(sorted(set(data.STRIP.themes)).index(t)) for t in data.STRIP.themes) + "]"
+add("coarse_itemsets_strip", words_sql().replace("u AS (SELECT", "fine AS (SELECT"), f"u AS (SELECT * REPLACE (({_THEMES})[bit + 1] AS bit) FROM fine)", strip_tx_sql(), PATTERNS, itemsets_sql(), last=ITEM_ROWS)
+add("approximate_patterns", *STRIP, last="SELECT DISTINCT grp, true AS near FROM pat")
+add("support_quartiles", *STRIP_ITEMS, last="SELECT grp, itemset, ntile(4) OVER (PARTITION BY grp ORDER BY sup, itemset) AS quartile, round(percent_rank() OVER (PARTITION BY grp ORDER BY sup), 6) AS percent_rank FROM items")
+add("nearest_words_tx", words_sql(), "tx AS (SELECT grp, bit_or(1::bigint << bit) OVER (PARTITION BY part ORDER BY lo ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS mask FROM u)", PATTERNS, last="SELECT * FROM pat")
+add("map_dot_products", *PROFILE, last="SELECT p.grp, round(sum(p.value * coalesce(q.value, 0)), 6) AS dot FROM prof p LEFT JOIN (SELECT feature, value FROM prof WHERE grp = (SELECT min(grp) FROM prof)) q USING (feature) GROUP BY p.grp")
+add("sample_by_language", words_sql(), BLOCKS, last="SELECT grp, count(*) AS n FROM u JOIN blk USING (grp) WHERE block = 'en' GROUP BY 1")
 add("union_features", *STRIP_ITEMS, last="SELECT DISTINCT itemset FROM items")
 add("common_itemsets", *STRIP_ITEMS, last="SELECT itemset FROM items GROUP BY 1 HAVING count(*) = (SELECT count(DISTINCT grp) FROM items)")
 add("lost_between_thresholds", *STRIP_MANY, last="SELECT DISTINCT itemset FROM many WHERE threshold = '5%' AND itemset NOT IN (SELECT itemset FROM many WHERE threshold = '15%')")
@@ -409,12 +456,13 @@ add("semi_groups_with_set", *STRIP_ITEMS, last=f"SELECT grp, n FROM items_n WHER
 add("anti_missing_features", *STRIP_ITEMS, last="SELECT g.grp, f.itemset FROM (SELECT DISTINCT grp FROM items) g, (SELECT DISTINCT itemset FROM items WHERE k = 1) f WHERE NOT EXISTS (SELECT 1 FROM items i WHERE i.grp = g.grp AND i.itemset = f.itemset)")
 add("json_code_source", EVENT_UNITS.replace("AS bit, props", "AS bit0, (props::json->>'$.k')::integer // 5 AS bit, props"), EVENT_TX, PATTERNS, last="SELECT * FROM pat")
 PAGES = """
-pg AS (SELECT regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS grp, page_id, list_transform(regexp_extract_all(html, '<([a-zA-Z][a-zA-Z0-9]*)', 1), lambda t: lower(t)) AS tags FROM pages),
-pn AS (SELECT grp, count(*) AS n FROM pg GROUP BY 1), pe AS (SELECT grp, page_id, item FROM (SELECT grp, page_id, unnest(tags) AS item FROM pg) GROUP BY 1, 2, 3 HAVING count(*) > 2),
-bk AS (SELECT grp, item, row_number() OVER (PARTITION BY grp ORDER BY item) - 1 AS bit FROM (SELECT grp, item, count(*) AS s FROM pe GROUP BY 1, 2) JOIN pn USING (grp) WHERE s * 10 >= n),
-pt AS (SELECT grp, page_id, bit_or(1::bigint << bit::integer) AS mask FROM pe JOIN bk USING (grp, item) GROUP BY 1, 2),
-pat AS (SELECT pg.grp, coalesce(mask, 0) AS mask, count(*) AS weight FROM pg LEFT JOIN pt ON pg.grp = pt.grp AND pg.page_id = pt.page_id GROUP BY 1, 2)"""
-add("page_tag_itemsets", PAGES, itemsets_sql(50, 100), last="SELECT grp, (SELECT string_agg(item, ' ' ORDER BY item) FROM bk WHERE bk.grp = i.grp AND (i.itemset >> bk.bit::integer) & 1 = 1) AS tags, sup, n FROM items i")
+pg AS (SELECT regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS grp, page_id, list_distinct(list_transform(regexp_extract_all(html, '<([a-zA-Z][a-zA-Z0-9]*)', 1), lambda t: lower(t))) AS tags FROM pages),
+pn AS (SELECT grp, count(*) AS n FROM pg GROUP BY 1), pe AS (SELECT grp, page_id, unnest(tags) AS item FROM pg),
+p1 AS (SELECT grp, item FROM (SELECT grp, item, count(*) AS s FROM pe GROUP BY 1, 2) JOIN pn USING (grp) WHERE s * 10 >= n),
+h1 AS (SELECT grp, page_id, item AS tags, item AS last FROM pe JOIN p1 USING (grp, item))"""
+_LONGER = [f"h{k} AS (SELECT x.grp, x.page_id, x.tags || ' ' || y.item AS tags, y.item AS last FROM h{k - 1} x JOIN pe y ON x.grp = y.grp AND x.page_id = y.page_id AND y.item > x.last JOIN p1 ON p1.grp = y.grp AND p1.item = y.item)" for k in range(2, PAGE_ITEMS + 1)]
+add("page_tag_itemsets", PAGES, *_LONGER, last="SELECT grp, tags, sup, n FROM (" + " UNION ALL ".join(f"SELECT grp, tags, count(*) AS sup FROM h{k} GROUP BY 1, 2" for k in range(1, PAGE_ITEMS + 1)) + ") JOIN pn USING (grp) WHERE sup * 10 >= n")
+add("page_tag_masks", PAGES, last="SELECT grp, item AS tag, count(*) AS sup, any_value(n) AS n FROM pe JOIN pn USING (grp) GROUP BY 1, 2 HAVING count(*) * 10 >= any_value(n) * 9")
 add("conversation_itemsets", "tx AS (SELECT 'all' AS grp, conv_id AS unit_id, bit_or(1::bigint << (CASE role WHEN 'user' THEN 0 WHEN 'assistant' THEN 4 ELSE 8 END + least(3, length(text) // 200))::integer) AS mask FROM conversations GROUP BY conv_id)", PATTERNS, itemsets_sql(), last=ITEM_ROWS)
 add("benchmark_strip", words_sql("benchmark", "'benchmark|all'", "item_id"), strip_tx_sql(), PATTERNS, last="SELECT * FROM pat")
 add("label_block_join", words_sql(), strip_tx_sql(), last="SELECT quality, count(*) AS n, sum(bit_count(mask))::bigint AS items FROM tx LEFT JOIN labels ON labels.doc_id = tx.unit_id // 1000000 GROUP BY 1")
@@ -433,8 +481,12 @@ add("stream_patterns", EVENT_UNITS, _window_tx(6, 6), PATTERNS, last="SELECT * F
 add("stream_session_sets", EVENT_UNITS, "se AS (SELECT *, sum(fresh) OVER (PARTITION BY part ORDER BY t ROWS UNBOUNDED PRECEDING) AS sid FROM (SELECT *, CASE WHEN t - lag(t) OVER (PARTITION BY part ORDER BY t) < 21600000000 THEN 0 ELSE 1 END AS fresh FROM ev)), sn AS (SELECT grp, part, sid, count(*) AS n, bit_or(1::bigint << bit) AS mask FROM se GROUP BY 1, 2, 3)", last="SELECT grp, count(*) AS sessions, sum(n)::bigint AS events, sum(bit_count(mask))::bigint AS items FROM sn GROUP BY 1")
 add("stream_interval_join", EVENT_UNITS, EVENT_TX, last="SELECT * FROM tx")
 
+add("stream_closed_transactions", EVENT_UNITS, EVENT_TX, f"""
+wm AS (SELECT (max(t) // 1000 - 3600000) AS ms FROM ev)""", last=f"SELECT part, unit_id, mask FROM tx JOIN (SELECT unit_id, part, t FROM ev) USING (unit_id), wm WHERE (t + {data.HOURS * HOUR}) // 1000 + 1 <= ms")
+
 # ---- SQL surface
 
 add("sql_mine_udtf", EVENT_UNITS, EVENT_TX, PATTERNS, itemsets_sql(), last="SELECT grp, itemset, sup, n FROM items")
 add("sql_contains_items", *STRIP, last=f"SELECT grp, sum(weight)::bigint AS sup FROM pat WHERE mask & {1 << 1 | 1 << 20} = {1 << 1 | 1 << 20} GROUP BY 1")
+add("sql_union_of_sets", EVENT_UNITS, EVENT_TX, PATTERNS, last="SELECT grp, bit_or(mask) AS seen FROM pat GROUP BY 1")
 add("sql_submasks", EVENT_UNITS, EVENT_TX, PATTERNS, "sb AS (SELECT grp, weight, (1::bigint << a) | (1::bigint << b) AS submask FROM pat, range(25) x(a), range(25) y(b) WHERE a <= b AND (mask >> a) & 1 = 1 AND (mask >> b) & 1 = 1)", last="SELECT grp, submask, sum(weight)::bigint AS sup FROM sb GROUP BY 1, 2")

@@ -6,6 +6,7 @@ read from there; `forget` drops what a session has kept, so that a timing starts
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
@@ -13,19 +14,23 @@ from pyspark.sql import functions as F
 
 from copresence import sqlapi
 from copresence.functions import masks
-from copresence.model import Threshold, coarser, validate_transactions, validate_units
+from copresence.model import Threshold, coarser, remap_units, validate_transactions, validate_units
 from copresence.operators import agreement, clustering, inference, layout2d, mining, neighborhoods, profiles, report, sensitivity, transactions, validity
-from copresence.plans.shared import cut
+from copresence.plans.shared import bounded, cut
 from copresence.sources import workloads as data
 from copresence.streaming import patterns as stream
 
 TEN = Threshold.relative("10%")
 KS = list(range(2, 11))
 K = 7
-REPS = 20
+REPS = 500  # draws of features, as the method has it
 DRAW_SEED = 0
 STRIP_DISTANCES = [0, 10, 20, 40]
 RECT_DISTANCES = [0, 25, 50, 100, 150]
+ORDER_DAYS = [0, 60, 180, 365]
+EVENT_HOURS = [1, 3, 6, 12, 24]
+HOUR = 3_600_000_000
+PAGE_ITEMS = 3  # tags of a set of pages at most
 EPS = 1.2
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -76,8 +81,12 @@ def strip_many(s: SparkSession, d: str) -> DataFrame:
     return kept(s, d, "strip_many", lambda: mining.mine_many(strip_patterns(s, d), sensitivity.THRESHOLDS))
 
 
+def strip_groups(s: SparkSession, d: str) -> DataFrame:
+    return strip_patterns(s, d).select("grp").distinct()
+
+
 def strip_profile(s: SparkSession, d: str) -> DataFrame:
-    return profiles.profiles(strip_itemsets(s, d))
+    return kept(s, d, "strip_profile", lambda: profiles.keep_groups(profiles.profiles(strip_itemsets(s, d)), strip_groups(s, d)))
 
 
 def strip_unit_profile(s: SparkSession, d: str) -> DataFrame:
@@ -96,8 +105,12 @@ def strip_k(s: SparkSession, d: str, k: int = K) -> DataFrame:
     return strip_labels(s, d).filter(F.col("k") == k)
 
 
+def strip_stability(s: SparkSession, d: str) -> DataFrame:
+    return kept(s, d, "strip_stability", lambda: validity.stability(strip_profile(s, d), KS, REPS, seed=DRAW_SEED))
+
+
 def strip_criteria(s: SparkSession, d: str) -> DataFrame:
-    return kept(s, d, "strip_criteria", lambda: validity.criteria(strip_unit_profile(s, d), strip_dist(s, d), strip_labels(s, d), KS, REPS, DRAW_SEED))
+    return kept(s, d, "strip_criteria", lambda: validity.criteria(strip_unit_profile(s, d), strip_dist(s, d), strip_labels(s, d), strip_stability(s, d)))
 
 
 def order_tx(s: SparkSession, d: str) -> DataFrame:
@@ -220,16 +233,24 @@ def q_rect_tx_d150_tiles(s, d):
     return transactions.buffer_rect_by_tiles(data.rect_units(s, d), data.GAP)
 
 
+def _ring_tx(wkt: DataFrame, d: int) -> DataFrame:
+    return transactions.buffer_ring(wkt.select("grp", "unit_id", "bit", neighborhoods.parse_rings("wkt").alias("rings")), d)
+
+
 @query
 def q_ring_tx_d25(s, d):
-    wkt = neighborhoods.rect_as_wkt(data.rect_units(s, d))
-    return transactions.buffer_ring(wkt.select("grp", "unit_id", "bit", neighborhoods.parse_ring("wkt").alias("ring")), 25)
+    return _ring_tx(neighborhoods.rect_as_wkt(data.rect_units(s, d)), 25)
 
 
 @query
 def q_ring_tx_d150(s, d):
-    wkt = neighborhoods.rect_as_wkt(data.rect_units(s, d))
-    return transactions.buffer_ring(wkt.select("grp", "unit_id", "bit", neighborhoods.parse_ring("wkt").alias("ring")), data.GAP)
+    return _ring_tx(neighborhoods.rect_as_wkt(data.rect_units(s, d)), data.GAP)
+
+
+@query
+def q_ring_tx_holes_d5(s, d):
+    """Frames with holes: a unit may lie in another's hole, out of its reach."""
+    return _ring_tx(neighborhoods.frames_as_wkt(data.rect_units(s, d)), 5)
 
 
 @query
@@ -248,6 +269,38 @@ def q_buffer_calibration_strip(s, d):
     return c.select(F.col("d").cast("long").alias("d"), "n", "mean_len", "median_len", "max_len")
 
 
+@query
+def q_buffer_calibration_orders(s, d):
+    return transactions.lengths(data.order_masks(s, d, ORDER_DAYS), ORDER_DAYS)
+
+
+@query
+def q_buffer_calibration_events(s, d):
+    return transactions.calibration_instant(data.event_units(s, d), EVENT_HOURS, HOUR)
+
+
+@query
+def q_set_bag_audit_strip(s, d):
+    return transactions.set_bag_audit(neighborhoods.span_pairs(strip_units(s, d), data.REACH))
+
+
+@query
+def q_set_bag_audit_rect(s, d):
+    return transactions.set_bag_audit(neighborhoods.rect_pairs(rect_units(s, d), data.GAP))
+
+
+@query
+def q_engine_cost_rect(s, d):
+    """Rows on tiles, pairs before and after the exact test, and patterns left of the transactions."""
+    pats = rect_patterns(s, d).agg(F.count(F.lit(1)).alias("patterns"))
+    return neighborhoods.rect_cost(rect_units(s, d), data.GAP).crossJoin(pats)
+
+
+@query
+def q_level_sizes_strip(s, d):
+    return mining.level_sizes(strip_itemsets(s, d))
+
+
 @query
 def q_buffer_calibration_rect(s, d):
     c = transactions.calibration(neighborhoods.rect_pairs(data.rect_units(s, d), max(RECT_DISTANCES)), RECT_DISTANCES, "dist2", True)
@@ -377,7 +430,7 @@ def q_miner_discrepancies(s, d):
 @query
 def q_support_of_given_sets(s, d):
     given = strip_itemsets(s, d).select("itemset").distinct().withColumn("k", F.bit_count("itemset")).filter("k = 2").select("itemset")
-    every = strip_patterns(s, d).select("grp").distinct().crossJoin(F.broadcast(given))
+    every = strip_groups(s, d).crossJoin(bounded(given, mining.MOST_SETS, "pairs of classes"))
     return mining.support(strip_patterns(s, d), every)
 
 
@@ -407,6 +460,18 @@ def q_monotonicity_violations(s, d):
     return mining.monotone_violations(strip_itemsets(s, d)).agg(F.count(F.lit(1)).alias("violations"))
 
 
+@query
+def q_top_itemsets_every_group(s, d):
+    top = mining.top_itemsets(strip_itemsets(s, d), hide=1 << data.ROAD_BIT)
+    return top.select("grp", "itemset", "sup", "n", F.expr("(200 * sup + n) DIV (2 * n)").alias("percent"), F.col("rank").cast("long").alias("rank"))
+
+
+@query
+def q_top_itemsets_orders(s, d):
+    top = mining.top_itemsets(mining.mine(order_patterns(s, d), TEN))
+    return top.select("grp", "itemset", "sup", "n", F.expr("(200 * sup + n) DIV (2 * n)").alias("percent"), F.col("rank").cast("long").alias("rank"))
+
+
 @query
 def q_top_itemsets_one_group(s, d):
     big = mining.totals(strip_patterns(s, d)).orderBy(F.desc("n"), "grp").limit(1).select("grp")
@@ -534,14 +599,13 @@ def q_feature_draws(s, d):
 
 @query
 def q_stability_by_k(s, d):
-    t = validity.stability(strip_profile(s, d), KS, REPS, seed=DRAW_SEED)
-    return t.select(F.col("k").cast("long").alias("k"), r6("stability").alias("stability"), r6("sd").alias("sd"))
+    return strip_stability(s, d).select(F.col("k").cast("long").alias("k"), r6("stability").alias("stability"), r6("sd").alias("sd"))
 
 
 @query
 def q_stability_500(s, d):
-    """The full number of repetitions."""
-    t = validity.stability(strip_profile(s, d), KS, 500, seed=DRAW_SEED)
+    """The same from the tables on, for timing."""
+    t = validity.stability(strip_profile(s, d), KS, REPS, seed=DRAW_SEED)
     return t.select(F.col("k").cast("long").alias("k"), r6("stability").alias("stability"), r6("sd").alias("sd"))
 
 
@@ -641,6 +705,22 @@ for _name in sensitivity.VARIANTS:
     QUERIES[f"variant_{_name}"] = _variant(_name)
 
 
+@query
+def q_degenerate_groups(s, d):
+    """Groups that a variant leaves without any feature; they stay in its profile as rows of zeros."""
+    base = strip_profile(s, d)
+    high = strip_many(s, d).filter(F.col("threshold") == Threshold.relative("15%").label)
+    cases = {"artificial_only": profiles.only_artificial(base, data.STRIP), "no_road": profiles.without_class(base, data.ROAD_BIT), "15%": profiles.profiles(high)}
+    rows = [profiles.with_absent_groups(p, strip_groups(s, d)).select(F.lit(name).alias("variant"), "grp", "degenerate") for name, p in cases.items()]
+    return reduce(DataFrame.unionByName, rows)
+
+
+@query
+def q_explained_variance(s, d):
+    t = sensitivity.explained_variance(strip_unit_profile(s, d))
+    return t.select("share", "components", r6("reached").alias("reached"))
+
+
 @query
 def q_sensitivity_table(s, d):
     t = sensitivity.sensitivity_table(strip_patterns(s, d), strip_itemsets(s, d), data.STRIP, data.ROAD_BIT, K)
@@ -684,6 +764,21 @@ def q_neighbour_overlap_plane(s, d):
     return layout2d.neighbour_overlap(strip_dist(s, d), layout2d.layout_distances(_plane(s, d))).select(r6("overlap").alias("overlap"))
 
 
+@query
+def q_layout_metrics_plane(s, d):
+    """All five measures on the plane of two classes."""
+    t = layout2d.layout_metrics(_plane(s, d), strip_dist(s, d), strip_k(s, d), K)
+    return t.select(*[r6(c).alias(c) for c in ("trustworthiness", "overlap", "spearman", "ari", "nmi")])
+
+
+@query
+def q_layout_metrics_vectors(s, d):
+    """The 54 layouts of the vectors, which hold no clusters."""
+    unit = profiles.l2(data.vector_profile(s, d))
+    dist, own = cut(profiles.pairwise(unit)), clustering.labels(unit, [K])
+    return layout2d.layout_metrics(cut(layout2d.layout_grid(unit)), dist, cut(own), K)
+
+
 @query
 def q_layout_metrics(s, d):
     grid = kept(s, d, "layout_grid", lambda: layout2d.layout_grid(strip_unit_profile(s, d)))
@@ -723,7 +818,8 @@ def q_kruskal_h(s, d):
 @query
 def q_holm_adjusted(s, d):
     t = inference.kruskal(_values(s, d)).withColumn("p", inference.chi2_p())
-    return inference.holm(t).select("measure", "h", "df", "p", "adjusted", F.lit(True).alias("exploratory"))
+    places = lambda c: F.round(c, 9).alias(c)
+    return inference.holm(t).select("measure", r6("h").alias("h"), "df", places("p"), places("adjusted"), F.lit(True).alias("exploratory"))
 
 
 @query
@@ -755,7 +851,7 @@ def q_cramers_v_orders_null(s, d):
     """No structure is expected here: orders are drawn alike in all nations."""
     labelled = clustering.labels(profiles.l2(profiles.profiles(mining.mine(order_patterns(s, d), TEN))), [K])
     pairs = labelled.select("grp", F.col("cluster").cast("string").alias("v")).join(data.nation_blocks(s, d).select("grp", F.col("block").alias("u")), "grp")
-    return inference.cramers_v_permutation(pairs, 500)
+    return inference.cramers_v_permutation(pairs, 5000).select(r6("v").alias("v"), r6("p").alias("p"))
 
 
 # ---- the aggregate baseline
@@ -796,6 +892,50 @@ def q_group_cube(s, d):
     return t.cube("block", "theme").agg(F.count(F.lit(1)).alias("n"))
 
 
+@query
+def q_coarse_itemsets_strip(s, d):
+    """Units by theme instead of class, then transactions and mining."""
+    units, _ = remap_units(strip_units(s, d), data.STRIP, 1)
+    return itemset_rows(mining.mine(transactions.patterns(transactions.buffer_span(units, data.REACH)), TEN))
+
+
+@query
+def q_approximate_patterns(s, d):
+    """Whether the sketch's number of distinct patterns is within a tenth of the true one."""
+    t = strip_tx(s, d).groupBy("grp").agg(F.approx_count_distinct("mask", 0.02).alias("about"), F.count_distinct("mask").alias("true"))
+    return t.select("grp", (F.abs(F.col("about") - F.col("true")) <= F.greatest(F.lit(2), F.col("true") / 10)).alias("near"))
+
+
+@query
+def q_support_quartiles(s, d):
+    w = W.partitionBy("grp").orderBy("sup", "itemset")
+    return strip_itemsets(s, d).select("grp", "itemset", F.ntile(4).over(w).cast("long").alias("quartile"), r6(F.percent_rank().over(W.partitionBy("grp").orderBy("sup"))).alias("percent_rank"))
+
+
+@query
+def q_nearest_words_tx(s, d):
+    """Another buffer: the two words before and the two after, by a row frame."""
+    near = W.partitionBy("part").orderBy("lo").rowsBetween(-2, 2)
+    return transactions.patterns(strip_units(s, d).select("grp", masks.fold(masks.bit_mask("bit")).over(near).alias("mask")))
+
+
+@query
+def q_map_dot_products(s, d):
+    """Products of each group's profile with that of the first group, on maps."""
+    m = profiles.as_maps(strip_profile(s, d))
+    first = m.orderBy("grp").limit(1).select(F.col("profile").alias("other"))
+    both = F.map_zip_with("profile", "other", lambda _, a, b: F.coalesce(a, F.lit(0.0)) * F.coalesce(b, F.lit(0.0)))
+    return m.crossJoin(F.broadcast(first)).select("grp", r6(F.aggregate(F.map_values(both), F.lit(0.0), lambda a, v: a + v)).alias("dot"))
+
+
+@query
+def q_sample_by_language(s, d):
+    """Stratified sampling of the units: all of one language, none of the others."""
+    langs = [r["block"] for r in data.strip_blocks(s, d).select("block").distinct().limit(64).collect()]
+    u = strip_units(s, d).join(data.strip_blocks(s, d), "grp").sampleBy("block", {b: float(b == "en") for b in langs if b is not None}, seed=1)
+    return u.groupBy("grp").agg(F.count(F.lit(1)).alias("n"))
+
+
 @query
 def q_union_features(s, d):
     return mining.union_features(strip_itemsets(s, d))
@@ -836,7 +976,7 @@ def q_semi_groups_with_set(s, d):
 @query
 def q_anti_missing_features(s, d):
     f = strip_itemsets(s, d)
-    every = f.select("grp").distinct().crossJoin(F.broadcast(f.select("itemset").distinct().filter(F.bit_count("itemset") == 1)))
+    every = f.select("grp").distinct().crossJoin(F.broadcast(f.select("itemset").distinct().filter(F.bit_count("itemset") == 1)))  # a class each: 63 at most
     return every.join(f, ["grp", "itemset"], "left_anti")
 
 
@@ -851,11 +991,18 @@ def q_json_code_source(s, d):
 
 @query
 def q_page_tag_itemsets(s, d):
-    pats, book = mining.encode_items(data.page_transactions(s, d), Threshold.relative("10%"))
-    found = mining.mine(cut(pats), Threshold.relative("50%"))
-    name = F.array_join(F.array_sort(F.collect_list("item")), " ")
-    bits = found.select("grp", "itemset", "sup", "n", F.explode(masks.bits("itemset")).alias("bit"))
-    return bits.join(book, ["grp", "bit"]).groupBy("grp", "itemset", "sup", "n").agg(name.alias("tags")).select("grp", "tags", "sup", "n")
+    """Sets of up to three of all tag names, whatever their number."""
+    found = mining.mine_wide(data.page_transactions(s, d), TEN, PAGE_ITEMS)
+    return found.select("grp", F.array_join("items", " ").alias("tags"), "sup", "n")
+
+
+@query
+def q_page_tag_masks(s, d):
+    """Tags that at least nine in ten pages of a host have, as masks of the host's own alphabet."""
+    share = Threshold.relative("90%")
+    pats, book = mining.encode_items(data.page_transactions(s, d), share)
+    single = mining.singles(pats).join(mining.totals(pats), "grp")
+    return single.join(book, ["grp", "bit"]).select("grp", F.col("item").alias("tag"), "sup", "n")
 
 
 @query
@@ -915,6 +1062,13 @@ def q_stream_patterns(s, d):
     return transactions.patterns(out)
 
 
+@query
+def q_stream_closed_transactions(s, d):
+    """Transactions of the focal events whose reach the watermark has passed."""
+    with stream.keyed_state(s):
+        return stream.to_memory(stream.closed_transactions(_stream(s, d), data.HOURS * HOUR, "1 hour"), "append").select("part", "unit_id", "mask")
+
+
 # ---- SQL surface
 
 
@@ -932,6 +1086,13 @@ def q_sql_contains_items(s, d):
     return s.sql(f"SELECT grp, sum(weight) AS sup FROM strip_patterns WHERE contains_items(mask, {1 << 1 | 1 << 20}L) GROUP BY grp")
 
 
+@query
+def q_sql_union_of_sets(s, d):
+    sqlapi.register(s)
+    event_patterns(s, d).createOrReplaceTempView("event_patterns")
+    return s.sql("SELECT grp, union_of_sets(mask) AS seen FROM event_patterns GROUP BY grp")
+
+
 @query
 def q_sql_submasks(s, d):
     sqlapi.register(s)

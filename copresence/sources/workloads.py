@@ -60,16 +60,21 @@ def part_bit() -> Column:
 
 
 def order_transactions(spark: SparkSession, sf_dir: str, days: int = DAYS) -> DataFrame:
-    """An order's set: classes of the lines of all orders of its customer within `days`; orders with none are left out.
+    """An order's set: classes of the lines of all orders of its customer within `days`; orders with none are left out."""
+    return order_masks(spark, sf_dir, [days]).select("grp", "unit_id", F.col(f"d{days}").alias("mask")).filter("mask IS NOT NULL AND mask <> 0")
 
-    Orders of a customer are few; the lines are first folded to one mask an order, so the time window is a range frame
-    over orders and no pair is made."""
+
+def order_masks(spark: SparkSession, sf_dir: str, distances: list[int]) -> DataFrame:
+    """grp, unit_id and a mask d<days> for each number of days.
+
+    Orders of a customer are few; the lines are first folded to one mask an order, so the time windows are range frames
+    over orders, by one sort, and no pair is made."""
     lines = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey").join(read(spark, sf_dir, "part").select("p_partkey", part_bit().alias("bit")), F.col("l_partkey") == F.col("p_partkey"))
     sets = lines.groupBy("l_orderkey").agg(fold(bit_mask("bit")).alias("own"))
     orders = read(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", F.datediff("o_orderdate", F.lit("1970-01-01").cast("date")).alias("day"))
     o = orders.join(sets, F.col("o_orderkey") == F.col("l_orderkey"), "left").join(read(spark, sf_dir, "customer").select("c_custkey", "c_nationkey"), F.col("o_custkey") == F.col("c_custkey"))
-    near = W.partitionBy("o_custkey").orderBy("day").rangeBetween(-days, days)
-    return o.select(F.col("c_nationkey").cast("string").alias("grp"), F.col("o_orderkey").alias("unit_id"), fold("own").over(near).alias("mask")).filter("mask IS NOT NULL AND mask <> 0")
+    near = lambda days: W.partitionBy("o_custkey").orderBy("day").rangeBetween(-days, days)
+    return o.select(F.col("c_nationkey").cast("string").alias("grp"), F.col("o_orderkey").alias("unit_id"), *[fold("own").over(near(n)).alias(f"d{n}") for n in distances])
 
 
 def nation_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -112,12 +117,15 @@ def village(spark: SparkSession) -> tuple[DataFrame, DataFrame]:
     return units, pairs
 
 
-def page_transactions(spark: SparkSession, sf_dir: str, over: int = 2) -> DataFrame:
-    """Pages: the set of tag names that a page uses more than `over` times (general alphabet), group by host."""
+def page_transactions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pages: the set of all tag names of a page (general alphabet), group by host."""
     tags = F.transform(F.regexp_extract_all("html", F.lit("<([a-zA-Z][a-zA-Z0-9]*)"), F.lit(1)), lambda t: F.lower(t))
-    often = lambda t: F.size(F.filter("tags", lambda x: x == t)) > over
-    pages = read(spark, sf_dir, "pages").select(F.regexp_extract("url", "^[a-z]+://([^/]+)", 1).alias("grp"), F.col("page_id").alias("unit_id"), tags.alias("tags"))
-    return pages.select("grp", "unit_id", F.array_sort(F.filter(F.array_distinct("tags"), often)).alias("items"))
+    return read(spark, sf_dir, "pages").select(F.regexp_extract("url", "^[a-z]+://([^/]+)", 1).alias("grp"), F.col("page_id").alias("unit_id"), F.array_sort(F.array_distinct(tags)).alias("items"))
+
+
+def vector_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The vectors as profiles (feature = dimension), a group each: no clusters are expected."""
+    return read(spark, sf_dir, "embeddings").select(F.format_string("%08d", F.col("vec_id").cast("long")).alias("grp"), F.posexplode("embedding").alias("feature", "value")).select("grp", F.col("feature").cast("long").alias("feature"), F.col("value").cast("double").alias("value"))
 
 
 def conversation_transactions(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StringType, StructField, StructType
@@ -42,11 +43,17 @@ class MineItemsets:
                 yield self.grp, int(s), int(c), int(n)
 
 
+def union_of(mask: pd.Series) -> int:
+    """Grouped aggregate: union of the sets of a group."""
+    return int(np.bitwise_or.reduce(mask.to_numpy(np.int64))) if len(mask) else 0
+
+
 def register(spark: SparkSession) -> None:
     """Make the functions known to the session's SQL."""
     ship(spark)
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION contains_items(mask BIGINT, items BIGINT) RETURNS BOOLEAN RETURN (mask & items) = items")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION set_size(mask BIGINT) RETURNS INT RETURN bit_count(mask)")
+    spark.udf.register("union_of_sets", F.pandas_udf(union_of, "long", F.PandasUDFType.GROUPED_AGG))
     spark.udtf.register("submasks", F.udtf(Submasks, returnType="submask bigint"))
     mined = StructType([StructField("grp", StringType()), StructField("itemset", LongType()), StructField("sup", LongType()), StructField("n", LongType())])
     spark.udtf.register("mine_itemsets", F.udtf(MineItemsets, returnType=mined))

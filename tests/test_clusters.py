@@ -1,10 +1,13 @@
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from copresence.operators import agreement, clustering, inference, layout2d, profiles, report, sensitivity, validity
+from copresence.model import Classes, Threshold
+from copresence.operators import agreement, clustering, inference, layout2d, mining, profiles, report, sensitivity, validity
 
 from .reference import brute
 
@@ -30,6 +33,193 @@ def test_ward_against_sums_of_squares(seed):
         assert len(set(clustering.labels_at(m, 14, k))) == k
 
 
+@pytest.mark.parametrize("method", ["ward", "average"])
+def test_linkage_against_whole_searches(method):
+    for seed in range(4):
+        rng = np.random.default_rng(seed)
+        x = rng.integers(0, 4, (40, 3)).astype(float) + 0.5 if seed % 2 else rng.random((40, 6))  # many ties; none
+        got, want = clustering.linkage(x, method), plain_linkage(x, method)
+        assert [tuple(map(int, r[[0, 1, 3]])) for r in got] == [(a, b, n) for a, b, _, n in want] and np.allclose(got[:, 2], [h for _, _, h, _ in want], atol=1e-9)
+
+
+def plain_linkage(x, method):
+    """Merges by searching all pairs of clusters each time, from the points themselves."""
+    members, name, out = {i: [i] for i in range(len(x))}, {i: i for i in range(len(x))}, []
+    u = x / np.linalg.norm(x, axis=1, keepdims=True)
+
+    def cost(p, q):
+        if method == "average":
+            return float(np.mean([1 - u[i] @ u[j] for i in p for j in q]))
+        gap = x[p].mean(0) - x[q].mean(0)
+        return float(gap @ gap) * len(p) * len(q) / (len(p) + len(q))
+
+    costs = {(a, b): cost(members[a], members[b]) for a in members for b in members if a < b}
+    while len(members) > 1:
+        a, b = min(costs, key=lambda p: (round(costs[p], 10), p))
+        c = costs[a, b]
+        members[a] = members[a] + members.pop(b)
+        out.append((name[a], name[b], np.sqrt(2 * c) if method == "ward" else c, len(members[a])))
+        name[a] = len(x) + len(out) - 1
+        costs = {p: v for p, v in costs.items() if b not in p}
+        costs |= {(min(a, o), max(a, o)): cost(members[a], members[o]) for o in members if o != a}
+    return out
+
+
+def plain_labels(x, k, method="ward"):
+    m = plain_linkage(x, method)
+    inside = {i: [i] for i in range(len(x))}
+    for t, (a, b, *_) in enumerate(m[: len(x) - k]):
+        inside[len(x) + t] = inside.pop(a) + inside.pop(b)
+    out = np.zeros(len(x), int)
+    for c, part in enumerate(sorted(inside.values(), key=min)):
+        out[part] = c
+    return out
+
+
+def unit_rows(x):
+    norm = np.linalg.norm(x, axis=1, keepdims=True)
+    return np.divide(x, norm, out=np.zeros_like(x), where=norm > 0)
+
+
+def ranks(v):
+    v = np.round(v, 10)
+    return np.array([(v < y).sum() + ((v == y).sum() + 1) / 2 for y in v])
+
+
+def pair_distances(x):
+    return np.array([np.linalg.norm(x[i] - x[j]) for i in range(len(x)) for j in range(i + 1, len(x))])
+
+
+def plain_stability(x, features, ks, reps, seed):
+    """Mean ARI by k: draws by digest order, trees by searching all pairs."""
+    full = {k: plain_labels(unit_rows(x), k) for k in ks}
+    got = {k: [] for k in ks}
+    for rep in range(reps):
+        order = sorted(range(len(features)), key=lambda i: (hashlib.md5(f"{seed}|{rep}|{features[i]}".encode()).hexdigest(), features[i]))
+        own = unit_rows(x[:, sorted(order[: int(0.8 * len(features))])])
+        for k in ks:
+            got[k].append(brute.rand_index(full[k], plain_labels(own, k)))
+    return {k: (np.mean(v), np.std(v)) for k, v in got.items()}
+
+
+def test_stability_and_choice_against_plain_versions(spark, points):
+    p, ks = frame(spark, points), [2, 3, 4]
+    features = sorted(j for j in range(points.shape[1]) if points[:, j].any())
+    want = plain_stability(points[:, features], features, ks, 12, 5)
+    stable = validity.stability(p, ks, 12, seed=5).persist()
+    for r in stable.collect():
+        assert (r["stability"], r["sd"]) == pytest.approx(want[r["k"]])
+    unit = profiles.l2(p)
+    lab = clustering.labels(unit, ks).persist()
+    ranked = validity.criteria(unit, profiles.pairwise(unit), lab, stable).persist()
+    rows = {r["k"]: r for r in ranked.collect()}
+    x = unit_rows(points)
+    d = np.sqrt(((x[:, None] - x[None]) ** 2).sum(2))
+    criteria = {k: [] for k in ks}
+    for k in ks:
+        u = plain_labels(x, k)
+        cents = np.array([x[u == c].mean(0) for c in range(k)])
+        within = sum(((x[u == c] - cents[c]) ** 2).sum() for c in range(k))
+        between = sum((u == c).sum() * ((cents[c] - x.mean(0)) ** 2).sum() for c in range(k))
+        spread = [np.linalg.norm(x[u == c] - cents[c], axis=1).mean() for c in range(k)]
+        bouldin = np.mean([max((spread[i] + spread[j]) / np.linalg.norm(cents[i] - cents[j]) for j in range(k) if j != i) for i in range(k)])
+        criteria[k] = [-brute.silhouette(d, u), -between / (k - 1) / (within / (len(x) - k)), bouldin, -want[k][0]]
+    mean = np.mean([ranks(np.array([criteria[k][c] for k in ks])) for c in range(4)], 0)
+    for k, m in zip(ks, mean, strict=True):
+        assert rows[k]["mean_rank"] == pytest.approx(m)
+    assert validity.choose_k(ranked).first()["k"] == ks[int(np.argmin(np.round(mean, 9)))]
+
+
+def test_components_variant_against_a_plain_version(spark, points):
+    items = spark.createDataFrame([(f"g{i:02d}", 1 << j, int(100 * v / points.max()), 100) for i, row in enumerate(points) for j, v in enumerate(row) if int(100 * v / points.max())], "grp string, itemset long, sup long, n long")
+    items = items.withColumn("rel", F.col("sup") / F.col("n")).persist()
+    patterns = items.select("grp", F.col("itemset").alias("mask"), F.col("sup").alias("weight"))
+    x = unit_rows(np.floor(100 * points / points.max()) / 100)
+    for name, share in (("pca90", 0.9), ("pca95", 0.95)):
+        got = sensitivity.variant_report(name, patterns, items, None, 0, 4).first()
+        c = x - x.mean(0)
+        u, s, _ = np.linalg.svd(c, full_matrices=False)
+        m = int(np.flatnonzero(np.cumsum(s**2) / (s**2).sum() >= share - 1e-12)[0]) + 1
+        scores = u[:, :m] * s[:m]
+        assert got["features"] == m
+        assert got["ari"] == pytest.approx(brute.rand_index(plain_labels(scores, 4), plain_labels(x, 4)))
+        assert got["spearman"] == pytest.approx(np.corrcoef(ranks(pair_distances(scores)), ranks(pair_distances(x)))[0, 1])
+        kept = sensitivity.explained_variance(profiles.l2(profiles.profiles(items)), (share,)).first()
+        assert kept["components"] == m and kept["reached"] == pytest.approx((s[:m] ** 2).sum() / (s**2).sum())
+
+
+def test_groups_without_features_stay(spark):
+    classes = Classes((1, 1, 2))
+    rows = [("a", 0b001, 60), ("a", 0b010, 40), ("b", 0b001, 50), ("b", 0b011, 50), ("c", 0b100, 90), ("c", 0b001, 5), ("d", 0b010, 70), ("d", 0b001, 30)]
+    patterns = spark.createDataFrame(rows, "grp string, mask long, weight long")
+    items = mining.mine(patterns, Threshold.relative("10%")).persist()
+    profile, method, metric = sensitivity.variant_profile("artificial_only", items, classes, 0, patterns)
+    assert {r["grp"] for r in profile.collect()} == {"a", "b", "c", "d"} and {r["grp"] for r in clustering.labels(profile, [2], method).collect()} == {"a", "b", "c", "d"}
+    lost = {r["grp"]: r["degenerate"] for r in profiles.with_absent_groups(profiles.only_artificial(profiles.profiles(items), classes), patterns).collect()}
+    assert lost == {"a": False, "b": False, "c": True, "d": False}
+    d = {(r["a"], r["b"]): r["d"] for r in profiles.pairwise(profile, metric).collect()}
+    assert len(d) == 6 and d["a", "c"] == pytest.approx(1) and d["c", "d"] == pytest.approx(1)
+    report_row = sensitivity.variant_report("artificial_only", patterns, items, classes, 0, 2).first()
+    assert report_row["features"] == 3
+    both = sensitivity.threshold_sensitivity(patterns, 2, ["10%", "95%"]).collect()  # one set reaches 95 %, in one group
+    assert {r["threshold"]: r["features"] for r in both}["95%"] == 1 and len(both) == 2
+    empty = profiles.keep_groups(profiles.profiles(items.limit(0)), patterns)
+    assert {(r["grp"], r["value"]) for r in empty.collect()} == {(g, 0.0) for g in "abcd"}
+
+
+def test_order_of_leaves_and_heatmap(spark, points):
+    p = frame(spark, points)
+    order = {r["grp"]: r["place"] for r in clustering.leaf_order(p).collect()}
+    m = plain_linkage(points, "ward")
+
+    def leaves(node):
+        if node < len(points):
+            return [node]
+        parts = [leaves(c) for c in m[node - len(points)][:2]]
+        return [leaf for part in sorted(parts, key=min) for leaf in part]
+
+    assert [order[f"g{i:02d}"] for i in leaves(2 * len(points) - 2)] == list(range(len(points)))
+    cells = clustering.heatmap(profiles.pairwise(p), clustering.leaf_order(p)).collect()
+    assert len(cells) == len(points) * (len(points) - 1)
+    for r in cells:
+        assert (r["row"], r["col"]) == (order[r["a"]], order[r["b"]]) and r["d"] == pytest.approx(np.linalg.norm(points[int(r["a"][1:])] - points[int(r["b"][1:])]), abs=1e-6)
+
+
+def test_layout_measures_against_plain_versions(spark, points):
+    rng = np.random.default_rng(2)
+    planes = {0: rng.random((18, 2)), 1: points[:, :2]}
+    coords = spark.createDataFrame([(run, f"g{i:02d}", float(a), float(b)) for run, y in planes.items() for i, (a, b) in enumerate(y)], "run int, grp string, x double, y double")
+    lab = plain_labels(points, 3)
+    labelled = spark.createDataFrame([(f"g{i:02d}", int(c)) for i, c in enumerate(lab)], "grp string, cluster int")
+    got = {r["run"]: r for r in layout2d.layout_metrics(coords, profiles.pairwise(frame(spark, points)), labelled, 3, near=4).collect()}
+    near = lambda z: [sorted((round(float(np.linalg.norm(z[i] - z[j])), 10), j) for j in range(18) if j != i) for i in range(18)]
+    high = near(points)
+    for run, y in planes.items():
+        low, k = near(y), 4
+        over = sum(max(0, [j for _, j in high[i]].index(b) + 1 - k) for i in range(18) for _, b in low[i][:k])
+        assert got[run]["trustworthiness"] == pytest.approx(1 - 2 * over / (18 * k * (2 * 18 - 3 * k - 1)))
+        assert got[run]["overlap"] == pytest.approx(np.mean([len({j for _, j in low[i][:k]} & {j for _, j in high[i][:k]}) / k for i in range(18)]))
+        assert got[run]["spearman"] == pytest.approx(np.corrcoef(ranks(pair_distances(y)), ranks(pair_distances(points)))[0, 1])
+        assert got[run]["ari"] == pytest.approx(brute.rand_index(plain_labels(y, 3), lab))
+
+
+def test_ranks_over_ranges(spark):
+    rng = np.random.default_rng(9)
+    x, y = rng.integers(0, 30, 400) / 7, rng.random(400)
+    names = [(f"a{i:03d}", f"b{i:03d}") for i in range(400)]
+    one, two = (spark.createDataFrame([(*n, float(v)) for n, v in zip(names, w, strict=True)], "a string, b string, d double") for w in (x, y))
+    assert agreement.distance_spearman(one, two).first()["spearman"] == pytest.approx(np.corrcoef(ranks(x), ranks(y))[0, 1])
+    assert agreement.distance_spearman(one, one).first()["spearman"] == pytest.approx(1)
+
+
+def test_what_is_sent_to_every_task_is_bounded(spark):
+    from copresence.plans.shared import bounded
+
+    assert bounded(spark.range(5), 5, "rows").count() == 5
+    with pytest.raises(ValueError):
+        bounded(spark.range(6), 5, "rows")
+
+
 def test_ties_duplicates_and_small_inputs():
     x = np.array([[0.0], [1], [2], [3], [3]])
     assert [tuple(map(int, r[:2])) for r in clustering.linkage(x)][:2] == [(3, 4), (0, 1)]
@@ -100,8 +290,8 @@ def test_components_keep_the_variance(points):
     c = points - points.mean(0)
     total = (c**2).sum()
     for share in (0.9, 0.95):
-        s = sensitivity._pca(points, share)
-        assert (s**2).sum() / total >= share
+        s, reached = sensitivity._pca(points, share)
+        assert (s**2).sum() / total == pytest.approx(reached[-1]) and reached[-1] >= share and len(reached) == s.shape[1]
         assert s.shape[1] == 1 or (s[:, :-1] ** 2).sum() / total < share
 
 

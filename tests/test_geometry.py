@@ -35,19 +35,72 @@ def test_rectangles_against_nested_loops(rects, d):
     pairs = near.rect_pairs(units, d, side=17)
     assert pairs.count() == pairs.select("focal_id", "other_id").distinct().count() == sum(q[0] == p[0] and gap2(p, q) <= d * d for p in rows for q in rows)
     if d:
-        assert as_dict(transactions.buffer_rect_by_tiles(units, d)) == want
-    rings = near.rect_as_wkt(units).select("grp", "unit_id", "bit", near.parse_ring("wkt").alias("ring"))
+        for dense_above in (0, 7, 10**6):  # all focal units by cells, some, none
+            assert as_dict(transactions.buffer_rect_by_tiles(units, d, dense_above=dense_above)) == want
+    rings = near.rect_as_wkt(units).select("grp", "unit_id", "bit", near.parse_rings("wkt").alias("rings"))
     assert as_dict(transactions.buffer_ring(rings, d)) == want
 
 
 def test_distance_of_rings():
     square = lambda x, y, s: np.array([(x, y), (x + s, y), (x + s, y + s), (x, y + s)], float)
-    assert near.ring_distance2(square(0, 0, 10), square(3, 3, 2)) == 0  # one inside the other
-    assert near.ring_distance2(square(0, 0, 10), square(10, 0, 5)) == 0  # touching
-    assert near.ring_distance2(square(0, 0, 10), square(13, 14, 5)) == 25
+    apart = lambda *shapes: near.ring_distance2(*[s if isinstance(s, list) else [s] for s in shapes])
+    assert apart(square(0, 0, 10), square(3, 3, 2)) == 0  # one inside the other
+    assert apart(square(0, 0, 10), square(10, 0, 5)) == 0  # touching
+    assert apart(square(0, 0, 10), square(13, 14, 5)) == 25
     ell = np.array([(0, 0), (10, 0), (10, 2), (2, 2), (2, 10), (0, 10)], float)
-    assert near.ring_distance2(ell, square(5, 5, 2)) == 9  # in the notch, outside the shape
-    assert near.ring_distance2(np.array([(0, 0), (4, 4), (4, 0)], float), np.array([(0, 4), (1, 4), (4, -1), (3, -1)], float)) == 0  # crossing edges
+    assert apart(ell, square(5, 5, 2)) == 9  # in the notch, outside the shape
+    assert apart(np.array([(0, 0), (4, 4), (4, 0)], float), np.array([(0, 4), (1, 4), (4, -1), (3, -1)], float)) == 0  # crossing edges
+    holed = [square(0, 0, 100), square(10, 10, 80)]
+    assert apart(holed, square(48, 48, 2)) == apart(square(48, 48, 2), holed) == 38**2  # in the hole
+    assert apart(holed, square(2, 2, 3)) == 0 and apart(holed, [square(10, 10, 80)]) == 0  # in the rim; filling the hole
+    assert apart(holed, [*holed[:1], *holed[1:]]) == 0 and apart(holed, square(-20, -20, 200)) == 0  # itself; around it
+    parts = [square(0, 0, 2), square(50, 50, 2)]
+    assert apart(parts, square(55, 50, 2)) == 9 and apart(parts, square(51, 51, 9)) == 0
+    island = [*holed, square(45, 45, 10)]  # a part in the hole of another
+    assert apart(island, square(57, 45, 2)) == 4 and apart(island, square(46, 46, 1)) == 0
+
+
+def cells_of(rings):
+    """The unit cells inside, by the even-odd rule at their middles (rings have whole-number, upright edges)."""
+    out = set()
+    for x in range(-5, 60):
+        for y in range(-5, 60):
+            odd = 0
+            for r in rings:
+                for (x1, y1), (x2, y2) in zip(r, r[1:] + r[:1], strict=True):
+                    odd += x1 == x2 and x1 > x + 0.5 and min(y1, y2) < y + 0.5 < max(y1, y2)
+            if odd % 2:
+                out.add((x, y))
+    return out
+
+
+def test_rings_against_cells(spark):
+    r = random.Random(12)
+    box = lambda x0, y0, x1, y1: [(x0, y0), (x1, y0), (x1, y1), (x0, y1)]
+
+    def shape():
+        x, y, w, h = r.randrange(30), r.randrange(30), r.randrange(3, 25), r.randrange(3, 25)
+        rings = [box(x, y, x + w, y + h)]
+        if r.random() < 0.6 and min(w, h) > 5:
+            rings.append(box(x + 1, y + 1, x + w - 1, y + h - 1))  # a hole
+            if r.random() < 0.4 and min(w, h) > 9:
+                rings.append(box(x + 3, y + 3, x + 5, y + 5))  # a part in the hole
+        if r.random() < 0.3:
+            rings.append(box(x + w + 2, y, x + w + 4, y + 3))  # another part
+        return rings
+
+    shapes = {i: shape() for i in range(40)}
+    text = lambda rings: "MULTIPOLYGON ((" + "), (".join("(" + ", ".join(f"{a} {b}" for a, b in [*g, g[0]]) + ")" for g in rings) + "))"
+    rows = [("g", i, text(s), i % 7) for i, s in shapes.items()]
+    rows += [("g", 100, "POLYGON EMPTY", 3), ("g", 101, None, 4), ("g", 102, "MULTIPOLYGON EMPTY", 5), ("g", 103, "POLYGON ((0 0, x 1, 2 2))", 6)]
+    units = spark.createDataFrame(rows, "grp string, unit_id long, wkt string, bit int").select("grp", "unit_id", "bit", near.parse_rings("wkt").alias("rings"))
+    cells = {i: cells_of(s) for i, s in shapes.items()}
+    gap = lambda p, q: min(max(0, abs(a - c) - 1) ** 2 + max(0, abs(b - d) - 1) ** 2 for a, b in p for c, d in q)
+    edge = {i: {c for c in s if not {(c[0] + 1, c[1]), (c[0] - 1, c[1]), (c[0], c[1] + 1), (c[0], c[1] - 1)} <= s} for i, s in cells.items()}
+    for d in (0, 2):
+        want = {i: sum(1 << b for b in {j % 7 for j in cells if cells[i] & cells[j] or gap(edge[i], edge[j]) <= d * d}) for i in cells}
+        got = {x["unit_id"]: x["mask"] for x in transactions.buffer_ring(units, d).collect()}
+        assert got == want | {100: 1 << 3, 101: 1 << 4, 102: 1 << 5, 103: 1 << 6}
 
 
 def test_wider_buffers_only_add(rects):
@@ -65,8 +118,20 @@ def test_spans_and_instants(spark):
         assert {x["unit_id"]: x["mask"] for x in f(units, 20).collect()} == want
 
 
+def test_cost_and_audit(rects):
+    rows, units = rects
+    c = near.rect_cost(units, 25).first()
+    pairs = [(p, q) for p in rows for q in rows if p[0] == q[0] and gap2(p, q) <= 625]
+    assert c["units"] == 160 and c["pairs"] == len(pairs) and c["pairs"] <= c["candidates"] <= c["focal_rows"] * c["other_rows"]
+    got = {r["grp"]: r for r in transactions.set_bag_audit(near.rect_pairs(units, 25)).collect()}
+    for g in ("g0", "g1"):
+        own = [[q[6] for p2, q in pairs if p2 is p] for p in rows if p[0] == g]
+        assert (got[g]["transactions"], got[g]["neighbours"], got[g]["classes"]) == (len(own), sum(len(x) - 1 for x in own), sum(len(set(x)) for x in own))
+        assert got[g]["collapsed"] == sum(len(x) - len(set(x)) for x in own) and got[g]["affected"] == sum(len(x) > len(set(x)) for x in own)
+
+
 def test_no_plan_pairs_everything(spark, rects):
-    for df in (transactions.buffer_rect(rects[1], 50), transactions.buffer_rect_by_tiles(rects[1], 50)):
+    for df in (transactions.buffer_rect(rects[1], 50), transactions.buffer_rect_by_tiles(rects[1], 50, dense_above=7)):
         plan = df._jdf.queryExecution().toString()
         assert "CartesianProduct" not in plan and "NestedLoop" not in plan and "Python" not in plan
 
@@ -88,6 +153,8 @@ def test_sinks_round_trip(spark, rects, tmp_path):
     assert rows(sinks.read_text(spark, f"{tmp_path}/text", data.PARTS)) == rows(transactions.patterns(tx))
     sinks.write_dichotomous(tx, data.PARTS, f"{tmp_path}/wide")
     assert rows(sinks.read_dichotomous(spark, f"{tmp_path}/wide", data.PARTS)) == rows(tx)
+    sinks.write_json(tx, f"{tmp_path}/json")
+    assert rows(sinks.read_json(spark, f"{tmp_path}/json", "grp string, unit_id long, mask long")) == rows(tx)
     sinks.write_by_group(tx, f"{tmp_path}/parts")
     assert rows(sinks.read_group(spark, f"{tmp_path}/parts", "g1")) == rows(tx.filter("grp = 'g1'"))
 

@@ -1,10 +1,12 @@
 from __future__ import annotations
 
+import itertools
 import random
 from fractions import Fraction
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from copresence.model import Threshold
 from copresence.operators import mining, transactions
@@ -72,3 +74,30 @@ def test_wide_alphabet(spark):
     pats, book = mining.encode_items(tx, Threshold.relative("10%"))
     assert [r["item"] for r in book.collect()] == ["all"]
     assert {(r["mask"], r["weight"]) for r in pats.collect()} == {(0, 25), (1, 25)}
+
+
+def test_any_number_of_items(spark):
+    r = random.Random(21)
+    rows = [(f"g{i % 2}", i, r.sample([f"t{j:03d}" for j in range(80)], r.randrange(0, 76)) + ["same", "same"]) for i in range(40)] + [("g0", 99, []), ("g1", 98, None)]
+    tx = spark.createDataFrame(rows, "grp string, unit_id long, items array<string>")
+    got = {(x["grp"], tuple(x["items"])): (x["sup"], x["n"]) for x in mining.mine_wide(tx, Threshold.relative("15%"), 3).collect()}
+    want = {}
+    for g in ("g0", "g1"):
+        own = [set(items or []) for grp, _, items in rows if grp == g]
+        for k in (1, 2, 3):
+            for s in itertools.combinations(sorted(set().union(*own)), k):
+                sup = sum(set(s) <= t for t in own)
+                if sup * 100 >= 15 * len(own):
+                    want[g, s] = (sup, len(own))
+    assert got == want and any(len(s) == 3 for _, s in want) and len({x for _, s in want for x in s}) > 5
+
+
+def test_salted_support_and_default_split(spark):
+    r = random.Random(22)
+    rows = [("g", r.randrange(1, 256), r.randrange(1, 9)) for _ in range(300)]
+    pats = spark.createDataFrame(rows, "grp string, mask long, weight long").groupBy("grp", "mask").agg(F.sum("weight").alias("weight"))
+    sets = spark.createDataFrame([("g", s) for s in (1, 3, 7, 255, 256)], "grp string, itemset long")
+    want = {s: sum(w for _, m, w in rows if m & s == s) for s in (1, 3, 7, 255, 256)}
+    assert {x["itemset"]: x["sup"] for x in mining.support(pats, sets, salts=5).collect()} == {s: n for s, n in want.items() if n}
+    one, split = (sorted(map(tuple, mining.mine(pats, Threshold.relative("10%"), shard_above=a).collect())) for a in (10**6, 20))
+    assert one == split
