@@ -90,12 +90,12 @@ c AS (SELECT doc_id, row, ends, lines, unnest(range(1, len(ends) + 1)) AS j1 FRO
 e AS (SELECT doc_id, row, CASE WHEN j1 > 1 THEN ends[j1 - 1] + 1 ELSE 1 END AS s, ends[j1] AS t, lines FROM c),
 k AS (SELECT doc_id, row, s - 1 AS start, t - s + 1 AS n, array_to_string(lines[s:t], chr(10)) AS chunk FROM e WHERE t > s),
 r AS (SELECT *, count(*) OVER (PARTITION BY chunk) AS times, rank() OVER (PARTITION BY chunk ORDER BY doc_id NULLS FIRST, row, start) AS place FROM k),
-p AS (SELECT doc_id, row, lines, unnest(range(0, len(lines) - 1)) AS at FROM d),
-pr AS (SELECT doc_id, row, at, count(*) OVER (PARTITION BY pair) AS times, rank() OVER (PARTITION BY pair ORDER BY doc_id NULLS FIRST, row, at) AS place
-       FROM (SELECT doc_id, row, at, lines[at + 1] || chr(10) || lines[at + 2] AS pair FROM p)),
+p AS (SELECT doc_id, row, lines, unnest(range(0, len(lines) - 1)) AS pos FROM d),
+pr AS (SELECT doc_id, row, pos, count(*) OVER (PARTITION BY pair) AS times, rank() OVER (PARTITION BY pair ORDER BY doc_id NULLS FIRST, row, pos) AS place
+       FROM (SELECT doc_id, row, pos, lines[pos + 1] || chr(10) || lines[pos + 2] AS pair FROM p)),
 l AS (SELECT doc_id, row, unnest(range(start, start + n)) AS line FROM r WHERE times > 1 AND place > 1
       UNION
-      SELECT doc_id, row, at + o AS line FROM pr, (VALUES (0), (1)) AS v(o) WHERE times > 1 GROUP BY doc_id, row, at + o HAVING NOT bool_or(place = 1)),
+      SELECT doc_id, row, pos + o AS line FROM pr, (VALUES (0), (1)) AS v(o) WHERE times > 1 GROUP BY doc_id, row, pos + o HAVING NOT bool_or(place = 1)),
 i AS (SELECT doc_id, row, line, line - row_number() OVER (PARTITION BY doc_id, row ORDER BY line) AS island FROM l),
 z AS (SELECT doc_id, row, min(line) AS start, count(*) AS n FROM i GROUP BY doc_id, row, island),
 g AS (SELECT doc_id, row, sum(n) AS gone, string_agg(start || '+' || n, ',' ORDER BY start) AS removed FROM z GROUP BY doc_id, row),
