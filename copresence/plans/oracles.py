@@ -484,6 +484,9 @@ add("stream_interval_join", EVENT_UNITS, EVENT_TX, last="SELECT * FROM tx")
 add("stream_closed_transactions", EVENT_UNITS, EVENT_TX, f"""
 wm AS (SELECT (max(t) // 1000 - 3600000) AS ms FROM ev)""", last=f"SELECT part, unit_id, mask FROM tx JOIN (SELECT unit_id, part, t FROM ev) USING (unit_id), wm WHERE (t + {data.HOURS * HOUR}) // 1000 + 1 <= ms")
 
+# a row of an arrival is late by the watermark that held before the arrival before it
+add("stream_late_counts", EVENT_UNITS, "ar AS (SELECT unit_id % 4 AS batch, t FROM ev), wa AS (SELECT batch, max(max(t)) OVER (ORDER BY batch ROWS BETWEEN UNBOUNDED PRECEDING AND 2 PRECEDING) // 1000 * 1000 - 864000000000 AS wm FROM ar GROUP BY batch)", last="SELECT batch::bigint AS batch, count(*) AS rows, count(*) FILTER (t <= wm) AS late FROM ar JOIN wa USING (batch) GROUP BY batch")
+
 # ---- SQL surface
 
 add("sql_mine_udtf", EVENT_UNITS, EVENT_TX, PATTERNS, itemsets_sql(), last="SELECT grp, itemset, sup, n FROM items")

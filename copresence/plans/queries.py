@@ -5,6 +5,7 @@ read from there; `forget` drops what a session has kept, so that a timing starts
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 from functools import reduce
 
@@ -16,7 +17,7 @@ from copresence import sqlapi
 from copresence.functions import masks
 from copresence.model import Threshold, coarser, remap_units, validate_transactions, validate_units
 from copresence.operators import agreement, clustering, inference, layout2d, mining, neighborhoods, profiles, report, sensitivity, transactions, validity
-from copresence.plans.shared import bounded, cut
+from copresence.plans.shared import bounded, cut, shared_dir
 from copresence.sources import workloads as data
 from copresence.streaming import patterns as stream
 
@@ -1069,6 +1070,20 @@ def q_stream_closed_transactions(s, d):
         return stream.to_memory(stream.closed_transactions(_stream(s, d), data.HOURS * HOUR, "1 hour"), "append").select("part", "unit_id", "mask")
 
 
+ARRIVALS = 4
+
+
+@query
+def q_stream_late_counts(s, d):
+    """Rows of each arrival and those behind the watermark; the events arrive in four files, dealt by their number."""
+    folder = f"{shared_dir(s)}/arrivals-{uuid.uuid4().hex}"
+    events = data.event_columns(data.read(s, d, "events"))
+    for k in range(ARRIVALS):
+        events.filter(F.col("unit_id") % ARRIVALS == k).coalesce(1).write.mode("append").parquet(folder)
+    src = s.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(folder)
+    return s.createDataFrame(stream.late_counts(src, "10 days"), "batch long, rows long, late long")
+
+
 # ---- SQL surface
 
 
