@@ -773,11 +773,11 @@ def q_layout_metrics_plane(s, d):
 
 
 @query
-def q_layout_metrics_vectors(s, d):
-    """The 54 layouts of the vectors, which hold no clusters."""
-    unit = profiles.l2(data.vector_profile(s, d))
-    dist, own = cut(profiles.pairwise(unit)), clustering.labels(unit, [K])
-    return layout2d.layout_metrics(cut(layout2d.layout_grid(unit)), dist, cut(own), K)
+def q_layout_vectors(s, d):
+    """Trustworthiness and overlap of a layout of the vectors, which hold no clusters."""
+    unit = cut(profiles.l2(data.vector_profile(s, d)))
+    high, low = cut(profiles.pairwise(unit)), cut(layout2d.layout_distances(layout2d.layout2d(unit)))
+    return layout2d.trustworthiness(high, low).join(layout2d.neighbour_overlap(high, low), "run").select(r6("trustworthiness").alias("trustworthiness"), r6("overlap").alias("overlap"))
 
 
 @query
