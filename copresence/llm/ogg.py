@@ -194,10 +194,10 @@ def _report(doc_id: int | None, text: str | None) -> tuple:
     rate = struct.unpack("<8sIQ", head[0])[1]
     if [struct.unpack("<I", c)[0] for c, _ in checks[1:]] != [zlib.crc32(payload[i : i + BLOCK]) for i in range(0, len(payload), BLOCK)]:
         raise ValueError("the samples read back differ from their check values")
-    times = timestamps(media.streams[SAMPLES].packets, rate)
-    if times[-1] * rate != len(payload):
+    ends = granules(media.streams[SAMPLES].packets)
+    if ends[-1] != len(payload):
         raise ValueError("the granule positions read back differ from the samples")
-    return (doc_id, n_bytes, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-UNIT:]), len(stored), hashlib.sha256(stored).hexdigest(), features(np.frombuffer(payload, np.uint8)), media.pages, media.damaged, sum(len(s.packets) for s in media.streams.values()), times[-1])
+    return (doc_id, n_bytes, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-UNIT:]), len(stored), hashlib.sha256(stored).hexdigest(), features(np.frombuffer(payload, np.uint8)), media.pages, media.damaged, sum(len(s.packets) for s in media.streams.values()), ends[-1] / rate)
 
 
 def _columns(rows: list[tuple], kinds: list[pa.DataType], names: list[str]) -> pa.RecordBatch:

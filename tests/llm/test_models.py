@@ -43,6 +43,13 @@ def test_round_trip(size):
     assert times == sorted(times) and times[-1] == len(payload) / ogg.RATE
 
 
+def test_sizes_whose_seconds_are_rounded():
+    """64,064 samples at 8,000 a second: seconds times the rate aren't the samples again."""
+    for n in (64_064, 64_065, 65_216):
+        row = dict(zip([x.split()[0] for x in ogg.REPORT.split(", ")], ogg._report(1, "a" * n), strict=True))
+        assert row["n_bytes"] == n and row["payload_bytes"] == -(-n // 64) * 64 and row["seconds"] == row["payload_bytes"] / ogg.RATE
+
+
 def test_packets_of_all_sizes_cross_pages():
     sizes = [0, 1, 254, 255, 256, 510, 70_000, 3]
     packets = [(random.Random(n).randbytes(n), i) for i, n in enumerate(sizes)]
