@@ -5,6 +5,7 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
+from copresence.model import Classes, validate_transactions
 from copresence.operators import strips, transactions
 from copresence.plans.queries import QUERIES
 from copresence.sources import workloads as data
@@ -81,3 +82,15 @@ def test_words_are_neither_kept_nor_shuffled(spark):
     plan = data.strip_transactions(spark, SF)._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in plan and "MapInArrow" in plan
 
+
+def test_checks_of_transactions_see_every_problem(spark):
+    ids = [*range(-70, 70), *[7, 7, 40], None]
+    units = spark.createDataFrame([(i,) for i in ids], "unit_id long")
+    tx = spark.createDataFrame([(i, 1) for i in range(-60, 65)] + [(5, 0), (5, 8), (66, 2), (None, 1), (None, 1)], "unit_id long, mask long")
+    known = {i for i in range(-60, 65)} | {66}
+    got = {r["problem"]: r["n"] for r in validate_transactions(tx, units, Classes((1, 1, 1))).collect()}
+    assert got == {"empty": 1, "unknown class": 1, "several transactions": 2, "no transaction": sum(i not in known for i in ids)}
+    r = transactions.one_per_unit(units, tx).first()
+    assert (r["units"], r["transactions"], r["missing"]) == (len(ids), tx.count(), got["no transaction"])
+    none = tx.limit(0)
+    assert {r["n"] for r in validate_transactions(none, units.limit(0), Classes((1,))).collect()} == {0}
