@@ -101,3 +101,18 @@ def test_salted_support_and_default_split(spark):
     assert {x["itemset"]: x["sup"] for x in mining.support(pats, sets, salts=5).collect()} == {s: n for s, n in want.items() if n}
     one, split = (sorted(map(tuple, mining.mine(pats, Threshold.relative("10%"), shard_above=a).collect())) for a in (10**6, 20))
     assert one == split
+
+
+def test_enumeration_of_large_sets_is_bounded():
+    """Forty patterns of some 24 classes have 2**24 subsets each, which don't fit beside each other."""
+    import resource
+
+    r = np.random.default_rng(5)
+    mask = np.array([sum(1 << int(b) for b in r.choice(27, 24, replace=False)) for _ in range(40)] + [1 << 62], np.int64)
+    weight = r.integers(1, 5, len(mask))
+    least = int(weight.sum() * 0.93)
+    before = resource.getrusage(resource.RUSAGE_SELF).ru_maxrss
+    sets, sups = mining.enumerate_sets(mask, weight, least)
+    assert resource.getrusage(resource.RUSAGE_SELF).ru_maxrss - before < 500_000
+    assert dict(zip(sets.tolist(), sups.tolist(), strict=True)) == dict(zip(*mining.nodeset_search(mask, weight, least), strict=True))
+    assert len(sets) and all(int(weight[(mask & s) == s].sum()) == c for s, c in zip(sets.tolist(), sups.tolist(), strict=True))
