@@ -164,3 +164,55 @@ def test_rings_equal_rectangles_at_the_full_distance(spark):
 
     ring, rect = (sorted(map(tuple, QUERIES[n](spark, "/root/testdata/sf0.001").collect())) for n in ("ring_tx_d150", "rect_tx_d150"))
     assert ring == rect and ring
+
+
+def test_many_pairs_of_polygons_are_tested_as_one_is(monkeypatch):
+    """Slanted edges, holes, parts, single points and mixed numbers of edges, in blocks of any size."""
+    import pyarrow as pa
+
+    r = random.Random(31)
+    point = lambda x, y, s: (x + r.randrange(s), y + r.randrange(s))
+
+    def shape():
+        x, y = r.randrange(60), r.randrange(60)
+        rings = [[point(x, y, 20) for _ in range(r.choice((1, 2, 3, 4, 7, 13)))] for _ in range(r.choice((1, 1, 2, 3)))]
+        if r.random() < 0.3:  # a box, and one with a hole
+            w = r.randrange(0, 15)
+            rings = [[(x - k, y - k), (x + w + k, y - k), (x + w + k, y + w + k), (x - k, y + w + k)] for k in r.choice(((0,), (9, 6)))]
+        return [[*g, g[0]] if r.random() < 0.5 else g for g in rings]
+
+    shapes = [shape() for _ in range(60)]
+    array = pa.array([[[{"x": float(a), "y": float(b)} for a, b in g] for g in s] for s in shapes], pa.list_(pa.list_(pa.struct([("x", pa.float64()), ("y", pa.float64())]))))
+    as_rings = [[np.array(g, float) for g in s] for s in shapes]
+    i, j = (x.ravel() for x in np.meshgrid(np.arange(60), np.arange(60)))
+    packed = near.Shapes(array)
+    for d in (0, 3):
+        want = np.array([near.ring_distance2(as_rings[a], as_rings[b]) <= d * d for a, b in zip(i, j, strict=True)])
+        for at_once in (1, 40, 1 << 18):
+            monkeypatch.setattr(near, "AT_ONCE", at_once)
+            assert (near.shapes_meet(packed, i, j, d) == want).all()
+        classes = 1 << (np.arange(60) % 9)
+        for candidates in (1, 50, 1 << 20):
+            monkeypatch.setattr(near, "CANDIDATES", candidates)
+            got = np.zeros(60, np.int64)
+            for tx in range(-2, 6):
+                for ty in range(-2, 6):
+                    got |= near._tile_masks(packed, classes, d, 16, tx, ty)
+            assert (got == [np.bitwise_or.reduce(classes[j[(i == a) & want]]) for a in range(60)]).all()
+    box = np.flatnonzero(packed.is_box)
+    assert len(box) and all(len(shapes[b]) == 1 and len(set(shapes[b][0])) == 4 for b in box)
+
+
+def test_units_in_one_place_are_tested_once(spark):
+    """Two places of 3,000 units each, which are 18 million pairs, and one that lies in the hole of both."""
+    import time
+
+    from pyspark.sql import functions as F
+
+    ring = "CASE WHEN id % 2 = 0 THEN 'POLYGON ((0 0, 40 0, 40 40, 0 40, 0 0), (2 2, 38 2, 38 38, 2 38, 2 2))' ELSE 'POLYGON ((1 1, 39 1, 41 39, 1 39, 1 1), (2 2, 38 2, 38 38, 2 38, 2 2))' END"
+    units = spark.range(6000).select(F.lit("g").alias("grp"), F.col("id").alias("unit_id"), (F.col("id") % 5).cast("int").alias("bit"), F.expr(ring).alias("wkt"))
+    units = units.unionByName(spark.createDataFrame([("g", 9000, 9, "POLYGON ((10 10, 12 10, 11 12))"), ("g", 9001, 10, None), ("g", 9002, 11, None)], "grp string, unit_id long, bit int, wkt string"))
+    begin = time.monotonic()
+    got = {x["unit_id"]: x["mask"] for x in transactions.buffer_ring(units, 3).collect()}
+    assert got == {i: 31 for i in range(6000)} | {9000: 1 << 9, 9001: 1 << 10, 9002: 1 << 11}
+    assert time.monotonic() - begin < 120
