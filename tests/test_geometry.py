@@ -216,3 +216,17 @@ def test_units_in_one_place_are_tested_once(spark):
     got = {x["unit_id"]: x["mask"] for x in transactions.buffer_ring(units, 3).collect()}
     assert got == {i: 31 for i in range(6000)} | {9000: 1 << 9, 9001: 1 << 10, 9002: 1 << 11}
     assert time.monotonic() - begin < 120
+
+
+def test_equal_rectangles_are_joined_once(spark):
+    from pyspark.sql import functions as F
+
+    r = random.Random(41)
+    boxes = [(x, x + r.randrange(30), y, y + r.randrange(30)) for x, y in ((r.randrange(200), r.randrange(200)) for _ in range(25))]
+    rows = [(f"g{i % 2}", i // 2 if i < 20 else i, *r.choice(boxes), r.randrange(20)) for i in range(400)] + [(None, 900, *boxes[0], 1)]  # some ids twice
+    units = spark.createDataFrame(rows, "grp string, unit_id long, x0 long, x1 long, y0 long, y1 long, bit int")
+    for d in (0, 25):
+        got, want = (sorted(map(tuple, f(units, d).collect())) for f in (transactions.buffer_rect_by_places, transactions.buffer_rect))
+        assert got == want and want
+    many = spark.range(20_000).select(F.lit("g").alias("grp"), F.col("id").alias("unit_id"), *[F.lit(v).cast("long").alias(c) for c, v in zip(("x0", "x1", "y0", "y1"), boxes[0], strict=True)], (F.col("id") % 7).cast("int").alias("bit"))
+    assert transactions.buffer_rect_by_places(many, 50).groupBy("mask").count().collect() == [(127, 20_000)]  # 400 million pairs of units

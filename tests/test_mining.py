@@ -116,3 +116,32 @@ def test_enumeration_of_large_sets_is_bounded():
     assert resource.getrusage(resource.RUSAGE_SELF).ru_maxrss - before < 500_000
     assert dict(zip(sets.tolist(), sups.tolist(), strict=True)) == dict(zip(*mining.nodeset_search(mask, weight, least), strict=True))
     assert len(sets) and all(int(weight[(mask & s) == s].sum()) == c for s, c in zip(sets.tolist(), sups.tolist(), strict=True))
+
+
+@pytest.mark.parametrize("absorb", [True, False])
+def test_nodeset_search_beyond_the_tail(monkeypatch, absorb):
+    """Every split between single steps and sets that are settled at once gives the same, with classes that all patterns have."""
+    r = np.random.default_rng(8)
+    mask = np.unique(np.array([sum(1 << int(b) for b in r.choice(15, 11, replace=False)) | 1 << 20 | 1 << 62 for _ in range(50)], np.int64))
+    weight = r.integers(1, 6, len(mask))
+    least = int(weight.sum() * 0.2)
+    want = dict(zip(*(x.tolist() for x in mining.enumerate_sets(mask, weight, least)), strict=True))
+    for tail in (0, 1, 5, 12, 20):
+        monkeypatch.setattr(mining, "TAIL", tail)
+        sets, sups = mining.nodeset_search(mask, weight, least, absorb)
+        assert len(sets) == len(want) and dict(zip(sets.tolist(), sups.tolist(), strict=True)) == want
+
+
+def test_nodeset_search_of_many_sets_takes_seconds():
+    """Some four hundred thousand frequent sets in one group."""
+    import time
+
+    r = np.random.default_rng(9)
+    mask = np.unique(np.array([sum(1 << int(b) for b in np.flatnonzero(r.random(20) < 0.84)) for _ in range(3000)], np.int64))
+    weight = np.ones(len(mask), np.int64)
+    begin = time.process_time()
+    sets, sups = mining.nodeset_search(mask, weight, len(mask) // 10)
+    assert time.process_time() - begin < 8
+    assert len(sets) == len(np.unique(sets)) > 300_000
+    for k in r.integers(0, len(sets), 50):
+        assert int(((mask & sets[k]) == sets[k]).sum()) == sups[k]
