@@ -18,7 +18,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from copresence.model import LAYOUT
-from copresence.ship import arrow_map, pandas_groups
+from copresence.ship import arrow_groups, arrow_map, pandas_groups
 
 from .agreement import ari, distance_spearman, nmi
 from .clustering import labels_at, linkage
@@ -42,25 +42,31 @@ def distances(x: np.ndarray, metric: str) -> np.ndarray:
     return np.maximum(d, 0)
 
 
+def row_weights(own: np.ndarray) -> np.ndarray:
+    """Directed weights of points to their neighbours, from the distances to them (a row a point)."""
+    rho = np.where(own > 0, own, np.inf).min(1)
+    over = np.maximum(own - np.where(np.isinf(rho), 0.0, rho)[:, None], 0)
+    goal = np.log2(max(own.shape[1], 2))
+    lo, hi, sigma, live = np.zeros(len(own)), np.full(len(own), np.inf), np.ones(len(own)), np.ones(len(own), bool)
+    for _ in range(64):
+        total = np.exp(-over / sigma[:, None]).sum(1)
+        live &= np.abs(total - goal) >= 1e-6
+        if not live.any():
+            break
+        high = total > goal
+        hi, lo = np.where(live & high, sigma, hi), np.where(live & ~high, sigma, lo)
+        sigma = np.where(live, np.where(np.isinf(hi), sigma * 2, (lo + hi) / 2), sigma)
+    return np.exp(-over / np.maximum(sigma, 1e-12)[:, None])
+
+
 def memberships(d: np.ndarray, n_neighbors: int) -> np.ndarray:
     """Symmetric weights of the neighbour graph."""
     n = len(d)
-    k = min(n_neighbors, n - 1)
     w = np.zeros((n, n))
     hidden = d + np.diag(np.full(n, np.inf))
-    near = np.argsort(hidden, 1, kind="stable")[:, :k]
-    for i in range(n):
-        own = hidden[i, near[i]]
-        rho = own[own > 0].min() if (own > 0).any() else 0.0
-        lo, hi, goal = 0.0, np.inf, np.log2(max(k, 2))
-        sigma = 1.0
-        for _ in range(64):
-            total = np.exp(-np.maximum(own - rho, 0) / sigma).sum()
-            if abs(total - goal) < 1e-6:
-                break
-            lo, hi = (lo, sigma) if total > goal else (sigma, hi)
-            sigma = sigma * 2 if np.isinf(hi) else (lo + hi) / 2
-        w[i, near[i]] = np.exp(-np.maximum(own - rho, 0) / max(sigma, 1e-12))
+    near = np.argsort(hidden, 1, kind="stable")[:, : min(n_neighbors, n - 1)]
+    at = np.arange(n)[:, None]
+    w[at, near] = row_weights(hidden[at, near])
     return w + w.T - w * w.T
 
 
@@ -139,6 +145,238 @@ def layout2d(profile: DataFrame, n_neighbors: int = 15, min_dist: float = 0.1, m
     return layout_grid(profile, [(n_neighbors, min_dist, metric, seed)])
 
 
+# ---- many points: nothing is as large as all pairs of them
+
+LANES = 64  # columns whose least stands for them while the nearest are looked for
+CELLS = 2_000_000  # distances held at once
+POINTS = 20_000  # points whose repulsion is drawn at once
+STEPS = 60  # of the search for the slowest directions
+PACKED = "names array<string>, width int, data binary"
+PACKED_VALUES = 16_000_000  # coordinates that go to every task, 128 MB
+
+
+def pack(vectors: DataFrame, unit: bool = False) -> DataFrame:
+    """vectors(grp, vec) as one row of PACKED, in the order of grp; what a shorter vector lacks is 0. unit: scaled to length 1."""
+    size = vectors.agg(F.count(F.lit(1)) * F.max(F.size("vec"))).first()[0] or 0
+    if size > PACKED_VALUES:
+        raise ValueError(f"vectors: {size} values, over {PACKED_VALUES}, too many to send to every task")
+
+    def run(t: pa.Table) -> pa.Table:
+        book, vec = t["grp"].combine_chunks().dictionary_encode(), t["vec"].combine_chunks()
+        order = np.argsort(np.array(book.dictionary.to_pylist(), object), kind="stable")
+        place = np.empty(len(order), np.int64)
+        place[order] = np.arange(len(order))
+        long = np.diff(vec.offsets.to_numpy())
+        row = np.repeat(np.arange(len(vec)), long)
+        column = np.arange(len(row)) - np.repeat(np.cumsum(long) - long, long)
+        x = np.zeros((len(order), long.max(initial=0)))
+        np.add.at(x, (place[book.indices.to_numpy()][row], column), vec.flatten().fill_null(0.0).to_numpy(zero_copy_only=False))
+        if unit:
+            norm = np.sqrt((x * x).sum(1, keepdims=True))
+            x = np.divide(x, norm, out=np.zeros_like(x), where=norm > 0)
+        names = pa.array([book.dictionary.take(pa.array(order)).to_pylist()], pa.list_(pa.string()))
+        return pa.table({"names": names, "width": pa.array([x.shape[1]], pa.int32()), "data": pa.array([(x + 0.0).tobytes()], pa.binary())})  # + 0.0: no -0
+
+    return arrow_groups(vectors.select(F.lit(0).alias("all"), "grp", "vec"), ["all"], run, PACKED)
+
+
+def _blocks(packed: DataFrame) -> DataFrame:
+    """block, blocks and the packed points: each task takes a block of the points and meets it with all of them."""
+    spark = packed.sparkSession
+    blocks = 2 * spark.sparkContext.defaultParallelism
+    return spark.range(0, blocks, 1, blocks).select(F.col("id").cast("int").alias("block"), F.lit(blocks).alias("blocks")).crossJoin(F.broadcast(packed))
+
+
+def _chunks(x: np.ndarray, block: int, blocks: int) -> Iterator[tuple[int, int]]:
+    rows, first, last = max(1, CELLS // max(1, len(x))), block * len(x) // blocks, (block + 1) * len(x) // blocks
+    for i in range(first, last, rows):
+        yield i, min(last, i + rows)
+
+
+def same_points(x: np.ndarray) -> np.ndarray:
+    """A number for each point that only equal points have in common."""
+    return np.unique(x, axis=0, return_inverse=True)[1].reshape(-1)
+
+
+def ten_places(x: np.ndarray, sq: np.ndarray, same: np.ndarray, i: int, j: int) -> np.ndarray:
+    """Distances of points i to j to all points, in whole units of the tenth place; infinite to itself. Filled up with
+    infinite ones to whole LANES. Products lose the places of the least distances; those are taken from differences."""
+    n = len(x)
+    d = np.full((j - i, -(-n // LANES) * LANES), np.inf)
+    near = d[:, :n]
+    np.matmul(x[i:j], x.T, out=near)
+    near *= -2
+    near += sq
+    near += sq[i:j, None]
+    twins = same[i:j, None] == same
+    r, c = np.nonzero((near < 1e-8) & ~twins)
+    for k in range(0, len(r), 100_000):
+        diff = x[i + r[k : k + 100_000]] - x[c[k : k + 100_000]]
+        near[r[k : k + 100_000], c[k : k + 100_000]] = (diff * diff).sum(1)
+    near[twins] = 0
+    np.maximum(near, 0, out=near)
+    np.sqrt(near, out=near)
+    near *= 1e10
+    np.rint(near, out=near)
+    near[np.arange(j - i), np.arange(i, j)] = np.inf
+    return d
+
+
+def nearest(d: np.ndarray, k: int) -> np.ndarray:
+    """The k nearest columns of each row, ties by column. The k-th least of the lanes' least ones bounds the k-th least."""
+    lanes = d.reshape(len(d), -1, LANES).min(2)
+    bound = np.partition(lanes if lanes.shape[1] >= k else d, k - 1, 1)[:, k - 1 : k]
+    r, c = np.nonzero(d <= bound)
+    r, c = (v[np.lexsort((c, d[r, c], r))] for v in (r, c))
+    first = np.searchsorted(r, np.arange(len(d)))
+    return c[first[:, None] + np.arange(k)]
+
+
+def _points(b: pa.RecordBatch, i: int) -> tuple[np.ndarray, int, int]:
+    width, block, blocks = (b.column(c)[i].as_py() for c in ("width", "block", "blocks"))
+    return np.frombuffer(b.column("data")[i].as_buffer(), np.float64).reshape(-1, max(1, width)), block, blocks
+
+
+def neighbour_edges(packed: DataFrame, n_neighbors: int) -> DataFrame:
+    """src, dst, w: each point's nearest others by Euclidean distance, and their directed weights."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for at in range(b.num_rows):
+                x, block, blocks = _points(b, at)
+                names, k = b.column("names")[at].values, min(n_neighbors, len(x) - 1)
+                if k < 1:
+                    continue
+                sq, same = (x * x).sum(1), same_points(x)
+                for i, j in _chunks(x, block, blocks):
+                    d = ten_places(x, sq, same, i, j)
+                    near = nearest(d, k)
+                    w = row_weights(np.take_along_axis(d, near, 1) / 1e10)
+                    columns = names.take(pa.array(np.repeat(np.arange(i, j), k))), names.take(pa.array(near.ravel())), pa.array(w.ravel())
+                    yield pa.RecordBatch.from_arrays(list(columns), names=["src", "dst", "w"])
+
+    return arrow_map(_blocks(packed), run, "src string, dst string, w double")
+
+
+def joined(src: np.ndarray, dst: np.ndarray, w: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Edges i < j with the weights of both directions joined, in order."""
+    key = np.minimum(src, dst) * n + np.maximum(src, dst)
+    order = np.argsort(key, kind="stable")
+    key, first = np.unique(key[order], return_index=True)
+    return key // n, key % n, 1 - np.multiply.reduceat(1 - w[order], first)
+
+
+def slow_directions(i: np.ndarray, j: np.ndarray, w: np.ndarray, n: int, rng: np.random.Generator) -> np.ndarray:
+    """The two slowest directions of the graph beside the constant one, by Lanczos steps."""
+    add = lambda v: np.bincount(i, v[0], n) + np.bincount(j, v[1], n)
+    root = np.sqrt(np.maximum(add((w, w)), 1e-12))
+    s = w / (root[i] * root[j])
+    basis = [root / np.sqrt((root * root).sum())]
+    q = rng.normal(size=n)
+    alphas, betas = [], []
+    for _ in range(min(STEPS, n - 1)):
+        for _ in range(2):  # twice: once leaves what was rounded off
+            q -= np.array(basis).T @ (np.array(basis) @ q)
+        size = np.sqrt(q @ q)
+        if size < 1e-10:
+            break
+        betas.append(size)
+        basis.append(q / size)
+        q = add((s * basis[-1][j], s * basis[-1][i]))
+        alphas.append(basis[-1] @ q)
+    off = np.diag(betas[1:], 1) if len(betas) > 1 else 0
+    vec = np.linalg.eigh(np.diag(alphas) + off + np.transpose(off))[1][:, ::-1][:, :2]
+    y = np.zeros((n, 2))
+    y[:, : vec.shape[1]] = np.array(basis[1:]).T @ vec
+    return y
+
+
+def graph_layout(i: np.ndarray, j: np.ndarray, w: np.ndarray, n: int, min_dist: float = 0.1, seed: int = 42, passes: int = PASSES) -> np.ndarray:
+    """What `layout` does, from the edges: in each pass an edge is taken by its weight, and a point is pushed by five random
+    others for each of its edges taken."""
+    rng = np.random.default_rng(seed)
+    if n < 3:
+        return np.column_stack([np.arange(n, dtype=float), np.zeros(n)])
+    a, b = curve(min_dist)
+    y = slow_directions(i, j, w, n, rng)
+    y *= np.where(y[np.abs(y).argmax(0), [0, 1]] < 0, -1, 1)
+    y = 10 * y / max(np.abs(y).max(), 1e-12) + rng.normal(0, 1e-2, (n, 2))
+    chance = w / w.max()
+    for t in range(passes):
+        taken = rng.random(len(w)) < chance
+        p, q = i[taken], j[taken]
+        diff = y[p] - y[q]
+        d2 = (diff * diff).sum(1)
+        with np.errstate(divide="ignore"):
+            pull = np.where(d2 > 0, -2 * a * b * d2 ** (b - 1) / (1 + a * d2**b), 0.0)
+        force = np.clip(pull[:, None] * diff, -4, 4)
+        move = np.column_stack([np.bincount(p, force[:, c], n) - np.bincount(q, force[:, c], n) for c in (0, 1)])
+        others = rng.binomial(n - 1, np.minimum(1.0, 5 * (np.bincount(p, minlength=n) + np.bincount(q, minlength=n)) / n))
+        for first in range(0, n, POINTS):
+            own = np.repeat(np.arange(first, min(n, first + POINTS)), others[first : first + POINTS])
+            other = rng.integers(0, n - 1, len(own))
+            other += other >= own
+            diff = y[own] - y[other]
+            d2 = (diff * diff).sum(1)
+            force = np.clip((2 * b / ((1e-3 + d2) * (1 + a * d2**b)))[:, None] * diff, -4, 4)
+            m = min(n, first + POINTS) - first
+            move[first : first + m] += np.column_stack([np.bincount(own - first, force[:, c], m) for c in (0, 1)])
+        y = y + (1 - t / passes) * move.clip(-4, 4)
+    return y
+
+
+def layout_points(packed: DataFrame, n_neighbors: int = 15, min_dist: float = 0.1, seed: int = 42, passes: int = PASSES) -> DataFrame:
+    """LAYOUT (run 0) of many points by Euclidean distance: neighbours by blocks of points, then one task for the passes."""
+
+    def run(t: pa.Table) -> pa.Table:
+        names, at = np.unique(np.array(t["src"].to_pylist(), object), return_inverse=True)
+        place = {g: k for k, g in enumerate(names)}
+        to = np.array([place[g] for g in t["dst"].to_pylist()], np.int64)
+        y = graph_layout(*joined(at.astype(np.int64), to, t["w"].to_numpy(), len(names)), len(names), min_dist, seed, passes)
+        return pa.table({"run": pa.array(np.zeros(len(names), np.int32)), "grp": pa.array(names, pa.string()), "x": pa.array(y[:, 0].copy()), "y": pa.array(y[:, 1].copy())})
+
+    return arrow_groups(neighbour_edges(packed, n_neighbors).withColumn("run", F.lit(0)), ["run"], run, LAYOUT)
+
+
+def points_faithful(packed: DataFrame, coords: DataFrame, k: int = 10) -> DataFrame:
+    """run, trustworthiness, overlap of LAYOUT rows of all packed points: the same as `trustworthiness` and
+    `neighbour_overlap` give. Ranks are counted in a block's distances; no pair leaves its task."""
+    low = coords.groupBy("run").agg(F.sort_array(F.collect_list(F.struct("grp", "x", "y"))).alias("placed"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for at in range(b.num_rows):
+                x, block, blocks = _points(b, at)
+                placed = b.column("placed")[at].values
+                if not placed.field(0).equals(b.column("names")[at].values):
+                    raise ValueError("the layout is not one of these points")
+                y = np.column_stack([placed.field(c).to_numpy() for c in (1, 2)])
+                over = hits = 0
+                near = min(k, len(x) - 1)
+                if near < 1:
+                    continue
+                xs, ys = ((v, (v * v).sum(1), same_points(v)) for v in (x, y))
+                for i, j in _chunks(x, block, blocks):
+                    high = ten_places(*xs, i, j)
+                    to = nearest(ten_places(*ys, i, j), near)
+                    common = (nearest(high, near)[:, :, None] == to[:, None]).any(1)
+                    hits += int(common.sum())
+                    for c in range(near):  # one that isn't among the nearest has a rank over k
+                        rows = np.flatnonzero(~common[:, c])
+                        target, d = to[rows, c], high[rows]
+                        own = d[np.arange(len(rows)), target][:, None]
+                        rank = 1 + np.count_nonzero(d < own, 1)
+                        ties = d == own
+                        for r in np.flatnonzero(np.count_nonzero(ties, 1) > 1):
+                            rank[r] += np.count_nonzero(ties[r, : target[r]])
+                        over += int((rank - k).clip(0).sum())
+                yield pa.RecordBatch.from_pydict({"run": pa.array([b.column("run")[at].as_py()], pa.int32()), "n": [len(x)], "over": [over], "hits": [hits]})
+
+    counts = arrow_map(_blocks(packed).crossJoin(F.broadcast(low)), run, "run int, n long, over long, hits long")
+    n = F.col("n")
+    return counts.groupBy("run", "n").agg(F.sum("over").alias("over"), F.sum("hits").alias("hits")).select("run", (1 - 2 * F.col("over") / (n * k * (2 * n - 3 * k - 1))).alias("trustworthiness"), (F.col("hits") / (n * k)).alias("overlap"))
+
+
 # ---- how faithful a layout is
 
 

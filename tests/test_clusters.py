@@ -1,6 +1,7 @@
 from __future__ import annotations
 
 import hashlib
+import tracemalloc
 
 import numpy as np
 import pytest
@@ -323,3 +324,77 @@ def test_layout_is_repeatable_and_faithful(spark, points):
     assert layout2d.trustworthiness(high, same, 4).first()["trustworthiness"] == 1 and layout2d.neighbour_overlap(high, same, 4).first()["overlap"] == 1
     placed = layout2d.display_positions(own, 0.3)
     assert placed.join(own.withColumnsRenamed({"x": "x0", "y": "y0"}), ["run", "grp"]).filter("x <> x0 OR y <> y0").count() == 0
+
+
+def edges_of(x, k):
+    """The edges of `neighbour_edges`, from one whole matrix."""
+    sq, same = (x * x).sum(1), layout2d.same_points(x)
+    d = layout2d.ten_places(x, sq, same, 0, len(x))
+    near = layout2d.nearest(d, k)
+    w = layout2d.row_weights(np.take_along_axis(d, near, 1) / 1e10)
+    return layout2d.joined(np.repeat(np.arange(len(x)), k), near.ravel(), w.ravel(), len(x))
+
+
+def test_edges_are_the_memberships():
+    x = np.random.default_rng(5).normal(size=(150, 6))
+    i, j, w = edges_of(x, 7)
+    want = layout2d.memberships(layout2d.distances(x, "euclidean"), 7)
+    got = np.zeros_like(want)
+    got[i, j] = got[j, i] = w
+    assert (i < j).all() and np.allclose(got, want, atol=1e-5)
+    y = layout2d.slow_directions(i, j, w, 150, np.random.default_rng(0))
+    deg = want.sum(1)
+    val, vec = np.linalg.eigh(np.eye(150) - want / np.sqrt(deg[:, None] * deg[None]))
+    assert np.allclose(np.abs((vec[:, 1:3] * y).sum(0)), 1, atol=1e-3) and val[1] > 1e-3
+
+
+def test_layout_of_many_points_holds_no_pairs():
+    """A matrix of all pairs of these points takes 72 MB; whole matrices took several of them."""
+    rng = np.random.default_rng(1)
+    x = rng.normal(size=(3000, 4)) + 12 * np.eye(4)[rng.integers(0, 4, 3000)]
+    i, j, w = edges_of(x, 10)
+    tracemalloc.start()
+    y = layout2d.graph_layout(i, j, w, 3000, passes=15)
+    assert tracemalloc.get_traced_memory()[1] < 40e6
+    tracemalloc.stop()
+    assert np.isfinite(y).all() and np.array_equal(y, layout2d.graph_layout(i, j, w, 3000, passes=15))
+
+
+def test_layout_of_many_points_is_as_faithful_as_by_matrices(spark):
+    rng = np.random.default_rng(1)
+    x = rng.normal(size=(200, 5)) + 4 * np.eye(5)[rng.integers(0, 4, 200)]
+    rows = spark.createDataFrame([(f"{k:03d}", [float(v) for v in r]) for k, r in enumerate(x)], "grp string, vec array<double>")
+    packed = layout2d.pack(rows.repartition(5))
+    a, b = ({r["grp"]: (r["x"], r["y"]) for r in layout2d.layout_points(p, 10).collect()} for p in (packed, layout2d.pack(rows.repartition(2))))
+    assert a == b and len(a) == 200
+    y = layout2d.layout(x, 10)
+    coords = spark.createDataFrame([(run, g, float(p), float(q)) for run, at in ((0, a), (1, {f"{k:03d}": v for k, v in enumerate(y)})) for g, (p, q) in at.items()], "run int, grp string, x double, y double")
+    got = {r["run"]: r for r in layout2d.points_faithful(packed, coords).collect()}
+    assert got[0]["trustworthiness"] > got[1]["trustworthiness"] - 0.02 and got[0]["overlap"] > got[1]["overlap"] - 0.05
+
+
+def test_measures_of_many_points_are_those_of_all_pairs(spark):
+    """Also where points are copies, lie within the ten places of each other, or tie."""
+    rng = np.random.default_rng(7)
+    x = np.concatenate([rng.integers(0, 3, (90, 4)).astype(float), rng.normal(size=(40, 4))])
+    x = np.concatenate([x, x[-20:] + 1e-7 * rng.normal(size=(20, 4))])
+    y = np.concatenate([rng.integers(0, 6, (80, 2)).astype(float), rng.normal(size=(70, 2))])
+    n, k = len(x), 6
+    coords = spark.createDataFrame([(3, f"{i:03d}", float(a), float(b)) for i, (a, b) in enumerate(y)], "run int, grp string, x double, y double")
+    packed = layout2d.pack(spark.createDataFrame([(f"{i:03d}", [float(v) for v in r]) for i, r in enumerate(x)], "grp string, vec array<double>").repartition(3))
+    got = layout2d.points_faithful(packed, coords, k).first()
+    order = lambda z: [[j for _, j in sorted((round(float(np.sqrt(((z[i] - z[j]) ** 2).sum())), 10), j) for j in range(n) if j != i)] for i in range(n)]
+    high, low = order(x), order(y)
+    over = sum(max(0, high[i].index(b) + 1 - k) for i in range(n) for b in low[i][:k])
+    assert got["run"] == 3 and got["trustworthiness"] == pytest.approx(1 - 2 * over / (n * k * (2 * n - 3 * k - 1)), abs=1e-12)
+    assert got["overlap"] == pytest.approx(np.mean([len(set(low[i][:k]) & set(high[i][:k])) / k for i in range(n)]))
+
+
+def test_points_packed(spark):
+    rows = spark.createDataFrame([("b", [3.0, 4.0]), ("a", [2.0]), ("c", [0.0, 0.0, None])], "grp string, vec array<double>")
+    r = layout2d.pack(rows, unit=True).first()
+    assert r["names"] == ["a", "b", "c"] and np.allclose(np.frombuffer(r["data"]).reshape(3, r["width"]), [[1, 0, 0], [0.6, 0.8, 0], [0, 0, 0]])
+    for few in (rows.limit(0), rows.limit(1), rows.limit(2)):
+        packed = layout2d.pack(few)
+        coords = layout2d.layout_points(packed)
+        assert coords.count() == (few.count() if few.count() > 1 else 0) and layout2d.points_faithful(packed, coords).count() == (few.count() == 2)
