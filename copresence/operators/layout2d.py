@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import itertools
 from collections.abc import Iterator
+from functools import cached_property
 
 import numpy as np
 import pandas as pd
@@ -148,7 +149,7 @@ def layout2d(profile: DataFrame, n_neighbors: int = 15, min_dist: float = 0.1, m
 # ---- many points: nothing is as large as all pairs of them
 
 LANES = 64  # columns whose least stands for them while the nearest are looked for
-CELLS = 2_000_000  # distances held at once
+CELLS = 4_000_000  # distances held at once
 POINTS = 20_000  # points whose repulsion is drawn at once
 STEPS = 60  # of the search for the slowest directions
 PACKED = "names array<string>, width int, data binary"
@@ -193,43 +194,67 @@ def _chunks(x: np.ndarray, block: int, blocks: int) -> Iterator[tuple[int, int]]
         yield i, min(last, i + rows)
 
 
-def same_points(x: np.ndarray) -> np.ndarray:
-    """A number for each point that only equal points have in common."""
-    return np.unique(x, axis=0, return_inverse=True)[1].reshape(-1)
+class Meeting:
+    """Points that meet all points, by squared distances less the own square: one product of matrices each time. What the
+    product rounds off is bounded by `margin`, which also covers the tenth place, and what lies within it is taken from
+    differences: distances count in whole units of the tenth place, ties by number."""
 
-
-def ten_places(x: np.ndarray, sq: np.ndarray, same: np.ndarray, i: int, j: int) -> np.ndarray:
-    """Distances of points i to j to all points, in whole units of the tenth place; infinite to itself. Filled up with
-    infinite ones to whole LANES. Products lose the places of the least distances; those are taken from differences."""
-    n = len(x)
-    d = np.full((j - i, -(-n // LANES) * LANES), np.inf)
-    near = d[:, :n]
-    np.matmul(x[i:j], x.T, out=near)
-    near *= -2
-    near += sq
-    near += sq[i:j, None]
-    twins = same[i:j, None] == same
-    r, c = np.nonzero((near < 1e-8) & ~twins)
-    for k in range(0, len(r), 100_000):
-        diff = x[i + r[k : k + 100_000]] - x[c[k : k + 100_000]]
-        near[r[k : k + 100_000], c[k : k + 100_000]] = (diff * diff).sum(1)
-    near[twins] = 0
-    np.maximum(near, 0, out=near)
-    np.sqrt(near, out=near)
-    near *= 1e10
-    np.rint(near, out=near)
-    near[np.arange(j - i), np.arange(i, j)] = np.inf
-    return d
-
-
-def nearest(d: np.ndarray, k: int) -> np.ndarray:
-    """The k nearest columns of each row, ties by column. The k-th least of the lanes' least ones bounds the k-th least."""
-    lanes = d.reshape(len(d), -1, LANES).min(2)
-    bound = np.partition(lanes if lanes.shape[1] >= k else d, k - 1, 1)[:, k - 1 : k]
-    r, c = np.nonzero(d <= bound)
-    r, c = (v[np.lexsort((c, d[r, c], r))] for v in (r, c))
-    first = np.searchsorted(r, np.arange(len(d)))
-    return c[first[:, None] + np.arange(k)]
+    def __init__(self, x: np.ndarray, kind: type):
+        self.x, self.n, n = x, len(x), len(x)
+        sq = (x * x).sum(1)
+        self.left = np.column_stack([x, np.ones(n)]).astype(kind)
+        self.right = np.full((x.shape[1] + 1, -(-n // LANES) * LANES), 0, kind)
+        self.right[-1] = np.inf  # columns that fill up the last lanes
+        self.right[:-1, :n], self.right[-1, :n] = -2 * x.T, sq
+        top = sq.max(initial=0)
+        self.margin = 4 * (x.shape[1] + 8) * float(np.finfo(kind).eps) * top + 8e-10 * np.sqrt(top) + 1e-19
+
+    def squares(self, i: int, j: int) -> np.ndarray:
+        """Of points i to j to all; infinite to itself."""
+        d = self.left[i:j] @ self.right
+        d[np.arange(j - i), np.arange(i, j)] = np.inf
+        return d
+
+    def exact(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        out = np.empty(len(a))
+        for k in range(0, len(a), 100_000):
+            diff = self.x[a[k : k + 100_000]] - self.x[b[k : k + 100_000]]
+            out[k : k + 100_000] = np.rint(np.sqrt((diff * diff).sum(1)) * 1e10)
+        return out
+
+    def nearest(self, i: int, j: int, k: int) -> tuple[np.ndarray, np.ndarray]:
+        """The k nearest of points i to j and their distances. The k-th least of the lanes' least bounds the k-th least."""
+        d = self.squares(i, j)
+        lanes = np.minimum.reduce(d.reshape(len(d), LANES, -1), 1)
+        bound = np.partition(lanes if lanes.shape[1] >= k else d, k - 1, 1)[:, k - 1 : k]
+        r, c = np.divmod(np.flatnonzero(d <= bound + 2 * self.margin), d.shape[1])
+        r, c = r[c < self.n], c[c < self.n]
+        r, c = r[c != r + i], c[c != r + i]
+        far = self.exact(r + i, c)
+        order = np.lexsort((c, far, r))
+        at = order[np.searchsorted(r, np.arange(len(d)))[:, None] + np.arange(k)]  # r is in order already
+        return c[at], far[at] / 1e10
+
+    def ranks(self, i: int, j: int, to: np.ndarray) -> np.ndarray:
+        """Which neighbour each of `to` (a row a point) is for points i to j; 1 is nearest."""
+        d, out, met = self.squares(i, j), np.empty(to.shape, np.int64), np.empty(self.right.shape[1], bool)
+        for r, row in enumerate(d):
+            for c, t in enumerate(to[r]):
+                least, most = row[t] - 2 * self.margin, row[t] + 2 * self.margin
+                out[r, c] = 1 + np.count_nonzero(np.less(row, least, out=met))
+                if np.count_nonzero(np.less_equal(row, most, out=met)) > out[r, c]:  # not itself only
+                    near = np.flatnonzero(met & (row >= least))
+                    copies = self.same[near] == self.same[t]
+                    near, out[r, c] = near[~copies], out[r, c] + np.count_nonzero(near[copies] < t)
+                    if len(near):
+                        far = self.exact(np.full(len(near) + 1, i + r), np.append(near, t))
+                        out[r, c] += np.count_nonzero((far[:-1] < far[-1]) | (far[:-1] == far[-1]) & (near < t))
+        return out
+
+    @cached_property
+    def same(self) -> np.ndarray:
+        """A number for each point that only equal points have in common."""
+        return np.unique(self.x, axis=0, return_inverse=True)[1].reshape(-1)
 
 
 def _points(b: pa.RecordBatch, i: int) -> tuple[np.ndarray, int, int]:
@@ -247,11 +272,10 @@ def neighbour_edges(packed: DataFrame, n_neighbors: int) -> DataFrame:
                 names, k = b.column("names")[at].values, min(n_neighbors, len(x) - 1)
                 if k < 1:
                     continue
-                sq, same = (x * x).sum(1), same_points(x)
+                meeting = Meeting(x, np.float32)
                 for i, j in _chunks(x, block, blocks):
-                    d = ten_places(x, sq, same, i, j)
-                    near = nearest(d, k)
-                    w = row_weights(np.take_along_axis(d, near, 1) / 1e10)
+                    near, d = meeting.nearest(i, j, k)
+                    w = row_weights(d)
                     columns = names.take(pa.array(np.repeat(np.arange(i, j), k))), names.take(pa.array(near.ravel())), pa.array(w.ravel())
                     yield pa.RecordBatch.from_arrays(list(columns), names=["src", "dst", "w"])
 
@@ -355,21 +379,10 @@ def points_faithful(packed: DataFrame, coords: DataFrame, k: int = 10) -> DataFr
                 near = min(k, len(x) - 1)
                 if near < 1:
                     continue
-                xs, ys = ((v, (v * v).sum(1), same_points(v)) for v in (x, y))
+                high, plane = Meeting(x, np.float64), Meeting(y, np.float64)
                 for i, j in _chunks(x, block, blocks):
-                    high = ten_places(*xs, i, j)
-                    to = nearest(ten_places(*ys, i, j), near)
-                    common = (nearest(high, near)[:, :, None] == to[:, None]).any(1)
-                    hits += int(common.sum())
-                    for c in range(near):  # one that isn't among the nearest has a rank over k
-                        rows = np.flatnonzero(~common[:, c])
-                        target, d = to[rows, c], high[rows]
-                        own = d[np.arange(len(rows)), target][:, None]
-                        rank = 1 + np.count_nonzero(d < own, 1)
-                        ties = d == own
-                        for r in np.flatnonzero(np.count_nonzero(ties, 1) > 1):
-                            rank[r] += np.count_nonzero(ties[r, : target[r]])
-                        over += int((rank - k).clip(0).sum())
+                    ranks = high.ranks(i, j, plane.nearest(i, j, near)[0])
+                    over, hits = over + int((ranks - k).clip(0).sum()), hits + int((ranks <= k).sum())
                 yield pa.RecordBatch.from_pydict({"run": pa.array([b.column("run")[at].as_py()], pa.int32()), "n": [len(x)], "over": [over], "hits": [hits]})
 
     counts = arrow_map(_blocks(packed).crossJoin(F.broadcast(low)), run, "run int, n long, over long, hits long")

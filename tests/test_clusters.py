@@ -328,10 +328,8 @@ def test_layout_is_repeatable_and_faithful(spark, points):
 
 def edges_of(x, k):
     """The edges of `neighbour_edges`, from one whole matrix."""
-    sq, same = (x * x).sum(1), layout2d.same_points(x)
-    d = layout2d.ten_places(x, sq, same, 0, len(x))
-    near = layout2d.nearest(d, k)
-    w = layout2d.row_weights(np.take_along_axis(d, near, 1) / 1e10)
+    near, d = layout2d.Meeting(x, np.float32).nearest(0, len(x), k)
+    w = layout2d.row_weights(d)
     return layout2d.joined(np.repeat(np.arange(len(x)), k), near.ravel(), w.ravel(), len(x))
 
 
@@ -352,6 +350,12 @@ def test_layout_of_many_points_holds_no_pairs():
     """A matrix of all pairs of these points takes 72 MB; whole matrices took several of them."""
     rng = np.random.default_rng(1)
     x = rng.normal(size=(3000, 4)) + 12 * np.eye(4)[rng.integers(0, 4, 3000)]
+    for kind in (np.float32, np.float64):
+        meeting, d = layout2d.Meeting(x, kind), np.sqrt(((x[40:60, None] - x) ** 2).sum(2))
+        d[np.arange(20), np.arange(40, 60)] = np.inf
+        near, far = meeting.nearest(40, 60, 10)
+        assert np.array_equal(near, np.argsort(d, 1)[:, :10]) and np.allclose(far, np.sort(d, 1)[:, :10])
+        assert np.array_equal(meeting.ranks(40, 60, near[:, ::3]), np.tile([1, 4, 7, 10], (20, 1)))
     i, j, w = edges_of(x, 10)
     tracemalloc.start()
     y = layout2d.graph_layout(i, j, w, 3000, passes=15)
