@@ -7,7 +7,9 @@ from pyspark.sql import functions as F
 
 from copresence.model import Classes, validate_transactions
 from copresence.operators import strips, transactions
+from copresence.plans import queries
 from copresence.plans.queries import QUERIES
+from copresence.plans.shared import cut
 from copresence.sources import workloads as data
 
 SF = "/root/testdata/sf0.001"
@@ -94,3 +96,16 @@ def test_checks_of_transactions_see_every_problem(spark):
     assert (r["units"], r["transactions"], r["missing"]) == (len(ids), tx.count(), got["no transaction"])
     none = tx.limit(0)
     assert {r["n"] for r in validate_transactions(none, units.limit(0), Classes((1,))).collect()} == {0}
+
+
+@pytest.mark.parametrize("name", ["medoids"])
+def test_stages_of_queries_on_strips_hold_no_words(spark, monkeypatch, name):
+    stages = []
+    monkeypatch.setattr(queries, "cut", lambda df: stages.append(df) or cut(df))
+    queries.forget()
+    assert QUERIES[name](spark, SF).count() > 0
+    assert stages and all("unit_id" not in df.columns for df in stages)
+    made = next(df for df in stages if df.columns == ["grp", "mask", "weight"])
+    plan = made._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[-1]
+    below = plan[plan.index("Exchange ") :]  # the only exchange deals patterns that tasks have added up
+    assert "MapInArrow" in below and "partial_sum" in below and below.count("Exchange ") == 1 and "Join" not in plan and "Window" not in plan
