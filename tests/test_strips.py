@@ -98,7 +98,7 @@ def test_checks_of_transactions_see_every_problem(spark):
     assert {r["n"] for r in validate_transactions(none, units.limit(0), Classes((1,))).collect()} == {0}
 
 
-@pytest.mark.parametrize("name", ["medoids", "degenerate_groups", "calinski_harabasz_by_k", "itemsets_unique_pattern_votes"])
+@pytest.mark.parametrize("name", ["medoids", "degenerate_groups", "calinski_harabasz_by_k", "itemsets_unique_pattern_votes", "matrix_extract"])
 def test_stages_of_queries_on_strips_hold_no_words(spark, monkeypatch, name):
     stages = []
     monkeypatch.setattr(queries, "cut", lambda df: stages.append(df) or cut(df))
