@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from copresence.model import Classes, validate_transactions
 from copresence.operators import strips, transactions
 from copresence.plans import queries
+from copresence.plans.oracles import PATTERNS, chain, strip_tx_sql, words_sql
 from copresence.plans.queries import QUERIES
 from copresence.plans.shared import cut
 from copresence.sources import workloads as data
@@ -78,6 +79,43 @@ def test_texts_beyond_an_id_go_by_id(spark, monkeypatch):
     assert data._by_row_or_id(df)[0] is None
 
 
+def shared_ids():
+    r, texts = random.Random(3), odd_texts()
+    rows = [(i // 3, t, f"s{i % 2}", "en") for i, t in enumerate(texts)]
+    rows += [(900, t, f"s{i % 3}", "en") for i, t in enumerate(texts[8:40])]  # many texts of one id
+    rows += [(901, "a b", "s0", "en"), (901, "cd " + "e" * 30 + " " + "f" * 19 + " g", "s0", "en"), (None, "no id here", "s0", "en"), (None, "nor here", "s0", "de")]
+    return r.sample(rows, len(rows))
+
+
+@pytest.mark.parametrize("sent, chars, bytes_at_once", [(data.SENT_IDS, data.ID_CHARS, strips.BYTES), (2, data.ID_CHARS, 300), (3, 1000, 1), (data.SENT_IDS, 0, 300)])
+def test_texts_that_share_an_id_against_sql(spark, monkeypatch, sent, chars, bytes_at_once):
+    import duckdb
+
+    monkeypatch.setattr(data, "SENT_IDS", sent)
+    monkeypatch.setattr(data, "ID_CHARS", chars)
+    monkeypatch.setattr(strips, "BYTES", bytes_at_once)
+    df = spark.createDataFrame(shared_ids(), DOCS)
+    duck = duckdb.connect()
+    duck.register("documents", df.toArrow())
+    listed = lambda rows: sorted(map(tuple, rows), key=str)
+    for core in (False, True):
+        sql = lambda last: duck.execute(chain(words_sql(core=core), strip_tx_sql(), PATTERNS, last=last)).fetchall()
+        columns = "grp, part, unit_id, lo, hi, bit"
+        assert listed(data.word_strip(df, core).select(*columns.split(", ")).collect()) == listed(sql(f"SELECT {columns} FROM u"))
+        want = sql("SELECT grp, unit_id, mask FROM tx")
+        assert len(want) > 500
+        assert listed(data.word_transactions(df.repartition(5), 20, core).collect()) == listed(want)
+        assert listed(data.word_patterns(df, 20, core).collect()) == listed(sql("SELECT grp, mask, weight FROM pat"))
+
+
+@pytest.mark.parametrize("sent", [data.SENT_IDS, 2])
+def test_texts_that_share_an_id_are_shuffled_by_text(spark, monkeypatch, sent):
+    monkeypatch.setattr(data, "SENT_IDS", sent)
+    df = spark.createDataFrame(shared_ids(), DOCS)
+    plan = data.word_patterns(df, 20)._jdf.queryExecution().executedPlan().toString()
+    assert "Window" not in plan and "SortMergeJoin" not in plan and "Generate" not in plan and "MapInArrow" in plan
+
+
 def test_words_are_neither_kept_nor_shuffled(spark):
     for name in ("strip_tx_d20", "approximate_patterns"):
         assert "SortMergeJoin" not in QUERIES[name](spark, SF)._jdf.queryExecution().toString()
