@@ -147,3 +147,16 @@ def test_stages_of_queries_on_strips_hold_no_words(spark, monkeypatch, name):
     plan = made._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[-1]
     below = plan[plan.index("Exchange ") :]  # the only exchange deals patterns that tasks have added up
     assert "MapInArrow" in below and "partial_sum" in below and below.count("Exchange ") == 1 and "Join" not in plan and "Window" not in plan
+
+
+@pytest.mark.parametrize("name", ["calinski_harabasz_by_k", "degenerate_groups", "itemsets_unique_pattern_votes", "matrix_extract", "medoids"])
+def test_queries_on_shared_ids_store_no_words(spark, monkeypatch, tmp_path, name):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").withColumn("doc_id", F.expr("doc_id DIV 3"))
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    stages = []
+    monkeypatch.setattr(queries, "cut", lambda df: stages.append(df) or cut(df))
+    queries.forget()
+    assert QUERIES[name](spark, str(tmp_path)).count() > 0
+    made = next(df for df in stages if df.columns == ["grp", "mask", "weight"])
+    plan = made._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[-1]
+    assert "MapInArrow" in plan and "Window" not in plan and "SortMergeJoin" not in plan and "posexplode" not in plan
