@@ -145,3 +145,13 @@ def test_nodeset_search_of_many_sets_takes_seconds():
     assert len(sets) == len(np.unique(sets)) > 300_000
     for k in r.integers(0, len(sets), 50):
         assert int(((mask & sets[k]) == sets[k]).sum()) == sups[k]
+
+
+def test_small_groups_are_dealt_to_tasks(spark):
+    """A dozen groups of few patterns hold many sets: they aren't put together because their bytes are few."""
+    r = random.Random(31)
+    rows = [(f"g{i % 12}", r.getrandbits(12) | 1, 1) for i in range(600)]
+    pats = spark.createDataFrame(rows, "grp string, mask long, weight long").groupBy("grp", "mask").agg(F.sum("weight").alias("weight"))
+    for method in ("nodeset", "enumerate"):
+        mined = mining.mine(pats, Threshold.relative("10%"), method)
+        assert mined.select(F.spark_partition_id().alias("task")).distinct().count() > 4
