@@ -155,3 +155,28 @@ def test_small_groups_are_dealt_to_tasks(spark):
     for method in ("nodeset", "enumerate"):
         mined = mining.mine(pats, Threshold.relative("10%"), method)
         assert mined.select(F.spark_partition_id().alias("task")).distinct().count() > 4
+
+
+@pytest.mark.parametrize("parts", ["nodeset_parts", "enumerate_parts"])
+def test_sets_leave_in_parts(parts):
+    """Two patterns of 22 and 21 classes have four million frequent sets, which are never held together."""
+    import tracemalloc
+
+    mask, weight, found, total = np.array([(1 << 22) - 1, (1 << 21) - 1], np.int64), np.array([5, 3], np.int64), 0, 0
+    tracemalloc.start()
+    for sets, sups in mining._gathered(getattr(mining, parts)(mask, weight, 1)):
+        assert 0 < len(sets) <= mining.PART
+        found, total = found + len(sets), total + int(sups.sum())
+    assert tracemalloc.get_traced_memory()[1] < 20_000_000
+    tracemalloc.stop()
+    assert found == (1 << 22) - 1 and total == 5 * ((1 << 22) - 1) + 3 * ((1 << 21) - 1)
+
+
+@pytest.mark.parametrize("absorb", [True, False])
+def test_sets_with_a_given_last_class(absorb):
+    r = np.random.default_rng(12)
+    mask = np.unique(np.array([sum(1 << int(b) for b in r.choice(12, 7, replace=False)) for _ in range(60)], np.int64))
+    weight = r.integers(1, 6, len(mask))
+    want = {s: c for s, c in zip(*(x.tolist() for x in mining.enumerate_sets(mask, weight, 20)), strict=True) if s >> 5 & 1}
+    sets, sups = mining._together(mining.nodeset_parts(mask, weight, 20, absorb, 5))
+    assert want and len(sets) == len(want) and dict(zip(sets.tolist(), sups.tolist(), strict=True)) == want
