@@ -230,3 +230,25 @@ def test_equal_rectangles_are_joined_once(spark):
         assert got == want and want
     many = spark.range(20_000).select(F.lit("g").alias("grp"), F.col("id").alias("unit_id"), *[F.lit(v).cast("long").alias(c) for c, v in zip(("x0", "x1", "y0", "y1"), boxes[0], strict=True)], (F.col("id") % 7).cast("int").alias("bit"))
     assert transactions.buffer_rect_by_places(many, 50).groupBy("mask").count().collect() == [(127, 20_000)]  # 400 million pairs of units
+
+
+def test_rings_are_read_once_and_units_join_without_texts(spark):
+    """The plan that lists places on tiles reads a text once, and the one that gives units their masks holds no sort of texts."""
+    from unittest import mock
+
+    from pyspark.sql import functions as F
+
+    shown, plans = lambda df: df._jdf.queryExecution().executedPlan().toString(), []
+    units = spark.range(400).select(F.lit("g").alias("grp"), F.col("id").alias("unit_id"), (F.col("id") % 5).cast("int").alias("bit"), F.expr("concat('POLYGON ((', id % 50, ' 0, ', id % 50 + 3, ' 0, ', id % 50, ' 4))')").alias("wkt"))
+    units = units.unionByName(spark.createDataFrame([("g", 900, 9, None), ("g", 901, 10, "POLYGON EMPTY"), (None, 902, 11, None)], "grp string, unit_id long, bit int, wkt string"))
+    made = near.arrow_groups
+    with mock.patch.object(near, "arrow_groups", lambda df, *a: plans.append(shown(df)) or made(df, *a)), mock.patch.object(transactions, "digests_differ", wraps=transactions.digests_differ) as asked:
+        got = transactions.buffer_ring(units, 3)
+    assert asked.call_count == 1 and plans[0].count("regexp_extract_all(") == 1
+    assert "xxhash64(wkt" in shown(got) and "ShuffledHashJoin" in shown(got)
+    as_dict = lambda df: {r["unit_id"]: (r["grp"], r["mask"]) for r in df.collect()}
+    with mock.patch.object(transactions, "digests_differ", return_value=False):  # as where two texts have one digest
+        assert as_dict(transactions.buffer_ring(units, 3)) == as_dict(got)
+    assert as_dict(got) == {i: ("g", 31) for i in range(400)} | {900: ("g", 1 << 9), 901: ("g", 1 << 10), 902: (None, 1 << 11)}
+    twice = spark.createDataFrame([("g", "a"), ("g", "a"), ("h", "b")], "grp string, wkt string")
+    assert not transactions.digests_differ(twice) and transactions.digests_differ(twice.distinct())
